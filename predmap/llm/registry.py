@@ -6,7 +6,7 @@ from importlib import import_module
 
 MODULES = (
     "secrets", "decontaminate", "packing", "token_files", "langid",
-    "suffix_dedup", "pii", "token_counts", "simhash", "exact_dedup",
+    "pii", "token_counts", "simhash", "exact_dedup",
 )
 
 
