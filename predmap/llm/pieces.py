@@ -1,7 +1,8 @@
 """Token ids of whole texts, as the tokenizers library gives them, with the ids of repeated runs remembered.
 
 Both public vocabularies used here treat a text run by run: no token spans a white-space boundary. A text is therefore
-split into such runs and every distinct run is given to the library once per worker; the result is the library's own. A
+split into such runs (letters apart from the punctuation after them, which both vocabularies also keep apart) and a distinct
+run is given to the library about once per worker; the result is the library's own. A
 text in which that splitting would not be the library's (special strings, or control characters that Python and the
 library class differently) goes to the library whole.
 """
@@ -18,9 +19,13 @@ import numpy as np  # noqa: E402
 #: Unicode White_Space.
 WHITE = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 ODD = "\x1c\x1d\x1e\x1f"
+#: Latin letters, and what ends a run of them for both vocabularies: ASCII that is no letter, digit or apostrophe.
+LATIN = "A-Za-z\xc0-\xd6\xd8-\xf6\xf8-\xff"
+STOP = rf"(?=[{WHITE}!-&(-/:-@\[-`{{-~]|\Z)"
 #: A run with the space before it, or white space; the library's own rule of which space belongs to the run.
-BYTE_RUNS = re.compile(rf" ?[^{WHITE}]+|[{WHITE}]+(?=[{WHITE}]|\Z)|[{WHITE}]+")
-MOST_RUNS = 400_000  # remembered per worker; beyond it the memory starts anew
+BYTE_RUNS = re.compile(rf" ?[{LATIN}]++{STOP}| ?[^{WHITE}]+|[{WHITE}]+(?=[{WHITE}]|\Z)|[{WHITE}]+")
+WORD_RUNS = re.compile(rf"[{LATIN}]++{STOP}|[^{WHITE}]+")
+MOST_RUNS = 600_000  # remembered per worker and generation
 LONG_RUN = 200
 
 
@@ -36,16 +41,19 @@ class Runs(dict):
 
     def __init__(self, tokenizer, counts: bool):
         super().__init__()
-        self.tokenizer, self.counts = tokenizer, counts
+        self.tokenizer, self.counts, self.old = tokenizer, counts, {}
 
     def of(self, run: str):
         ids = self.tokenizer.encode(run, add_special_tokens=False).ids
         return len(ids) if self.counts else np.array(ids, "<u2").tobytes()
 
     def __missing__(self, run: str):
-        out = self.of(run)
+        out = self.old.get(run)
+        if out is None:
+            out = self.of(run)
         if len(run) <= LONG_RUN:
-            if len(self) >= MOST_RUNS:
+            if len(self) >= MOST_RUNS:  # what the new generation asks for moves into it; the rest goes with the old one
+                self.old = dict(self)
                 self.clear()
             self[run] = out
         return out
@@ -59,7 +67,7 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(file)
         self.runs = Runs(self.tokenizer, counts)
-        self.split = str.split if kind == "word" else BYTE_RUNS.findall
+        self.split = (WORD_RUNS if kind == "word" else BYTE_RUNS).findall
         self.special = [str(x.content) for x in self.tokenizer.get_added_tokens_decoder().values()]
 
     def plain(self, text: str) -> bool:

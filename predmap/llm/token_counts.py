@@ -82,7 +82,7 @@ class Transducer:
         if not self.encoder.plain(text):
             return self.encoder.runs.of(text)
         if len(text) <= chunk:
-            return sum(map(self.emits, text.split()))
+            return sum(map(self.emits, self.encoder.split(text)))
         maps = [self.compile(text[i : i + chunk]) for i in range(0, len(text), chunk)]
         while len(maps) > 1:  # only the last prefix is asked for, so the scan's up-sweep is enough
             maps = [self.compose(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
