@@ -44,6 +44,13 @@ def texts(batch: pa.RecordBatch, name: str = "text") -> list[str]:
     return [x or "" for x in batch.column(name).to_pylist()]
 
 
+def small(batches, rows: int = 500):
+    """The same rows in smaller batches, so that a worker holds few texts as Python strings at once."""
+    for b in batches:
+        for at in range(0, b.num_rows, rows):
+            yield b.slice(at, rows)
+
+
 def batch_of(schema: pa.Schema, *columns) -> pa.RecordBatch:
     """A batch of whole columns (lists or arrays) in the order of schema."""
     return pa.RecordBatch.from_arrays([pa.array(c, type=f.type) if not isinstance(c, pa.Array) else c.cast(f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from predmap.llm.common import batch_of, cut, table, texts
+from predmap.llm.common import batch_of, cut, small, table, texts
 
 NAME = "op2_decontamination"
 SIZE, MOST_BYTES = 10, 8 << 20
@@ -125,7 +125,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, most_bytes: in
             if given.value is not _scanners.get("of"):
                 _scanners.update(of=given.value, scanner=Scanner(given.value, size))
             scanner = _scanners["scanner"]
-            for b in batches:
+            for b in small(batches):
                 rows = []
                 at = b.column("_at").to_pylist() if carried else [[]] * b.num_rows
                 held = b.column("_items").to_pylist() if carried else [[]] * b.num_rows
@@ -155,7 +155,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, most_bytes: i
         def run(batches, given=given):
             if given.value is not _scanners.get("of"):
                 _scanners.update(of=given.value, scanner=Scanner(given.value, size))
-            for b in batches:
+            for b in small(batches):
                 yield b.filter(pa.array([not _scanners["scanner"].scan(words(x))[0] for x in texts(b, text_col)], pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from predmap.llm.common import batch_of, table
+from predmap.llm.common import batch_of, small, table
 
 NAME = "op5_language_id"
 SQL = None  # tests hold it against held-out labels
@@ -181,7 +181,7 @@ def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: st
     schema = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("lang_pred", pa.string()), ("score", pa.float64()), ("rejected", pa.bool_())])
 
     def run(batches):
-        for b in batches:
+        for b in small(batches):
             lang, score, rejected = given.value.predict(b.column("text").to_pylist())
             yield batch_of(schema, b.column("doc_id"), b.column("held_out"), lang, score, rejected)
 
@@ -194,7 +194,7 @@ def accept(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
     given = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
-        for b in batches:
+        for b in small(batches):
             rejected = given.value.predict(b.column(b.schema.names.index(text_col)).to_pylist())[2]
             yield b.filter(pa.array([not x for x in rejected]))
 

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from predmap.llm import pieces
-from predmap.llm.common import batch_of, table, texts
+from predmap.llm.common import batch_of, small, table, texts
 
 NAME = "op3_packing"
 SQL = None  # tests hold it against an exhaustive search and check the pieces
@@ -156,7 +156,7 @@ def pack(docs: DataFrame, vocabulary: str, size: int = SIZE, id_col: str = "doc_
             _ends[vocabulary] = sentence_enders(enc.tokenizer)
         packer = Packer(_ends[vocabulary], size, TaskContext.get().partitionId() << 36)
         end = np.array([END], "<u2")
-        for b in batches:
+        for b in small(batches):
             rows: list = []
             for doc_id, text in zip(b.column("doc_id").to_pylist(), texts(b), strict=True):
                 for done in packer.add(doc_id, np.concatenate([enc.ids(text), end])):

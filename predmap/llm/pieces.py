@@ -65,14 +65,25 @@ class Encoder:
     def __init__(self, file: str, kind: str, counts: bool = False):
         from tokenizers import Tokenizer
 
-        self.tokenizer = Tokenizer.from_file(file)
+        self.kind, self.tokenizer = kind, Tokenizer.from_file(file)
+        if hasattr(self.tokenizer.model, "_resize_cache"):
+            self.tokenizer.model._resize_cache(0)  # Runs remembers more, and filling a second memory costs more than it saves
         self.runs = Runs(self.tokenizer, counts)
-        self.split = (WORD_RUNS if kind == "word" else BYTE_RUNS).findall
         self.special = [str(x.content) for x in self.tokenizer.get_added_tokens_decoder().values()]
 
     def plain(self, text: str) -> bool:
         return not (any(c in text for c in ODD) or any(s in text for s in self.special))
 
+    def split(self, text: str) -> list[str]:
+        """The runs of a plain text. The word vocabulary is of lower case; Latin texts are lowered here, where all rules agree."""
+        if self.kind == "byte":
+            return BYTE_RUNS.findall(text)
+        try:
+            text.encode("latin-1")
+        except UnicodeEncodeError:
+            return WORD_RUNS.findall(text)
+        return WORD_RUNS.findall(text.lower())
+
     def count(self, text: str) -> int:
         return sum(map(self.runs.__getitem__, self.split(text))) if self.plain(text) else self.runs.of(text)
 

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from predmap.llm.common import batch_of, cut, table, texts
+from predmap.llm.common import batch_of, cut, small, table, texts
 
 NAME = "op7_personal_data"
 SQL = None  # tests compare with a direct scan
@@ -113,7 +113,7 @@ def detect(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     names = [f.name for f in item]
 
     def run(batches):
-        for b in batches:
+        for b in small(batches):
             spans = [find(x) for x in texts(b)]
             kinds = [Counter(k for _, _, k in s) for s in spans]
             words = [[dict(zip(names, w, strict=True)) for w in near(x, s)] for x, s in zip(texts(b), spans, strict=True)]
@@ -154,7 +154,7 @@ def term_frequencies(docs: DataFrame, wanted: DataFrame, text_col: str = "text")
 
     def run(batches):
         bits, known, held = given.value, {}, Counter()
-        for b in batches:
+        for b in small(batches):
             for text in texts(b):
                 for w in {x.lower() for x in WORD.findall(text)}:
                     if w not in known:

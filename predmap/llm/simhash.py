@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from predmap.llm.common import batch_of, cut, table, texts
+from predmap.llm.common import batch_of, cut, small, table, texts
 
 NAME = "op9_simhash"
 SQL = None  # XXH64 with a seed is no SQL function; tests compare with all pairs
@@ -58,7 +58,7 @@ def fingerprints(docs: DataFrame, shingle: int = SHINGLE, id_col: str = "doc_id"
     schema = pa.schema([("doc_id", pa.int64()), ("fp", pa.int64())])
 
     def run(batches):
-        for b in batches:
+        for b in small(batches):
             fp = np.array([fingerprint(x, shingle) for x in texts(b)], np.uint64).view(np.int64)
             yield batch_of(schema, b.column("doc_id"), fp)
 

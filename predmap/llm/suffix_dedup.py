@@ -5,7 +5,8 @@ Four steps over chunks of documents (a hash of the id); the texts are shuffled o
 1. Anchors. Of the ``LENGTH - GRAM + 1`` grams in a window of LENGTH bytes one is its anchor: the least by hash, leftmost of ties.
    That depends on the window's bytes alone, so equal windows have equal anchors. Chunks send each shard of hashes its
    distinct (truncated) ones, sorted and packed, about two bytes per anchor.
-2. Shards of hashes answer with a bit each: does the gram occur in two documents? A false yes costs work and changes nothing.
+2. Shards of hashes answer with two bits each: does the gram occur in two documents, and is it hot? A false yes costs work and
+   changes nothing.
 3. For anchors that are shared, chunks send the bytes of all windows with that anchor (its context) to the anchor's shard.
    Equal contexts are merged. An anchor with one context is settled: all but the least document repeat it. The others, where
    copies begin, end or differ, are indexed together: a run-compressed Burrows-Wheeler transform of the contexts, with the
@@ -14,8 +15,9 @@ Four steps over chunks of documents (a hash of the id); the texts are shuffled o
    statistics cut at LENGTH: the interval of suffixes that start with it, and their least document.
 4. Chunks get back which windows are repeats, and cover their bytes.
 
-Shards and chunks grow in number with the input, never in size. A frequent passage is one context per chunk member, merged on
-arrival; nothing is compared pair by pair.
+Shards and chunks grow in number with the input, never in size. Where a passage is so frequent that its anchors are hot, its
+windows go one by one, each distinct one once per chunk, to shards by a hash of the whole window, so what surrounds the passage
+in its many documents spreads over all shards. Nothing is compared pair by pair.
 
 Defined results: null text is empty; documents under LENGTH bytes lose nothing; a row with a null id neither loses bytes nor
 takes them from others; rows that repeat an id do not count as smaller than each other; matches never cross documents; an empty
@@ -37,7 +39,7 @@ from predmap.llm.common import table
 NAME = "op6_suffix_dedup"
 SQL = None  # tests compare with a dictionary of all windows
 LENGTH, GRAM = 50, 16
-SLICE, CHUNK_BYTES, SHARD_ANCHORS = 1 << 19, 16 << 20, 1 << 20
+SLICE, CHUNK_BYTES, SHARD_ANCHORS, INDEX_BYTES, HOT = 1 << 18, 6 << 20, 1 << 19, 1 << 19, 5000
 #: Odd multipliers of the gram hash.
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 LOW = np.uint64(0xFFFFFFFF)
@@ -130,7 +132,7 @@ def unpack(data: bytes) -> np.ndarray:
 
 
 def distinct(h: np.ndarray, doc: np.ndarray, bits: int):
-    """Sorted distinct hashes cut to bits, whether each is in two documents, and where each of h is among them."""
+    """Sorted distinct hashes cut to bits, whether each is in two documents, how often it is there (up to 255), and where each of h is."""
     cut = h >> np.uint64(64 - bits)
     order = np.argsort(cut, kind="stable")
     c, d = cut[order], doc[order]
@@ -138,20 +140,24 @@ def distinct(h: np.ndarray, doc: np.ndarray, bits: int):
     new[1:] = c[1:] != c[:-1]
     at = np.flatnonzero(new)
     several = np.minimum.reduceat(d, at) != np.maximum.reduceat(d, at) if len(at) else np.zeros(0, bool)
+    count = np.minimum(np.diff(np.append(at, len(c))), 255).astype(np.uint8)
     place = np.empty(len(c), np.int64)
     place[order] = np.cumsum(new) - 1
-    return c[at], several, place
+    return c[at], several, count, place
 
 
-def shared_bits(shards: list[tuple[np.ndarray, np.ndarray]]) -> list[np.ndarray]:
-    """For chunks' (sorted distinct hashes, in two documents already): which hashes are in two documents of all chunks."""
-    every = np.sort(np.concatenate([h for h, _ in shards]))
-    twice = np.unique(every[1:][every[1:] == every[:-1]])
-    out = []
-    for h, several in shards:
-        at = np.minimum(np.searchsorted(twice, h), max(0, len(twice) - 1))
-        out.append(several | (twice[at] == h if len(twice) else False))
-    return out
+def shared_bits(shards: list[tuple[np.ndarray, np.ndarray, np.ndarray]], hot: int = HOT) -> list[tuple[np.ndarray, np.ndarray]]:
+    """For chunks' (sorted distinct hashes, in two documents already, how often): which are in two documents of all, and which are hot."""
+    every = np.concatenate([h for h, _, _ in shards])
+    order = np.argsort(every, kind="stable")
+    e = every[order]
+    at = np.flatnonzero(np.concatenate([[True], e[1:] != e[:-1]])) if len(e) else np.zeros(0, np.int64)
+    size = np.diff(np.append(at, len(e)))
+    total = np.add.reduceat(np.concatenate([n for _, _, n in shards]).astype(np.int64)[order], at) if len(at) else size
+    both = np.empty((2, len(e)), bool)
+    both[0, order], both[1, order] = np.repeat(size > 1, size), np.repeat(total > hot, size)
+    ends = np.cumsum([len(h) for h, _, _ in shards])
+    return [(both[0, z - len(h) : z] | several, both[1, z - len(h) : z]) for z, (h, several, _) in zip(ends.tolist(), shards, strict=True)]
 
 
 class RunIndex:
@@ -246,21 +252,25 @@ def settle(contexts: list[bytes], gram_at: list[int], docs: np.ndarray) -> np.nd
     full = np.array([(1 << (len(c) - LENGTH + 1)) - 1 for c in number], np.uint64)
     later = docs > least[which]
     out[later] = full[which[later]]
-    if mixed.any():
-        names = np.flatnonzero(mixed)
-        strings = list(number)
-        index = RunIndex([strings[i] for i in names], least[names])
-        members = np.flatnonzero(mixed[which])
-        members = members[np.argsort(which[members], kind="stable")]
-        owner = np.searchsorted(names, which[members])
-        begin = np.searchsorted(owner, np.arange(len(names) + 1))
-        out[members] = 0
-        for alive, place, low in index.stream():
-            count = begin[alive + 1] - begin[alive]
-            at = np.repeat(begin[alive] - np.cumsum(count) + count, count) + np.arange(count.sum())
-            rows = members[at]
-            hit = docs[rows] > np.repeat(low, count)
-            out[rows[hit]] |= np.uint64(1) << np.repeat(place, count)[hit].astype(np.uint64)
+    names = np.flatnonzero(mixed)
+    names = names[np.argsort(group[names], kind="stable")]  # an index takes whole groups, as equal windows are in one group
+    strings, rows = list(number), np.argsort(which, kind="stable")
+    first = np.searchsorted(which[rows], np.arange(len(number) + 1))
+    out[np.flatnonzero(mixed[which])] = 0
+    at = 0
+    while at < len(names):
+        size, z = 0, at
+        while z < len(names) and (size < INDEX_BYTES or group[names[z]] == group[names[z - 1]]):
+            size += len(strings[names[z]])
+            z += 1
+        part = names[at:z]
+        at = z
+        for alive, place, low in RunIndex([strings[i] for i in part], least[part]).stream():
+            own = part[alive]
+            count = first[own + 1] - first[own]
+            members = rows[np.repeat(first[own] - np.cumsum(count) + count, count) + np.arange(count.sum())]
+            hit = docs[members] > np.repeat(low, count)
+            out[members[hit]] |= np.uint64(1) << np.repeat(place, count)[hit].astype(np.uint64)
     return out
 
 
@@ -294,6 +304,47 @@ def _unblob(data: bytes, *kinds) -> list:
     return out
 
 
+def _windows(raw: bytes, s: np.ndarray, e: np.ndarray, doc: np.ndarray, use: np.ndarray, shards: int):
+    """Single windows of the runs in use, each distinct one once, by a hash of its own: (shard, blob of windows, references, places, documents)."""
+    number: dict[bytes, int] = {}
+    ref: list[int] = []
+    for a, z in zip(s[use].tolist(), e[use].tolist(), strict=True):
+        ref += [number.setdefault(raw[p : p + LENGTH], len(number)) for p in range(a, z + 1)]
+    if not ref:
+        return
+    count = e[use] - s[use] + 1
+    place = np.repeat(s[use] - np.cumsum(count) + count, count) + np.arange(count.sum())
+    own, ref = np.repeat(doc[use], count), np.array(ref)
+    lines = list(number)
+    h = grams(np.frombuffer(b"".join(x + x[:GRAM] for x in lines), np.uint8))
+    at = np.arange(len(lines)) * (LENGTH + GRAM)
+    mixed = h[at] ^ (h[at + LENGTH // 3] * M2) ^ (h[at + LENGTH - GRAM] * M3)
+    to = ((mixed ^ (mixed >> np.uint64(31))) % np.uint64(shards)).astype(np.int64)
+    for k, r in _parts(to[ref], shards):
+        names, new = np.unique(ref[r], return_inverse=True)
+        yield k, _blob(b"".join(lines[i] for i in names), new.astype("<u4"), place[r].astype("<i8"), own[r].astype("<i8"))
+
+
+def _repeats(told: list) -> list[bytes]:
+    """For chunks' single windows: the places of those that occur in a smaller document."""
+    least: dict[bytes, int] = {}
+    keys = []
+    for body, ref, _, doc in told:
+        lines = [body[i : i + LENGTH] for i in range(0, len(body), LENGTH)]
+        low = np.full(len(lines), np.iinfo(np.int64).max)
+        np.minimum.at(low, ref, doc)
+        for x, d in zip(lines, low.tolist(), strict=True):
+            if d < least.get(x, 1 << 63):
+                least[x] = d
+        keys.append(lines)
+    out = []
+    for lines, (_, ref, place, doc) in zip(keys, told, strict=True):
+        low = np.array([least[x] for x in lines], np.int64)
+        some = np.flatnonzero(doc > low[ref])
+        out.append(_blob(place[some], np.ones(len(some), "<u8")))
+    return out
+
+
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (bytes) and spans (removed [start, end) in bytes)."""
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
@@ -311,52 +362,62 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
         _, _, h, doc = (c := Chunk(part)).anchors()
         # documents by id: rows that repeat an id are one document here
         names = np.unique(np.array([0 if i is None else i for i in c.ids]), return_inverse=True)[1]
-        hashes, several, _ = distinct(h, names[doc] if len(doc) else doc, bits)
-        found = [(k, key[0].as_py(), _blob(pack(hashes[r]), np.packbits(several[r]))) for k, r in _parts(shard_of(hashes), shards)]
+        hashes, several, count, _ = distinct(h, names[doc] if len(doc) else doc, bits)
+        found = [(k, key[0].as_py(), _blob(pack(hashes[r]), np.packbits(several[r]), count[r])) for k, r in _parts(shard_of(hashes), shards)]
         return pa.Table.from_arrays([pa.array([x[i] for x in found], t.type) for i, t in enumerate(PARTS_ARROW)], schema=PARTS_ARROW)
 
     def answer(key, part):
         given = []
         for data in part.column("data").to_pylist():
-            packed, several = _unblob(data, bytes, np.uint8)
+            packed, several, count = _unblob(data, bytes, np.uint8, np.uint8)
             h = unpack(packed)
-            given.append((h, np.unpackbits(several, count=len(h)).astype(bool)))
-        bitmaps = [np.packbits(x).tobytes() for x in shared_bits(given)]
+            given.append((h, np.unpackbits(several, count=len(h)).astype(bool), count))
+        bitmaps = [np.packbits(np.concatenate(x)).tobytes() for x in shared_bits(given)]
         return pa.Table.from_arrays([part.column("shard").combine_chunks(), part.column("chunk").combine_chunks(), pa.array(bitmaps, pa.binary())], schema=PARTS_ARROW)
 
     def quote(key, part, answers):
         c = Chunk(part)
         s, e, h, doc = c.anchors()
-        hashes, _, place = distinct(h, doc, bits)
-        held = np.zeros(len(hashes), bool)
+        hashes, _, _, place = distinct(h, doc, bits)
+        held, hot = np.zeros(len(hashes), bool), np.zeros(len(hashes), bool)
         mine = dict(_parts(shard_of(hashes), shards))
         for k, data in zip(answers.column("shard").to_pylist(), answers.column("data").to_pylist(), strict=True):
-            held[mine[k]] = np.unpackbits(np.frombuffer(data, np.uint8), count=len(mine[k])).astype(bool)
+            n = len(mine[k])
+            two = np.unpackbits(np.frombuffer(data, np.uint8), count=2 * n).astype(bool)
+            held[mine[k]], hot[mine[k]] = two[:n], two[n:]
         use = np.flatnonzero(held[place]) if len(place) else np.zeros(0, np.int64)
-        s, e, doc, to = s[use], e[use] + LENGTH, doc[use], shard_of(hashes[place[use]])
         ids = np.array([0 if i is None else i for i in c.ids], "<i8")
         found = []
+        warm = use[~hot[place[use]]]
+        a, z, own, to = s[warm], e[warm] + LENGTH, ids[doc[warm]], shard_of(hashes[place[warm]])
         for k, r in _parts(to, shards):
-            body = b"".join([c.raw[a:z] for a, z in zip(s[r].tolist(), e[r].tolist(), strict=True)])
-            found.append((k, key[0].as_py(), _blob(s[r].astype("<i8"), (e[r] - s[r]).astype("<u1"), ids[doc[r]], body)))
+            body = b"".join([c.raw[x:y] for x, y in zip(a[r].tolist(), z[r].tolist(), strict=True)])
+            found.append((k, key[0].as_py(), b"c" + _blob(a[r].astype("<i8"), (z[r] - a[r]).astype("<u1"), own[r], body)))
+        found += [(k, key[0].as_py(), b"w" + x) for k, x in _windows(c.raw, s, e, ids[doc], use[hot[place[use]]], shards)]
         return pa.Table.from_arrays([pa.array([x[i] for x in found], t.type) for i, t in enumerate(PARTS_ARROW)], schema=PARTS_ARROW)
 
     def decide(key, part):
-        starts, contexts, ids, counts = [], [], [], []
-        for data in part.column("data").to_pylist():
-            s, size, doc, body = _unblob(data, "<i8", "<u1", "<i8", bytes)
+        starts, contexts, ids, counts, told = [], [], [], [], []
+        blobs = part.column("data").to_pylist()
+        for data in blobs:
+            if data[:1] == b"w":
+                told.append(_unblob(data[1:], bytes, "<u4", "<i8", "<i8"))
+                continue
+            s, size, doc, body = _unblob(data[1:], "<i8", "<u1", "<i8", bytes)
             ends = np.cumsum(size.astype(np.int64))
             contexts += [body[a:z] for a, z in zip((ends - size).tolist(), ends.tolist(), strict=True)]
             starts.append(s)
             ids.append(doc)
             counts.append(len(s))
-        masks = settle(contexts, gram_places(contexts), np.concatenate(ids))
-        out, at = [], 0
+        masks = settle(contexts, gram_places(contexts), np.concatenate(ids)) if contexts else np.zeros(0, np.uint64)
+        cold, hot, at = [], iter(_repeats(told)), 0
         for s, n in zip(starts, counts, strict=True):
             m = masks[at : at + n]
             some = np.flatnonzero(m)
-            out.append(_blob(s[some], m[some].astype("<u8")))
+            cold.append(_blob(s[some], m[some].astype("<u8")))
             at += n
+        rest = iter(cold)
+        out = [next(hot) if data[:1] == b"w" else next(rest) for data in blobs]
         return pa.Table.from_arrays([part.column("shard").combine_chunks(), part.column("chunk").combine_chunks(), pa.array(out, pa.binary())], schema=PARTS_ARROW)
 
     final = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("kept", pa.binary()), ("spans", pa.list_(pa.list_(pa.int64())))])

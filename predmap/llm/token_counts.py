@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from predmap.llm import pieces
-from predmap.llm.common import batch_of, table, texts
+from predmap.llm.common import batch_of, small, table, texts
 
 NAME = "op8_token_counts"
 SQL = None  # a tokenizer's merges are not an SQL expression; tests compare with the library
@@ -44,7 +44,9 @@ class Transducer:
 
     def __init__(self, file: str):
         self.encoder = pieces.encoder(file, "word", True)
-        self.emits = self.encoder.runs.__getitem__
+
+    def emits(self, run: str) -> int:
+        return self.encoder.count(run)
 
     def compile(self, text: str) -> Chunk:
         """The state map of one chunk."""
@@ -55,7 +57,7 @@ class Transducer:
         if not runs and left and not text[-1].isspace():
             return Chunk(left, 0, "", False)
         right = "" if text[-1].isspace() else runs.pop()
-        return Chunk(left, sum(map(self.emits, runs)), right, True)
+        return Chunk(left, self.encoder.count(" ".join(runs)), right, True)
 
     def compose(self, a: Chunk, b: Chunk) -> Chunk:
         """First a, then b."""
@@ -82,7 +84,7 @@ class Transducer:
         if not self.encoder.plain(text):
             return self.encoder.runs.of(text)
         if len(text) <= chunk:
-            return sum(map(self.emits, self.encoder.split(text)))
+            return self.encoder.count(text)
         maps = [self.compile(text[i : i + chunk]) for i in range(0, len(text), chunk)]
         while len(maps) > 1:  # only the last prefix is asked for, so the scan's up-sweep is enough
             maps = [self.compose(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
@@ -95,7 +97,7 @@ def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 2048, id_col: st
 
     def run(batches):
         fst = Transducer(vocabulary)
-        for b in batches:
+        for b in small(batches):
             n = [fst.count(x) for x in texts(b)]
             yield batch_of(schema, b.column("doc_id"), b.column("n_bytes"), n, [x > limit for x in n])
 

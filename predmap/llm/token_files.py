@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from predmap.llm import pieces
-from predmap.llm.common import batch_of, scratch, table, texts
+from predmap.llm.common import batch_of, scratch, small, table, texts
 
 NAME = "op4_token_files"
 SQL = None  # tests check round trips and hold ids against the library
@@ -37,6 +37,12 @@ BLOCKS = "shard int, block long, doc_ids array<long>, lengths array<long>, words
 OUT = "shard int, doc_id long, local_start long, n_tokens long, ids_crc32 long"
 
 
+def _longest(small: np.ndarray) -> int:
+    """Length of the longest run of True."""
+    edge = np.flatnonzero(np.diff(small, prepend=False, append=False))
+    return int((edge[1::2] - edge[::2]).max(initial=0))
+
+
 def encode(ids: np.ndarray) -> bytes:
     """Little-endian 64-bit words of ids (unsigned integers up to 64 bits)."""
     v = np.asarray(ids, np.uint64)
@@ -44,17 +50,19 @@ def encode(ids: np.ndarray) -> bytes:
     if not n:
         return b""
     step, sel = np.ones(n, np.int64), np.zeros(n, np.uint8)
-    top = np.concatenate([v, np.zeros(64, np.uint64)])
-    reach, wide = 1, top.copy()  # wide[i]: or of v[i : i + reach], whose highest bit is that of the largest
+    # long runs of small ids are rare: selectors that no run is long enough for are not tried
+    first = next((s for s in range(1, 8) if _longest(v < (1 << WIDTHS[s])) >= COUNTS[s]), 8)
+    most = COUNTS[first]
     best = np.zeros(n, bool)
-    ors = {1: wide}
-    while reach < 32:
-        wide = wide.copy()
+    ors = {1: np.concatenate([v, np.zeros(64, np.uint64)])}  # ors[k][i]: or of v[i : i + k], whose highest bit is that of the largest
+    reach = 1
+    while reach * 2 <= most:
+        wide = ors[reach].copy()
         wide[:-reach] |= ors[reach][reach:]
         reach *= 2
         ors[reach] = wide
     left = n - np.arange(n)
-    for s in range(1, len(COUNTS)):
+    for s in range(first, len(COUNTS)):
         c, w = COUNTS[s], WIDTHS[s]
         k = 1 << (c.bit_length() - 1)
         over = ors[k][:n] | (ors[k][c - k : c - k + n] if c > k else 0)
@@ -122,7 +130,7 @@ def write(docs: DataFrame, path: str, vocabulary: str, end: int = END, id_col: s
         enc, shard = pieces.encoder(vocabulary, "word"), TaskContext.get().partitionId()
         ids, lens, parts, held, block = [], [], [], 0, 0
         last = np.array([end], "<u2")
-        for b in batches:
+        for b in small(batches):
             for doc_id, text in zip(b.column("doc_id").to_pylist(), texts(b), strict=True):
                 own = enc.ids(text)
                 ids.append(doc_id)

@@ -42,6 +42,33 @@ def test_planted(spark):
     assert sd.dedup(empty(spark)).count() == 0
 
 
+def test_hot_anchors_and_small_indexes(spark, monkeypatch):
+    monkeypatch.setattr(sd, "HOT", 3)
+    monkeypatch.setattr(sd, "INDEX_BYTES", 500)
+    monkeypatch.setattr(sd.shared_bits, "__defaults__", (3,))
+    rows = pieces(9)
+    assert found(spark, rows) == brute([(i, t.encode()) for i, t in rows])
+
+
+def test_settle():
+    rng = np.random.default_rng(2)
+    base = bytes(rng.integers(97, 120, 400).astype(np.uint8))
+    rows = [(b[:at] + bytes([x]) + b[at + 1 :], d) for d in range(60) for b, at, x in [(base, int(rng.integers(0, 400)), int(rng.integers(97, 120)))]]
+    contexts, docs = [], []
+    import pyarrow as pa
+
+    c = sd.Chunk(pa.table({"doc_id": [d for _, d in rows], "text": [t.decode() for t, _ in rows]}))
+    s, e, _, doc = c.anchors()
+    contexts = [c.raw[a : z + sd.LENGTH] for a, z in zip(s.tolist(), e.tolist())]
+    docs = np.array(c.ids)[doc]
+    first = {}
+    for x, d in zip(contexts, docs.tolist()):
+        for p in range(len(x) - sd.LENGTH + 1):
+            first[x[p : p + sd.LENGTH]] = min(d, first.get(x[p : p + sd.LENGTH], 99))
+    for x, d, m in zip(contexts, docs.tolist(), sd.settle(contexts, sd.gram_places(contexts), docs).tolist()):
+        assert m == sum(1 << p for p in range(len(x) - sd.LENGTH + 1) if first[x[p : p + sd.LENGTH]] < d)
+
+
 def test_given(spark):
     got = sorted((tuple(r) for r in sd.query(spark, "/root/testdata/sf0.001").collect()), key=str)
     assert got == brute([(r["doc_id"], r["text"].encode()) for r in given()])
