@@ -1 +1 @@
-
+"""Numbers: entropy and space, codes, hashes and linear systems."""

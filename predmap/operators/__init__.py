@@ -1 +1 @@
-
+"""Maps, filters and memberships over DataFrames: build, look up, store, report."""

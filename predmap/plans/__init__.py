@@ -1 +1 @@
-
+"""Choosing among models and structures."""

@@ -1 +1 @@
-
+"""Tables, experiment mappings and their features."""

@@ -1 +1 @@
-
+"""Maps on streams: enrichment, generations and monitors."""

@@ -1,11 +1,730 @@
-"""The paper's experiments on the given tables, and the registry of queries."""
+"""The experiments on the given tables, and the registry of queries with their SQL."""
 
 from __future__ import annotations
 
+import time
+from dataclasses import replace
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from predmap.config import MapConfig
+from predmap.functions import codes, metrics, theory
+from predmap.models import MLP, BucketTable, Custom, GaussianNB, Logistic, Point
+from predmap.operators import baselines, filters, maps, sql
+from predmap.plans import select
+from predmap.sources import mappings as src
+from predmap.streaming import monitor
+
+CFG = MapConfig()
+QUERIES: dict = {}
+SQL: dict[str, str] = {}
+
+
+def query(name: str, oracle: str | None = None):
+    def add(fn):
+        QUERIES[name] = fn
+        if oracle:
+            SQL[name] = oracle
+        return fn
+
+    return add
+
 
 def queries() -> dict:
-    return {}
+    return dict(QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(SQL)
+
+
+def given_back(m: src.Mapping, built: maps.StaticMap, route: str = "auto") -> DataFrame:
+    """Keys and their values as the map has them."""
+    extra = [c for c in m.features if c not in m.keys]
+    return built.attach(m.df.select(*m.keys, *extra), "value", route=route).select(*m.keys, "value")
+
+
+def guided(m: src.Mapping, model, cfg: MapConfig = CFG) -> maps.StaticMap:
+    return maps.build_guided(m.df, m.keys, m.value, m.features, model, cfg)
+
+
+def flagship(spark: SparkSession, sf: str) -> DataFrame:
+    """The language of each document out of a guided map that holds no document."""
+    m = src.language(spark, sf)
+    return given_back(m, guided(m, Logistic()))
+
+
+# -- round trips: build, store, look up every key
+
+query("roundtrip_guided_lang", "SELECT doc_id, lang AS value FROM documents")(flagship)
+
+_LINES = "SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, l_extendedprice, min({0}) AS value FROM lineitem GROUP BY l_orderkey, l_partkey, l_suppkey, l_linenumber, l_extendedprice, l_shipdate"
+
+
+def _line_values(spark, sf, value, build):
+    df = src.lines(spark, sf)
+    return build(df, src.LINE, value).attach(df.select(*src.LINE), "value").drop("l_shipdate")
+
+
+@query("roundtrip_fixed_returnflag", _LINES.format("l_returnflag"))
+def _(spark, sf):
+    return _line_values(spark, sf, "l_returnflag", maps.build_fixed)
+
+
+@query("roundtrip_entropy_discount", _LINES.format("l_discount"))
+def _(spark, sf):
+    return _line_values(spark, sf, "l_discount", maps.build_entropy)
+
+
+@query("roundtrip_fixed_quantity", _LINES.format("l_quantity"))
+def _(spark, sf):
+    return _line_values(spark, sf, "l_quantity", maps.build_fixed)
+
+
+def _simple(table, key, value, build, **options):
+    def run(spark, sf):
+        df = src.table(spark, sf, table).select(key, value)
+        return build(df, key, value, **options).attach(df.select(key), "value")
+
+    return run
+
+
+for _kind, _build in (("entropy", maps.build_entropy), ("fixed", maps.build_fixed), ("sparse", maps.build_sparse)):
+    query(f"roundtrip_{_kind}_priority", "SELECT o_orderkey, o_orderpriority AS value FROM orders")(_simple("orders", "o_orderkey", "o_orderpriority", _build))
+query("roundtrip_sparse_status", "SELECT o_orderkey, o_orderstatus AS value FROM orders")(_simple("orders", "o_orderkey", "o_orderstatus", maps.build_sparse))
+for _filter in ("none", "root", "all"):
+    query(f"roundtrip_entropy_filter_{_filter}", "SELECT e.doc_id, e.toxic AS value FROM labels e")(_simple("labels", "doc_id", "toxic", maps.build_entropy, cfg=replace(CFG, filter=_filter)))
+for _name, _cfg in (("randomised", replace(CFG, r_mode="randomised")), ("huffman", replace(CFG, coder="huffman")), ("fixed_code", replace(CFG, coder="fixed")), ("no_head", replace(CFG, fast_head=False)), ("narrow", replace(CFG, ribbon_width=16, bucket=128)), ("per_bit_key", replace(CFG, layout="per_bit_key"))):
+
+    def _variant(spark, sf, cfg=_cfg):
+        m = src.windows(spark, sf)
+        return given_back(m, guided(m, GaussianNB(), cfg))
+
+    query(f"roundtrip_guided_{_name}", "SELECT event_id, CAST(floor((dayofmonth(ts) - 1) / 3) AS INTEGER) AS value FROM events")(_variant)
+
+
+@query("roundtrip_guided_window10", "SELECT event_id, CAST(floor((dayofmonth(ts) - 1) / 3) AS INTEGER) AS value FROM events")
+def _(spark, sf):
+    m = src.windows(spark, sf)
+    return given_back(m, guided(m, GaussianNB()))
+
+
+@query("roundtrip_guided_window10_mlp", "SELECT event_id, CAST(floor((dayofmonth(ts) - 1) / 3) AS INTEGER) AS value FROM events")
+def _(spark, sf):
+    m = src.windows(spark, sf)
+    return given_back(m, guided(m, MLP(hidden=1, units=50, dtype="int8")))
+
+
+@query("roundtrip_guided_day", "SELECT event_id, CAST(dayofmonth(ts) AS INTEGER) AS value FROM events")
+def _(spark, sf):
+    m = src.days(spark, sf)
+    return given_back(m, guided(m, GaussianNB()))
+
+
+@query("roundtrip_guided_day_shuffled", "SELECT event_id, CAST(dayofmonth(ts) AS INTEGER) AS value FROM events")
+def _(spark, sf):
+    m = src.days(spark, sf)
+    return given_back(m, guided(m, GaussianNB(), replace(CFG, shard_keys=1 << 11)), "shuffle")
+
+
+_SLICE = "CAST(least(floor(((epoch_us(ts) - 1704067200000000) / (30 * 86400000000.0::DOUBLE)) * 82), 81) AS INTEGER)"
+
+
+@query("roundtrip_guided_slice82", f"SELECT event_id, {_SLICE} AS value FROM events")
+def _(spark, sf):
+    m = src.slices(spark, sf)
+    return given_back(m, guided(m, GaussianNB()))
+
+
+@query("roundtrip_guided_gauss", "SELECT i AS id, CAST(i % 8 AS INTEGER) AS value FROM range((SELECT count(*) FROM lineitem)) t(i)")
+def _(spark, sf):
+    m = src.gauss(spark, src.table(spark, sf, "lineitem").count(), 8, 0.5)
+    return given_back(m, guided(m, GaussianNB()))
+
+
+@query("roundtrip_guided_url_english", "SELECT url, contains(html, 'lang=\"en\"') AS value FROM pages")
+def _(spark, sf):
+    m = src.url_language(spark, sf)
+    return given_back(m, guided(m, Logistic()))
+
+
+@query("roundtrip_guided_quality", "SELECT doc_id, quality AS value FROM labels")
+def _(spark, sf):
+    m = src.quality(spark, sf)
+    return given_back(m, guided(m, Logistic()))
+
+
+@query("roundtrip_guided_role", "SELECT conv_id, turn, role AS value FROM conversations")
+def _(spark, sf):
+    m = src.role(spark, sf)
+    return given_back(m, guided(m, BucketTable(columns=2)))
+
+
+@query("roundtrip_guided_region", "SELECT c_custkey, n_nationkey % 5 AS value FROM customer JOIN nation ON c_nationkey = n_nationkey")
+def _(spark, sf):
+    m = src.region(spark, sf)
+    return given_back(m, guided(m, BucketTable(columns=1)))
+
+
+@query("roundtrip_view_region", "SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, l_extendedprice, r_name AS value FROM (SELECT DISTINCT l_orderkey, l_partkey, l_suppkey, l_linenumber, l_extendedprice, l_shipdate FROM lineitem) JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey")
+def _(spark, sf):
+    m = src.view_region(spark, sf)
+    return given_back(m, guided(m, BucketTable(columns=1))).drop("l_shipdate")
+
+
+@query("roundtrip_tuple_flags", "SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, l_extendedprice, min(l_returnflag) AS flag, min(l_linestatus) AS status FROM lineitem GROUP BY l_orderkey, l_partkey, l_suppkey, l_linenumber, l_extendedprice, l_shipdate")
+def _(spark, sf):
+    df = src.lines(spark, sf)
+    built = maps.compress_columns(df, src.LINE, ["l_returnflag", "l_linestatus"], model=lambda hot: BucketTable(columns=3) if hot else None)
+    out = built[0].attach(df.select(*src.LINE), "l_returnflag")
+    return built[1].attach(out, "status").withColumnRenamed("l_returnflag", "flag").drop("l_shipdate")
+
+
+@query("roundtrip_user_model", "SELECT c_custkey, n_nationkey % 5 AS value FROM customer JOIN nation ON c_nationkey = n_nationkey")
+def _(spark, sf):
+    import numpy as np
+
+    m = src.region(spark, sf)
+    order = [v for v, _ in maps.dictionary(m.df, m.value)]
+    known = Custom(fn=lambda x: np.where(x[:, :1].astype(int) % 5 == np.array(order), 0.99, 0.0025))
+    return given_back(m, guided(m, known))
+
+
+@query("roundtrip_point_model", "SELECT event_id, CAST(floor((dayofmonth(ts) - 1) / 3) AS INTEGER) AS value FROM events")
+def _(spark, sf):
+    m = src.windows(spark, sf)
+    number = F.create_map(*[F.lit(x) for i, (v, _) in enumerate(maps.dictionary(m.df, m.value)) for x in (v, i)])
+    df = m.df.select("event_id", "part", number[F.least(F.floor(F.col("place") * 10), F.lit(9)).cast("int")].cast("double").alias("guess"))
+    p = src.Mapping(df, ["event_id"], "part", ["guess"])
+    return given_back(p, guided(p, Point(confidence=0.95)))
+
+
+_BITS = "SELECT word, (SELECT coalesce(sum(CASE WHEN substr(word, k, 1) IN ('a','e','i','o','u') AND substr(word, k + 1, 1) NOT IN ('a','e','i','o','u') THEN 1::BIGINT << (k - 1) ELSE 0 END), 0)::BIGINT FROM range(1, length(word)) t(k)) AS value FROM (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '[a-z]{2,}')) AS word FROM documents) WHERE length(word) <= 63"
+for _layout in ("interleaved", "per_position", "per_bit_key"):
+
+    def _bits(spark, sf, layout=_layout):
+        df = maps_checkpoint(src.words(spark, sf))
+        built = maps.build_bits(df, "word", "value", "size", replace(CFG, layout=layout))
+        got = built.attach(df.select("word", "size"), "window")
+        return got.select("word", F.expr("window & (shiftleft(1L, cast(size as int)) - 1)").alias("value"))
+
+    query(f"roundtrip_bitstring_{_layout}", _BITS)(_bits)
+
+
+def maps_checkpoint(df: DataFrame) -> DataFrame:
+    """df written once and reread."""
+    path = maps.scratch_path(df.sparkSession)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+@query("store_and_load", "SELECT o_orderkey, o_orderpriority AS value FROM orders")
+def _(spark, sf):
+    df = src.table(spark, sf, "orders").select("o_orderkey", "o_orderpriority")
+    path = maps.scratch_path(spark)
+    maps.build_entropy(df, "o_orderkey", "o_orderpriority").save(spark, path)
+    return maps.StaticMap.load(spark, path).attach(df.select("o_orderkey"), "value")
+
+
+@query("exceptall_lossless", "SELECT 0::BIGINT AS missing, 0::BIGINT AS added")
+def _(spark, sf):
+    m = src.region(spark, sf)
+    got, want = given_back(m, guided(m, GaussianNB())), m.df.select("c_custkey", F.col("n_regionkey").alias("value"))
+    return want.exceptAll(got).agg(F.count(F.lit(1)).alias("missing")).crossJoin(got.exceptAll(want).agg(F.count(F.lit(1)).alias("added")))
+
+
+@query("group_by_restored_column", "SELECT o_orderpriority AS value, count(*) AS n, round(sum(o_totalprice), 2) AS total FROM orders GROUP BY o_orderpriority")
+def _(spark, sf):
+    df = src.table(spark, sf, "orders").select("o_orderkey", "o_orderpriority", "o_totalprice")
+    got = maps.build_entropy(df, "o_orderkey", "o_orderpriority").attach(df.select("o_orderkey", "o_totalprice"), "value")
+    return got.groupBy("value").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total"))
+
+
+@query("lookup_where", "SELECT o_orderkey, o_orderpriority AS value FROM orders WHERE o_orderkey < 1000 AND o_orderpriority = '1-URGENT'")
+def _(spark, sf):
+    df = src.table(spark, sf, "orders")
+    built = maps.build_entropy(df, "o_orderkey", "o_orderpriority")
+    return built.attach(df.select("o_orderkey"), "value", where=F.col("o_orderkey") < 1000).filter("value = '1-URGENT'")
+
+
+@query("sql_function", "SELECT o_orderkey, o_orderstatus AS value FROM orders")
+def _(spark, sf):
+    df = src.table(spark, sf, "orders")
+    built = maps.build_entropy(df, "o_orderkey", "o_orderstatus")
+    sql.register(spark, "static_lookup", built)
+    sql.hashes(df.select("o_orderkey"), built).createOrReplaceTempView("predmap_queries")
+    return spark.sql("SELECT o_orderkey, static_lookup(h1, h2, features) AS value FROM predmap_queries")
+
+
+@query("layer_report")
+def _(spark, sf):
+    df = src.table(spark, sf, "orders")
+    return sql.layer_report(spark, maps.build_entropy(df, "o_orderkey", "o_orderpriority", CFG))
+
+
+@query("duplicate_key_check", "SELECT l_orderkey, l_linenumber, count(*) AS n FROM lineitem GROUP BY ALL HAVING count(DISTINCT l_returnflag) > 1")
+def _(spark, sf):
+    df = src.table(spark, sf, "lineitem")
+    return df.groupBy("l_orderkey", "l_linenumber").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("l_returnflag").alias("d")).filter("d > 1").drop("d")
+
+
+@query("non_member_keys", "SELECT 0::BIGINT AS outside_values")
+def _(spark, sf):
+    df = src.table(spark, sf, "orders").select("o_orderkey", "o_orderpriority")
+    built = maps.build_entropy(df, "o_orderkey", "o_orderpriority")
+    got = built.attach(df.select((F.col("o_orderkey") + 1_000_000_000).alias("o_orderkey")), "value")
+    return got.agg(F.sum((~F.col("value").isin(*[v for v, _ in built.values])).cast("long")).alias("outside_values"))
+
+
+# -- baselines: the explicit table, three ways to join it
+
+
+for _hint in ("broadcast", "merge", "shuffle_hash"):
+
+    def _explicit(spark, sf, hint=_hint):
+        df = src.table(spark, sf, "orders")
+        stored = baselines.explicit(df, "o_orderkey", "o_orderpriority", maps.scratch_path(spark))
+        return baselines.explicit_lookup(df.select("o_orderkey"), stored, "o_orderkey", "o_orderpriority", hint=hint)
+
+    query(f"explicit_{_hint}", "SELECT o_orderkey, o_orderpriority AS value FROM orders")(_explicit)
+
+
+# -- filters and memberships
+
+
+def _odd_customers(spark, sf):
+    return src.table(spark, sf, "customer").select("c_custkey", (1 + F.col("c_custkey") % 12).alias("r")).filter("c_custkey % 5 = 2")
+
+
+@query("filter_no_false_negatives", "SELECT c_custkey FROM customer WHERE c_custkey % 5 = 2")
+def _(spark, sf):
+    members = _odd_customers(spark, sf)
+    return filters.might_contain(filters.build(members, "c_custkey", 8), members).filter("might_contain").select("c_custkey")
+
+
+@query("weighted_filter_members", "SELECT c_custkey, 1 + c_custkey % 12 AS r FROM customer WHERE c_custkey % 5 = 2")
+def _(spark, sf):
+    members = _odd_customers(spark, sf)
+    return filters.might_contain(filters.build(members, "c_custkey", "r"), members, r="r").filter("might_contain").select("c_custkey", "r")
+
+
+@query("filter_fp_bound", "SELECT r, true AS ok FROM (VALUES (1), (2), (3), (5)) t(r)")
+def _(spark, sf):
+    members, out = src.table(spark, sf, "orders").select("o_orderkey"), None
+    others = spark.range(50_000).select((F.col("id") + 10**9).alias("o_orderkey"))
+    for r in (1, 2, 3, 5):
+        row = filters.fp_rate(filters.build(members, "o_orderkey", r), others, r)
+        ok = F.abs(F.col("rate") - F.col("bound")) <= 5 * F.sqrt(F.col("bound") / F.col("probes")) + 0.01
+        out = row.select("r", ok.alias("ok")) if out is None else out.unionByName(row.select("r", ok.alias("ok")))
+    return out
+
+
+@query("weighted_filter_fp_rates")
+def _(spark, sf):
+    """False positives by r of a weighted filter whose keys have r of 1 to 12."""
+    members = src.table(spark, sf, "orders").select("o_orderkey", (1 + F.col("o_orderkey") % 12).alias("r"))
+    others = spark.range(60_000).select((F.col("id") + 10**9).alias("o_orderkey"), (1 + F.col("id") % 12).alias("r"))
+    got = filters.might_contain(filters.build(members, "o_orderkey", "r"), others, r="r")
+    return got.groupBy("r").agg(F.count(F.lit(1)).alias("probes"), F.avg(F.col("might_contain").cast("double")).alias("rate")).withColumn("bound", F.pow(F.lit(2.0), -F.col("r")))
+
+
+@query("bloom_members", "SELECT c_custkey FROM customer WHERE c_custkey % 5 = 2")
+def _(spark, sf):
+    members = _odd_customers(spark, sf).select("c_custkey")
+    n = members.count()
+    return filters.bloom_might_contain(members, filters.bloom_words(members, "c_custkey", n, 8), "c_custkey", n, 8).filter("might_contain").select("c_custkey")
+
+
+@query("benchmark_filter", "SELECT count(*) AS n FROM benchmark")
+def _(spark, sf):
+    """Benchmark texts as a set, asked with themselves and with the documents: members are all found."""
+    b = src.table(spark, sf, "benchmark").select("text")
+    return filters.might_contain(filters.build(b, "text", 12), b).filter("might_contain").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("membership_roundtrip", "SELECT doc_id, quality = 0 AS value FROM labels")
+def _(spark, sf):
+    m = src.quality(spark, sf)
+    df = m.df.withColumn("member", F.col("quality") == 0).withColumn("share", F.when(F.col("odd") > 0.1, 0.7).otherwise(0.05))
+    return maps.build_membership(df, "doc_id", "member", "share").attach(df.select("doc_id", "share"), "value").drop("share")
+
+
+@query("membership_unweighted", "SELECT doc_id, toxic = 1 AS value FROM labels")
+def _(spark, sf):
+    df = src.table(spark, sf, "labels").select("doc_id", (F.col("toxic") == 1).alias("member"))
+    return maps.build_membership(df, "doc_id", "member", 0.1).attach(df.select("doc_id"), "value")
+
+
+# -- measures
+
+_H0 = {"orders": ("o_orderstatus", "o_orderpriority"), "documents": ("lang", "source"), "labels": ("quality", "toxic"), "conversations": ("role",), "events": ("event_type", "user_id"), "part": ("p_brand", "p_type", "p_size"), "lineitem": ("l_returnflag", "l_linestatus", "l_discount", "l_tax", "l_quantity", "l_linenumber"), "customer": ("c_mktsegment",), "supplier": ("s_nationkey",)}
+_H0_ONE = "SELECT '{1}' AS name, sum(c)::BIGINT AS n, count(*)::BIGINT AS classes, round(log2(sum(c)) - sum(c * log2(c)) / sum(c), 6) AS h0, round(max(c) / sum(c), 6) AS majority FROM (SELECT count(*) AS c FROM {0} GROUP BY {1})"
+
+
+@query("zero_order_entropy", " UNION ALL ".join(_H0_ONE.format(t, c) for t, cs in _H0.items() for c in cs))
+def _(spark, sf):
+    out = None
+    for t, cs in _H0.items():
+        for c in cs:
+            row = metrics.value_stats(src.table(spark, sf, t), c).select(F.lit(c).alias("name"), "n", "classes", F.round("h0", 6).alias("h0"), F.round("majority", 6).alias("majority"))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("value_dictionary", "SELECT CAST(row_number() OVER (ORDER BY n DESC, value) - 1 AS INTEGER) AS vid, value, n FROM (SELECT o_orderpriority AS value, count(*) AS n FROM orders GROUP BY 1)")
+def _(spark, sf):
+    rows = maps.dictionary(src.table(spark, sf, "orders"), "o_orderpriority")
+    return spark.createDataFrame([(i, v, n) for i, (v, n) in enumerate(rows)], "vid int, value string, n long")
+
+
+_BUCKET = "SELECT {key}, round(-log2(count(*) OVER (PARTITION BY {b}, {v}) / count(*) OVER (PARTITION BY {b})), 6) AS bits FROM {t}"
+
+
+@query("bucket_surprisal", _BUCKET.format(key="conv_id, turn", b="turn = 0, turn % 2", v="role", t="conversations"))
+def _(spark, sf):
+    df = src.table(spark, sf, "conversations").select("conv_id", "turn", "role")
+    return metrics.bucket_surprisal(df, [F.col("turn") == 0, F.col("turn") % 2], "role").select("conv_id", "turn", F.round("bits", 6).alias("bits"))
+
+
+@query("bucket_sigma", "SELECT round(sum(bits), 4) AS s, (SELECT 16 * count(*) FROM (SELECT DISTINCT turn = 0, turn % 2, role FROM conversations)) AS enc FROM (" + _BUCKET.format(key="conv_id", b="turn = 0, turn % 2", v="role", t="conversations") + ")")
+def _(spark, sf):
+    df = src.table(spark, sf, "conversations").select("turn", "role")
+    cells = df.select(F.col("turn") == 0, F.col("turn") % 2, "role").distinct().agg((16 * F.count(F.lit(1))).alias("enc"))
+    return metrics.bucket_surprisal(df, [F.col("turn") == 0, F.col("turn") % 2], "role").agg(F.round(F.sum(F.round("bits", 6)), 4).alias("s")).crossJoin(cells)
+
+
+@query("gnb_moments", "SELECT dayofmonth(ts) AS day, count(*) AS n, round(avg(event_id), 4) AS mean_event_id, round(var_pop(event_id), 2) AS var_event_id FROM events GROUP BY 1")
+def _(spark, sf):
+    df = src.table(spark, sf, "events").select(F.dayofmonth("ts").cast("long").alias("day"), F.col("event_id").cast("double").alias("event_id"))
+    return metrics.class_moments(df, "day", ["event_id"]).select("day", "n", F.round("mean_event_id", 4).alias("mean_event_id"), F.round("var_event_id", 2).alias("var_event_id"))
+
+
+_GAUSS = "SELECT i, i % 8 AS c, 2 * (i % 8) + {s} * sqrt(-2 * ln((('0x' || substr(md5(i::VARCHAR), 1, 8))::BIGINT + 0.5) / 4294967296.0)) * cos(2 * pi() * (('0x' || substr(md5(i::VARCHAR), 9, 8))::BIGINT + 0.5) / 4294967296.0) AS x FROM range((SELECT count(*) FROM lineitem)) t(i)"
+_POSTERIOR = "SELECT {s} AS sigma, round(avg(-log2(exp(-(x - 2 * c) * (x - 2 * c) / (2 * {s} * {s})) / (SELECT sum(exp(-(x - 2 * k) * (x - 2 * k) / (2 * {s} * {s}))) FROM range(8) q(k)))), 3) AS s_per_key FROM (" + _GAUSS + ")"
+
+
+@query("gauss_surprisal", " UNION ALL ".join(_POSTERIOR.format(s=f"{s}::DOUBLE") for s in (0.25, 0.5, 0.75, 1.0)))
+def _(spark, sf):
+    """S/n with true posteriors, natively: the numbers to replicate are 0.0002, 0.153, 0.558 and 0.914."""
+    n, out = src.table(spark, sf, "lineitem").count(), None
+    for s in (0.25, 0.5, 0.75, 1.0):
+        df = src.gauss(spark, n, 8, s).df
+        like = [F.exp(-((F.col("x") - 2 * k) ** 2) / (2 * s * s)) for k in range(8)]
+        own = F.exp(-((F.col("x") - 2 * F.col("class")) ** 2) / (2 * s * s))
+        row = df.agg(F.round(F.avg(-F.log2(own / sum(like))), 3).alias("s_per_key")).select(F.lit(s).alias("sigma"), "s_per_key")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("shannon_lengths", "SELECT value, n, CAST((SELECT min(l) FROM range(64) t(l) WHERE n * (1::HUGEINT << l) >= (SELECT count(*) FROM part)) AS INTEGER) AS length FROM (SELECT p_brand AS value, count(*) AS n FROM part GROUP BY 1)")
+def _(spark, sf):
+    import numpy as np
+
+    rows = maps.dictionary(src.table(spark, sf, "part"), "p_brand")
+    lengths = codes.shannon_lengths(np.array([[n for _, n in rows]]))[0]
+    return spark.createDataFrame([(v, n, int(x)) for (v, n), x in zip(rows, lengths, strict=True)], "value string, n long, length int")
+
+
+_LENGTHS = "SELECT value, n, (SELECT min(l) FROM range(64) t(l) WHERE n * (1::HUGEINT << l) >= (SELECT count(*) FROM events)) AS l FROM (SELECT event_type AS value, count(*) AS n FROM events GROUP BY 1)"
+
+
+@query("shannon_codes", f"WITH w AS ({_LENGTHS}), s AS (SELECT *, coalesce(sum(2.0 ** -l) OVER (ORDER BY l, n DESC, value ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS f FROM w) SELECT value, lpad(bin(CAST(floor(f * 2.0 ** l) AS BIGINT)), CAST(l AS INTEGER), '0') AS code FROM s")
+def _(spark, sf):
+    import numpy as np
+
+    rows = maps.dictionary(src.table(spark, sf, "events"), "event_type")
+    code = codes.Code(np.array([[n for _, n in rows]], np.int64))
+    out = [(rows[v][0], format(int(w) >> (codes.DEPTH - int(n)), f"0{n}b")) for v, w, n in zip(code.order[0], code.word[0], code.length[0], strict=True)]
+    return spark.createDataFrame(out, "value string, code string")
+
+
+@query("huffman_cost")
+def _(spark, sf):
+    """Total bits of global Huffman codes against n H0."""
+    out = []
+    for t, cs in _H0.items():
+        for c in cs:
+            n = [k for _, k in maps.dictionary(src.table(spark, sf, t), c)]
+            bits = sum(a * b for a, b in zip(n, codes.huffman_row(n), strict=True))
+            out.append((c, bits, sum(n) * theory.entropy([x / sum(n) for x in n])))
+    return spark.createDataFrame(out, "name string, bits long, entropy_bits double")
+
+
+_CURVE = "SELECT i, i / 10000.0::DOUBLE AS p FROM range(1, 5001) t(i)"
+_RINT = "(SELECT count(*) FROM range(1, 41) q(k) WHERE 2.0 ** k < (1 - p) / p)"
+
+
+@query("filter_length_curve", f"SELECT i, CAST({_RINT} AS INTEGER) AS r, round(greatest(0, log2(ln(2) * (1 - p) / p)), 6) AS r_real FROM ({_CURVE})")
+def _(spark, sf):
+    return metrics.overhead_curve(spark).select("i", "r", F.round("r_real", 6).alias("r_real"))
+
+
+@query("overhead_curve", f"SELECT i, round(si + 1e-9, 6) AS space_int, round(sr + 1e-9, 6) AS space_real, round(h + 1e-9, 6) AS h, round(si / h - 1 + 1e-9, 5) AS over_int, round(sr / h - 1 + 1e-9, 5) AS over_real FROM (SELECT i, p * r + p + (1 - p) * 2.0 ** -r AS si, p * rr + p + (1 - p) * 2.0 ** -rr AS sr, -(p * log2(p) + (1 - p) * log2(1 - p)) AS h FROM (SELECT i, p, {_RINT} AS r, greatest(0, log2(ln(2) * (1 - p) / p)) AS rr FROM ({_CURVE})))")
+def _(spark, sf):
+    return metrics.overhead_curve(spark).select("i", *[F.round(F.col(c) + 1e-9, d).alias(c) for d, cs in ((6, ("space_int", "space_real", "h")), (5, ("over_int", "over_real"))) for c in cs])
+
+
+_TREES = "SELECT e, name, round(l, 6) AS l, round(l - h, 6) AS excess FROM (SELECT e, 'a' AS name, 1 + 2 * e AS l, -((1 - 2 * e) * log2(1 - 2 * e) + 2 * e * log2(e)) AS h FROM (VALUES (0.1::DOUBLE), (0.01::DOUBLE), (0.001::DOUBLE)) t(e) UNION ALL SELECT e, 'b', 1.5, -(0.5 * log2(0.5) + (0.5 - e) * log2(0.5 - e) + e * log2(e)) FROM (VALUES (0.1::DOUBLE), (0.01::DOUBLE), (0.001::DOUBLE)) t(e) UNION ALL SELECT e, 'c', 2 - 2 * e, -(2 * e * log2(2 * e) + 2 * (0.5 - e) * log2(0.5 - e)) FROM (VALUES (0.1::DOUBLE), (0.01::DOUBLE), (0.001::DOUBLE)) t(e))"
+
+
+@query("tree_excess_cases", _TREES)
+def _(spark, sf):
+    rows = []
+    for e in (0.1, 0.01, 0.001):
+        for name, p, depth in (("a", (1 - 2 * e, e, e), (1, 2, 2)), ("b", (0.5, 0.5 - e, e), (1, 2, 2)), ("c", (2 * e, 0.5 - e, 0.5 - e), (1, 2, 2))):
+            n = theory.expected_length(p, depth)
+            rows.append((e, name, round(n, 6), round(n - theory.entropy(p), 6)))
+    return spark.createDataFrame(rows, "e double, name string, l double, excess double")
+
+
+_CONF = "WITH c AS (SELECT turn = 0 AS b0, turn % 2 AS b1, role, count(*) AS n FROM conversations GROUP BY 1, 2, 3), f AS (SELECT b0, b1, max(n) / sum(n) AS confidence, arg_max(role, (n, role)) AS guess FROM c GROUP BY 1, 2), p AS (SELECT v.conv_id, v.turn, f.confidence, CAST(v.role = f.guess AS BIGINT) AS hit FROM conversations v JOIN f ON (v.turn = 0) = f.b0 AND v.turn % 2 = f.b1)"
+
+
+def _confident(spark, sf):
+    df = src.table(spark, sf, "conversations").select("conv_id", "turn", "role", (F.col("turn") == 0).alias("b0"), (F.col("turn") % 2).alias("b1"))
+    n = df.groupBy("b0", "b1", "role").agg(F.count(F.lit(1)).alias("n"))
+    best = n.groupBy("b0", "b1").agg((F.max("n") / F.sum("n")).alias("confidence"), F.max_by("role", F.struct("n", "role")).alias("guess"))
+    return df.join(best, ["b0", "b1"]).select("conv_id", "turn", "role", "guess", "confidence", (F.col("role") == F.col("guess")).cast("long").alias("hit"))
+
+
+@query("reliability_curve", _CONF + " SELECT CAST(least(floor(confidence * 50), 49) AS INTEGER) AS bin, count(*) AS n, round(avg(confidence), 6) AS confidence, round(avg(hit), 6) AS accuracy FROM p GROUP BY 1")
+def _(spark, sf):
+    r = metrics.reliability(_confident(spark, sf))
+    return r.select("bin", "n", F.round("confidence", 6).alias("confidence"), F.round("accuracy", 6).alias("accuracy"))
+
+
+@query("ece_50_bins", _CONF + " SELECT round(sum(n * abs(c - a)) / sum(n), 6) AS ece FROM (SELECT count(*) AS n, avg(confidence) AS c, avg(hit) AS a FROM p GROUP BY least(floor(confidence * 50), 49))")
+def _(spark, sf):
+    return metrics.ece(_confident(spark, sf)).select(F.round("ece", 6).alias("ece"))
+
+
+@query("topk_accuracy", "WITH c AS (SELECT p_type, p_brand, count(*) AS n FROM part GROUP BY 1, 2), r AS (SELECT *, row_number() OVER (PARTITION BY p_type ORDER BY n DESC, p_brand) AS k FROM c) SELECT round(sum(CASE WHEN k <= 1 THEN n ELSE 0 END) / sum(n), 6) AS top1, round(sum(CASE WHEN k <= 3 THEN n ELSE 0 END) / sum(n), 6) AS top3 FROM r")
+def _(spark, sf):
+    from pyspark.sql import Window
+
+    c = src.table(spark, sf, "part").groupBy("p_type", "p_brand").agg(F.count(F.lit(1)).alias("n"))
+    r = c.withColumn("k", F.row_number().over(Window.partitionBy("p_type").orderBy(F.desc("n"), "p_brand")))
+    return r.agg(*[F.round(F.sum(F.when(F.col("k") <= k, F.col("n")).otherwise(0)) / F.sum("n"), 6).alias(f"top{k}") for k in (1, 3)])
+
+
+@query("stratified_split_counts", "SELECT o_orderstatus, part, count(*) AS n FROM (SELECT o_orderstatus, CASE WHEN r < 0.2 THEN 'test' WHEN r < 0.28 THEN 'validation' ELSE 'train' END AS part FROM (SELECT o_orderstatus, percent_rank() OVER (PARTITION BY o_orderstatus ORDER BY md5(o_orderkey::VARCHAR)) AS r FROM orders)) GROUP BY 1, 2")
+def _(spark, sf):
+    df = metrics.stratified(src.table(spark, sf, "orders").select("o_orderkey", "o_orderstatus"), "o_orderstatus", "o_orderkey")
+    return df.groupBy("o_orderstatus", "part").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("cube_metrics", "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")
+def _(spark, sf):
+    return src.table(spark, sf, "orders").cube("o_orderstatus", "o_orderpriority").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("topk_surprising", "SELECT conv_id, turn, bits FROM (" + _BUCKET.format(key="conv_id, turn", b="turn = 0, turn % 2", v="role", t="conversations") + ") ORDER BY bits DESC, conv_id, turn LIMIT 20")
+def _(spark, sf):
+    return QUERIES["bucket_surprisal"](spark, sf).orderBy(F.desc("bits"), "conv_id", "turn").limit(20)
+
+
+# -- streams
+
+_EVENT_BITS = "(SELECT event_type, -log2(count(*) / (SELECT count(*) FROM events)) AS bits FROM events GROUP BY 1)"
+
+
+@query("stream_surprisal_windows", f"SELECT date_trunc('hour', ts) AS window_start, count(*) AS n, round(avg(bits), 6) AS mean_bits FROM events JOIN {_EVENT_BITS} USING (event_type) GROUP BY 1")
+def _(spark, sf):
+    counts = maps.dictionary(src.table(spark, sf, "events"), "event_type")
+    n = sum(c for _, c in counts)
+    bits = F.create_map(*[F.lit(x) for v, c in counts for x in (v, theory.surprisal(c / n))])[F.col("event_type")]
+    stream = monitor.file_stream(spark, sf, "events", src.table(spark, sf, "events").schema).withColumn("ts", F.col("ts").cast("timestamp"))
+    out = monitor.run_available(monitor.surprisal_windows(stream, bits), maps.scratch_path(spark))
+    return out.select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "n", F.round("mean_bits", 6).alias("mean_bits"))
+
+
+@query("stream_enriched", "SELECT event_id, CAST(dayofmonth(ts) AS INTEGER) AS value FROM events")
+def _(spark, sf):
+    m = src.days(spark, sf)
+    built, n = guided(m, GaussianNB()), m.df.count()
+    stream = monitor.file_stream(spark, sf, "events", src.table(spark, sf, "events").schema)
+    keys = stream.select("event_id", (F.col("event_id") / F.lit(float(max(1, n)))).alias("place"))
+    return monitor.run_available(monitor.enrich(keys, built).select("event_id", "value"), maps.scratch_path(spark), "append")
+
+
+@query("asof_generation", "SELECT event_id, CASE WHEN ts < TIMESTAMP '2024-01-10' THEN 0 WHEN ts < TIMESTAMP '2024-01-20' THEN 1 ELSE 2 END AS generation FROM events")
+def _(spark, sf):
+    begun = spark.createDataFrame([("2024-01-01", 0), ("2024-01-10", 1), ("2024-01-20", 2)], "since string, generation int").withColumn("since", F.to_timestamp("since"))
+    return monitor.generation_at(src.table(spark, sf, "events").select("event_id", "ts"), begun).select("event_id", "generation")
+
+
+# -- the experiments' tables
+
+
+def _usual(m: src.Mapping) -> list[tuple]:
+    x = m.features
+    return [("gaussian", GaussianNB(), x), ("logistic", Logistic(), x), ("mlp 1x50", MLP(hidden=1, units=50), x)]
+
+
+@query("model_table")
+def _(spark, sf):
+    """Models on every learnable mapping: size, surprisal, accuracy, calibration, times. The paper's table of models."""
+    rows = []
+    for name, fn in src.LEARNED.items():
+        m = fn(spark, sf)
+        best, found = select.best(m.df, m.keys[0], m.value, _usual(m))
+        rows += [(name, c.name, c.n, c.params, c.s_per_key, c.enc_per_key, c.sigma, c.top1, c.top3, c.ece, c.fit_us, c.infer_us, c is best) for c in found]
+    return spark.createDataFrame(rows, "workload string, model string, n long, params long, s_per_key double, enc_per_key double, sigma double, top1 double, top3 double, ece double, training_us double, inference_us double, chosen boolean")
+
+
+@query("model_selection", "SELECT * FROM (VALUES ('vectors', true), ('windows', true), ('days', true)) t(workload, as_expected)")
+def _(spark, sf):
+    """A model must earn its size: none for the vectors, one for windows and days."""
+    rows = []
+    for name, learn in (("vectors", False), ("windows", True), ("days", True)):
+        m = src.LEARNED[name](spark, sf)
+        best, _ = select.best(m.df, m.keys[0], m.value, _usual(m)[:2])
+        rows.append((name, (best.name != "constant") == learn))
+    return spark.createDataFrame(rows, "workload string, as_expected boolean")
+
+
+def _compare(spark, sf, m: src.Mapping, name: str, model) -> list[tuple]:
+    """Rows of the table of structures for one mapping."""
+    h0 = metrics.value_stats(m.df, m.value).head()
+    rows, df = [], m.df
+    build = {
+        "fixed": lambda: maps.build_fixed(df, m.keys, m.value),
+        "sparse": lambda: maps.build_sparse(df, m.keys, m.value),
+        "entropy, no filter": lambda: maps.build_entropy(df, m.keys, m.value, replace(CFG, filter="none")),
+        "entropy, root filter": lambda: maps.build_entropy(df, m.keys, m.value, replace(CFG, filter="root")),
+        "entropy": lambda: maps.build_entropy(df, m.keys, m.value),
+        f"guided, {model.kind}": lambda: guided(m, model),
+    }
+    for kind, make in build.items():
+        a = time.perf_counter()
+        built = make()
+        b = time.perf_counter()
+        metrics.noop(built.attach(df, "value_got"))
+        c = time.perf_counter()
+        s = built.space(spark)
+        demand = (s["filter_demand"] + s["correct_demand"]) / h0["n"]
+        rows.append((name, kind, h0["n"], h0["classes"], h0["h0"], s["bits_per_key"], demand, (s["words"] + s["bumps"] + s["header"]) / h0["n"], s["model"] / h0["n"], (b - a) / h0["n"] * 1e6, (c - b) / h0["n"] * 1e6))
+    rows.append((name, "explicit", h0["n"], h0["classes"], h0["h0"], baselines.explicit_bits(df, m.keys, m.value), 0.0, 0.0, 0.0, 0.0, 0.0))
+    return rows
+
+
+SPACE = "workload string, structure string, n long, classes long, h0 double, bits_per_key double, demand_per_key double, structure_per_key double, model_per_key double, build_us double, query_us double"
+
+
+@query("space_table")
+def _(spark, sf):
+    """Space and time of all structures on learnable mappings: the paper's table of competitors."""
+    rows = []
+    for name, model in (("windows", GaussianNB()), ("days", GaussianNB()), ("slices", GaussianNB()), ("language", Logistic()), ("url_language", Logistic()), ("quality", Logistic())):
+        rows += _compare(spark, sf, src.LEARNED[name](spark, sf), name, model)
+    n = src.table(spark, sf, "lineitem").count()
+    for s in (0.25, 0.5, 0.75, 1.0):
+        rows += _compare(spark, sf, src.gauss(spark, n, 8, s), f"gauss {s}", GaussianNB())
+    return spark.createDataFrame(rows, SPACE)
+
+
+@query("control_table")
+def _(spark, sf):
+    """Columns with nothing to learn: the entropy map is near H0."""
+    rows = []
+    for t, k, v in src.CONTROLS:
+        df = src.table(spark, sf, t).select(k, v)
+        h0 = metrics.value_stats(df, v).head()
+        rows.append((f"{t}.{v}", h0["n"], h0["classes"], h0["h0"], maps.build_entropy(df, k, v).space(spark)["bits_per_key"]))
+    return spark.createDataFrame(rows, "name string, n long, classes long, h0 double, entropy_map double")
+
+
+@query("sweep_gauss")
+def _(spark, sf):
+    """Overhead and times over hardness and number of classes: the paper's figure."""
+    n, rows = src.table(spark, sf, "lineitem").count(), []
+    for classes in (2, 8, 32):
+        for sigma in (0.3, 0.5, 0.8, 1.5, 4.0):
+            m = src.gauss(spark, n, classes, sigma)
+            c = select.measure(m.df, "id", "class", "gaussian", GaussianNB(), ["x"])
+            a = time.perf_counter()
+            built = guided(m, c.model)
+            b = time.perf_counter()
+            metrics.noop(built.attach(m.df, "got"))
+            d = time.perf_counter()
+            s = built.space(spark)
+            rows.append((classes, sigma, c.s_per_key, s["bits_per_key"], (s["words"] + s["bumps"] + s["header"]) / n / c.s_per_key - 1, (s["filter_demand"] + s["correct_demand"]) / n / c.s_per_key - 1, (b - a) / n * 1e6, (d - b) / n * 1e6, c.infer_us))
+    return spark.createDataFrame(rows, "classes int, sigma double, s_per_key double, bits_per_key double, overhead double, decision_overhead double, build_us double, query_us double, inference_us double")
+
+
+@query("hard_slices")
+def _(spark, sf):
+    """82 classes that overlap: the hard mapping with many values."""
+    n, rows = src.table(spark, sf, "lineitem").count(), []
+    for sigma in (2.0, 3.0):
+        m = src.gauss(spark, n, 82, sigma)
+        c = select.measure(m.df, "id", "class", "gaussian", GaussianNB(), ["x"])
+        rows.append((sigma, c.s_per_key, c.top1, c.top3, c.ece, guided(m, c.model).space(spark)["bits_per_key"]))
+    return spark.createDataFrame(rows, "sigma double, s_per_key double, top1 double, top3 double, ece double, bits_per_key double")
+
+
+@query("ablation_table")
+def _(spark, sf):
+    """One change at a time: coder, filter, head shortcut, filter lengths, layout, width, weights' precision, overfitting."""
+    m, rows = src.windows(spark, sf), []
+    base = lambda **k: (replace(CFG, **k), GaussianNB())
+    cases = {
+        "base": base(), "huffman per key": base(coder="huffman"), "balanced code": base(coder="fixed"), "root filter": base(filter="root"), "no filter": base(filter="none"), "no head shortcut": base(fast_head=False),
+        "randomised lengths": base(r_mode="randomised"), "per-bit keys": base(layout="per_bit_key"), "width 32": base(ribbon_width=32), "width 16": base(ribbon_width=16), "load 1": base(load=1.0), "load 0.9": base(load=0.9),
+        "float32": (CFG, GaussianNB(dtype="float32")), "logistic float16": (CFG, Logistic()), "logistic float32": (CFG, Logistic(dtype="float32")), "logistic int8": (CFG, Logistic(dtype="int8")), "logistic overfit": (CFG, Logistic(early_stop_on="train")),
+    }
+    n = m.df.count()
+    for name, (cfg, model) in cases.items():
+        a = time.perf_counter()
+        built = guided(m, model, cfg)
+        b = time.perf_counter()
+        metrics.noop(built.attach(m.df, "got"))
+        c = time.perf_counter()
+        s = built.space(spark)
+        rows.append((name, s["bits_per_key"], (s["filter_demand"] + s["correct_demand"]) / n, s["model"] / n, (b - a) / n * 1e6, (c - b) / n * 1e6))
+    return spark.createDataFrame(rows, "variant string, bits_per_key double, demand_per_key double, model_per_key double, build_us double, query_us double")
+
+
+_TRUE = "SELECT true AS ok"
+
+
+@query("ribbon_overhead_bound", _TRUE)
+def _(spark, sf):
+    """A fixed-width map of 3-bit values costs at most 4 % more than 3 bits at 50,000 keys."""
+    df = spark.range(50_000).select("id", F.pmod(F.xxhash64("id"), F.lit(8)).alias("v"))
+    return spark.createDataFrame([(maps.build_fixed(df, "id", "v").space(spark)["bits_per_key"] < 1.04 * 3,)], "ok boolean")
+
+
+@query("entropy_map_bound", _TRUE)
+def _(spark, sf):
+    """The entropy map of a skewed column is within 6 % of H0, and below one bit per key."""
+    df = spark.range(60_000).select("id", F.when(F.pmod(F.xxhash64("id"), F.lit(100)) < 12, 1).otherwise(0).alias("v"))
+    h0, got = metrics.value_stats(df, "v").head()["h0"], maps.build_entropy(df, "id", "v").space(spark)["bits_per_key"]
+    return spark.createDataFrame([(got < 1 and got < 1.14 * h0,)], "ok boolean")
+
+
+@query("guided_space_bound", _TRUE)
+def _(spark, sf):
+    """The guided map of the synthetic mapping stays within 16 % of S plus constants, and below the entropy map and the fixed map."""
+    m = src.gauss(spark, 60_000, 8, 0.75)
+    s = select.measure(m.df, "id", "class", "gaussian", GaussianNB(), ["x"]).s_per_key
+    g, e = guided(m, GaussianNB()).space(spark)["bits_per_key"], maps.build_entropy(m.df, "id", "class").space(spark)["bits_per_key"]
+    return spark.createDataFrame([(g < 1.16 * s + 0.03 and g < e,)], "ok boolean")
+
+
+@query("filter_order_bound", _TRUE)
+def _(spark, sf):
+    """Filters at all nodes need no more than at the root only, and those no more than none, on a skewed column."""
+    df = spark.range(40_000).withColumn("h", F.pmod(F.xxhash64("id"), F.lit(100))).select("id", F.expr("CASE WHEN h < 90 THEN 0 WHEN h < 97 THEN 1 WHEN h < 99 THEN 2 ELSE 3 END").alias("v"))
+    a, b, c = (maps.build_entropy(df, "id", "v", replace(CFG, filter=f)).space(spark)["bits_per_key"] for f in ("all", "root", "none"))
+    return spark.createDataFrame([(a <= b * 1.01 and b <= c,)], "ok boolean")
+
+
+@query("comparison_pivot")
+def _(spark, sf):
+    """Bits per key of structures side by side."""
+    n = src.table(spark, sf, "orders").count()
+    rows = [r for s in (0.5, 1.0) for r in _compare(spark, sf, src.gauss(spark, n, 8, s), f"gauss {s}", GaussianNB())]
+    return spark.createDataFrame(rows, SPACE).groupBy("workload").pivot("structure").agg(F.round(F.first("bits_per_key"), 4))
+
