@@ -13,6 +13,7 @@ from collections.abc import Callable
 import numpy as np
 
 DEPTH = 48  # words are kept in 48 bits
+MOST_FILTER = 60
 
 
 def shannon_lengths(w: np.ndarray) -> np.ndarray:
@@ -102,13 +103,16 @@ class Walk:
         self.out = np.zeros(n, np.int64)
         self.todo = np.arange(n)
         self.total = w.sum(1)
+        self.used = np.zeros(n, np.int64)  # filter bits so far; a key has MOST_FILTER at most, later decisions do without
 
     def _r(self, rows, minor, major, depth):
         cfg = self.cfg
         if cfg.filter == "none":
             return np.zeros(len(rows), np.int64)
         r = filter_bits(minor, major, cfg.r_cap) if cfg.r_mode == "integer" else rounded_bits(minor, major, cfg.r_cap, (self.coin[rows] >> (depth % 4 * 16)) & 0xFFFF)
-        return np.where(depth > 0, 0, r) if cfg.filter == "root" else r
+        r = np.minimum(np.where(depth > 0, 0, r) if cfg.filter == "root" else r, MOST_FILTER - self.used[rows])
+        self.used[rows] += r
+        return r
 
     def run(self, step: Callable) -> np.ndarray:
         """step(rows, r, rare_leaves) -> whether each row takes its unlikely branch; rare_leaves(vid rank lookup) is None when querying."""
