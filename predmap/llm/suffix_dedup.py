@@ -134,7 +134,7 @@ def unpack(data: bytes) -> np.ndarray:
 def distinct(h: np.ndarray, doc: np.ndarray, bits: int):
     """Sorted distinct hashes cut to bits, whether each is in two documents, how often it is there (up to 255), and where each of h is."""
     cut = h >> np.uint64(64 - bits)
-    order = np.argsort(cut, kind="stable")
+    order = np.argsort(cut)
     c, d = cut[order], doc[order]
     new = np.ones(len(c), bool)
     new[1:] = c[1:] != c[:-1]
@@ -149,7 +149,7 @@ def distinct(h: np.ndarray, doc: np.ndarray, bits: int):
 def shared_bits(shards: list[tuple[np.ndarray, np.ndarray, np.ndarray]], hot: int = HOT) -> list[tuple[np.ndarray, np.ndarray]]:
     """For chunks' (sorted distinct hashes, in two documents already, how often): which are in two documents of all, and which are hot."""
     every = np.concatenate([h for h, _, _ in shards])
-    order = np.argsort(every, kind="stable")
+    order = np.argsort(every)
     e = every[order]
     at = np.flatnonzero(np.concatenate([[True], e[1:] != e[:-1]])) if len(e) else np.zeros(0, np.int64)
     size = np.diff(np.append(at, len(e)))
@@ -177,6 +177,7 @@ class RunIndex:
         new = np.ones(n, bool)
         new[1:] = bwt[1:] != bwt[:-1]
         self.head = np.flatnonzero(new)
+        self.run_of = np.cumsum(new, dtype=np.int32) - 1  # rank over run heads
         self.char = bwt[self.head]
         count = np.diff(np.append(self.head, n))
         firsts = np.concatenate([[m], m + np.cumsum(np.bincount(text[left > 0], minlength=256))[:-1]])  # first row of each byte
@@ -192,6 +193,7 @@ class RunIndex:
             z = min(n, at + (1 << 16))
             border[at:z] = ~(whole[at:z] & whole[at - 1 : z - 1]) | (lines[order[at:z]] != lines[order[at - 1 : z - 1]]).any(1)
         self.border = np.flatnonzero(border)
+        self.interval_of = np.cumsum(border, dtype=np.int32) - 1
         self.least = np.minimum.reduceat(numbers[which[order]], self.border)
 
     @staticmethod
@@ -205,21 +207,27 @@ class RunIndex:
         key = (key << np.uint64(3)) | np.minimum(left, step).astype(np.uint64)
         # of suffixes that end within the key, equal ones go by their string; a zero byte in the text is told from the end by left
         tie = np.where(left < step, which, 0)
-        order = np.lexsort((tie, key))
-        k, t = key[order], tie[order]
         rank = np.empty(n, np.int64)
-        rank[order] = np.cumsum(np.concatenate([[0], (k[1:] != k[:-1]) | (t[1:] != t[:-1])]))
+
+        def ranked(key):
+            order = np.argsort(key)
+            k = key[order]
+            new = np.empty(n, np.int64)
+            new[0], new[1:] = 0, k[1:] != k[:-1]
+            rank[order] = np.cumsum(new)
+            return order
+
+        ranked(key)
+        order = ranked(rank * (m + 1) + tie)
         while rank[order[-1]] < n - 1:
             far = np.where(left >= step, rank[np.minimum(np.arange(n) + step, n - 1)] + 1, 0)
-            order = np.argsort(rank * (n + 1) + far, kind="stable")
-            a, b = rank[order], far[order]
-            rank[order] = np.cumsum(np.concatenate([[0], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]))
+            order = ranked(rank * (n + 1) + far)
             step *= 2
         return order, rank
 
     def back(self, row: np.ndarray) -> np.ndarray:
         """Rows of the suffixes one byte longer."""
-        r = np.searchsorted(self.head, row, "right") - 1
+        r = self.run_of[row]
         return self.to[r] + row - self.head[r]
 
     def stream(self):
@@ -231,10 +239,10 @@ class RunIndex:
             alive, row = alive[keep], row[keep]
             row = self.back(row)
             if done >= self.length:
-                yield alive, self.size[alive] - done, self.least[np.searchsorted(self.border, row, "right") - 1]
+                yield alive, self.size[alive] - done, self.least[self.interval_of[row]]
 
 
-def settle(contexts: list[bytes], gram_at: list[int], docs: np.ndarray) -> np.ndarray:
+def settle(contexts: list[bytes], gram_at: list[int], docs: np.ndarray, index_bytes: int = INDEX_BYTES) -> np.ndarray:
     """For each context: a bit mask of its windows (bit k: the one at byte k) that occur in a context of a smaller document."""
     number: dict[bytes, int] = {}
     which = np.fromiter((number.setdefault(c, len(number)) for c in contexts), np.int64, len(contexts))
@@ -254,13 +262,13 @@ def settle(contexts: list[bytes], gram_at: list[int], docs: np.ndarray) -> np.nd
     out[later] = full[which[later]]
     names = np.flatnonzero(mixed)
     names = names[np.argsort(group[names], kind="stable")]  # an index takes whole groups, as equal windows are in one group
-    strings, rows = list(number), np.argsort(which, kind="stable")
+    strings, rows = list(number), np.argsort(which)
     first = np.searchsorted(which[rows], np.arange(len(number) + 1))
     out[np.flatnonzero(mixed[which])] = 0
     at = 0
     while at < len(names):
         size, z = 0, at
-        while z < len(names) and (size < INDEX_BYTES or group[names[z]] == group[names[z - 1]]):
+        while z < len(names) and (size < index_bytes or group[names[z]] == group[names[z - 1]]):
             size += len(strings[names[z]])
             z += 1
         part = names[at:z]
@@ -280,7 +288,7 @@ PARTS_ARROW = pa.schema([("shard", pa.int64()), ("chunk", pa.int64()), ("data",
 
 def _parts(shard: np.ndarray, shards: int):
     """Slices of rows sorted by shard: (shard, rows)."""
-    order = np.argsort(shard, kind="stable")
+    order = np.argsort(shard.astype(np.uint16) if shards < 1 << 16 else shard, kind="stable")
     at = np.searchsorted(shard[order], np.arange(shards + 1))
     return [(k, order[at[k] : at[k + 1]]) for k in range(shards) if at[k] < at[k + 1]]
 
@@ -305,47 +313,39 @@ def _unblob(data: bytes, *kinds) -> list:
 
 
 def _windows(raw: bytes, s: np.ndarray, e: np.ndarray, doc: np.ndarray, use: np.ndarray, shards: int):
-    """Single windows of the runs in use, each distinct one once, by a hash of its own: (shard, blob of windows, references, places, documents)."""
+    """Single windows of the runs in use, each distinct one once, by a hash of its own: what goes to shards (shard, windows and their
+    least document here), and what the chunk itself needs when they answer (shard of each window; for every place its window and document)."""
     number: dict[bytes, int] = {}
     ref: list[int] = []
     for a, z in zip(s[use].tolist(), e[use].tolist(), strict=True):
         ref += [number.setdefault(raw[p : p + LENGTH], len(number)) for p in range(a, z + 1)]
-    if not ref:
-        return
     count = e[use] - s[use] + 1
     place = np.repeat(s[use] - np.cumsum(count) + count, count) + np.arange(count.sum())
-    own, ref = np.repeat(doc[use], count), np.array(ref)
-    lines = list(number)
+    own, lines = np.repeat(doc[use], count), list(number)
+    low = np.full(len(lines), np.iinfo(np.int64).max)
+    np.minimum.at(low, ref, own)
     h = grams(np.frombuffer(b"".join(x + x[:GRAM] for x in lines), np.uint8))
     at = np.arange(len(lines)) * (LENGTH + GRAM)
     mixed = h[at] ^ (h[at + LENGTH // 3] * M2) ^ (h[at + LENGTH - GRAM] * M3)
     to = ((mixed ^ (mixed >> np.uint64(31))) % np.uint64(shards)).astype(np.int64)
-    for k, r in _parts(to[ref], shards):
-        names, new = np.unique(ref[r], return_inverse=True)
-        yield k, _blob(b"".join(lines[i] for i in names), new.astype("<u4"), place[r].astype("<i8"), own[r].astype("<i8"))
+    sent = [(k, _blob(b"".join(lines[i] for i in r.tolist()), low[r])) for k, r in _parts(to, shards)]
+    return sent, _blob(to.astype("<u4"), np.array(ref, "<u4"), place.astype("<i8"), own.astype("<i8"))
 
 
-def _repeats(told: list) -> list[bytes]:
-    """For chunks' single windows: the places of those that occur in a smaller document."""
+def _least(told: list) -> list[bytes]:
+    """For chunks' distinct windows and their least documents: the least of all chunks."""
     least: dict[bytes, int] = {}
     keys = []
-    for body, ref, _, doc in told:
+    for body, low in told:
         lines = [body[i : i + LENGTH] for i in range(0, len(body), LENGTH)]
-        low = np.full(len(lines), np.iinfo(np.int64).max)
-        np.minimum.at(low, ref, doc)
         for x, d in zip(lines, low.tolist(), strict=True):
             if d < least.get(x, 1 << 63):
                 least[x] = d
         keys.append(lines)
-    out = []
-    for lines, (_, ref, place, doc) in zip(keys, told, strict=True):
-        low = np.array([least[x] for x in lines], np.int64)
-        some = np.flatnonzero(doc > low[ref])
-        out.append(_blob(place[some], np.ones(len(some), "<u8")))
-    return out
+    return [_blob(np.array([least[x] for x in lines], "<i8")) for lines in keys]
 
 
-def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hot_from: int = HOT, index_bytes: int = INDEX_BYTES) -> DataFrame:
     """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (bytes) and spans (removed [start, end) in bytes)."""
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
     total = rows.agg(F.sum(F.octet_length("text"))).head()[0] or 0
@@ -372,7 +372,7 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
             packed, several, count = _unblob(data, bytes, np.uint8, np.uint8)
             h = unpack(packed)
             given.append((h, np.unpackbits(several, count=len(h)).astype(bool), count))
-        bitmaps = [np.packbits(np.concatenate(x)).tobytes() for x in shared_bits(given)]
+        bitmaps = [np.packbits(np.concatenate(x)).tobytes() for x in shared_bits(given, hot_from)]
         return pa.Table.from_arrays([part.column("shard").combine_chunks(), part.column("chunk").combine_chunks(), pa.array(bitmaps, pa.binary())], schema=PARTS_ARROW)
 
     def quote(key, part, answers):
@@ -393,15 +393,18 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
         for k, r in _parts(to, shards):
             body = b"".join([c.raw[x:y] for x, y in zip(a[r].tolist(), z[r].tolist(), strict=True)])
             found.append((k, key[0].as_py(), b"c" + _blob(a[r].astype("<i8"), (z[r] - a[r]).astype("<u1"), own[r], body)))
-        found += [(k, key[0].as_py(), b"w" + x) for k, x in _windows(c.raw, s, e, ids[doc], use[hot[place[use]]], shards)]
+        if len(warm) < len(use):
+            sent, own = _windows(c.raw, s, e, ids[doc], use[hot[place[use]]], shards)
+            found += [(k, key[0].as_py(), b"w" + x) for k, x in sent]
+            found.append((shards + key[0].as_py(), key[0].as_py(), b"p" + own))
         return pa.Table.from_arrays([pa.array([x[i] for x in found], t.type) for i, t in enumerate(PARTS_ARROW)], schema=PARTS_ARROW)
 
     def decide(key, part):
         starts, contexts, ids, counts, told = [], [], [], [], []
         blobs = part.column("data").to_pylist()
         for data in blobs:
-            if data[:1] == b"w":
-                told.append(_unblob(data[1:], bytes, "<u4", "<i8", "<i8"))
+            if data[:1] != b"c":
+                told += [_unblob(data[1:], bytes, "<i8")] if data[:1] == b"w" else []
                 continue
             s, size, doc, body = _unblob(data[1:], "<i8", "<u1", "<i8", bytes)
             ends = np.cumsum(size.astype(np.int64))
@@ -409,15 +412,15 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
             starts.append(s)
             ids.append(doc)
             counts.append(len(s))
-        masks = settle(contexts, gram_places(contexts), np.concatenate(ids)) if contexts else np.zeros(0, np.uint64)
-        cold, hot, at = [], iter(_repeats(told)), 0
+        masks = settle(contexts, gram_places(contexts), np.concatenate(ids), index_bytes) if contexts else np.zeros(0, np.uint64)
+        cold, hot, at = [], iter(_least(told)), 0
         for s, n in zip(starts, counts, strict=True):
             m = masks[at : at + n]
             some = np.flatnonzero(m)
             cold.append(_blob(s[some], m[some].astype("<u8")))
             at += n
         rest = iter(cold)
-        out = [next(hot) if data[:1] == b"w" else next(rest) for data in blobs]
+        out = [b"w" + next(hot) if data[:1] == b"w" else b"c" + next(rest) if data[:1] == b"c" else data for data in blobs]
         return pa.Table.from_arrays([part.column("shard").combine_chunks(), part.column("chunk").combine_chunks(), pa.array(out, pa.binary())], schema=PARTS_ARROW)
 
     final = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_removed", pa.int64()), ("n_spans", pa.int64()), ("kept_sha256", pa.string()), ("kept", pa.binary()), ("spans", pa.list_(pa.list_(pa.int64())))])
@@ -426,13 +429,27 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
         c = Chunk(part)
         n = len(c.buf)
         step = np.zeros(n + 1, np.int32)
-        for data in decided.column("data").to_pylist():
-            s, m = _unblob(data, "<i8", "<u8")
-            for k in range(LENGTH - GRAM + 1):
-                at = s[(m >> np.uint64(k)) & np.uint64(1) > 0] + k
-                np.add.at(step, at, 1)
-                np.add.at(step, at + LENGTH, -1)
-        gone = np.cumsum(step)[:n] > 0
+        least, own = {}, None
+        for shard, data in zip(decided.column("shard").to_pylist(), decided.column("data").to_pylist(), strict=True):
+            if data[:1] == b"w":
+                least[shard] = _unblob(data[1:], "<i8")[0]
+            elif data[:1] == b"p":
+                own = _unblob(data[1:], "<u4", "<u4", "<i8", "<i8")
+            else:
+                s, m = _unblob(data[1:], "<i8", "<u8")
+                for k in range(LENGTH - GRAM + 1):
+                    at = s[(m >> np.uint64(k)) & np.uint64(1) > 0] + k  # places are distinct: every window has one anchor
+                    step[at] += 1
+                    step[at + LENGTH] -= 1
+        if own:
+            to, ref, place, doc = own
+            low = np.empty(len(to), np.int64)
+            for k, r in _parts(to.astype(np.int64), shards):
+                low[r] = least[k]
+            at = place[doc > low[ref]]
+            step[at] += 1
+            step[at + LENGTH] -= 1
+        gone = np.cumsum(step, dtype=np.int32)[:n] > 0
         cols: list[list] = [[] for _ in final]
         for i, a, size in zip(c.ids, c.start.tolist(), c.size.tolist(), strict=True):
             g = gone[a : a + size]

@@ -25,8 +25,8 @@ def brute(rows, length=sd.LENGTH):
     return sorted(out, key=str)
 
 
-def found(spark, rows):
-    df = sd.dedup(frame(spark, [(*r, *[None] * 6) for r in rows]))
+def found(spark, rows, **options):
+    df = sd.dedup(frame(spark, [(*r, *[None] * 6) for r in rows]), **options)
     return sorted((tuple(r) for r in df.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256").collect()), key=str)
 
 
@@ -42,12 +42,10 @@ def test_planted(spark):
     assert sd.dedup(empty(spark)).count() == 0
 
 
-def test_hot_anchors_and_small_indexes(spark, monkeypatch):
-    monkeypatch.setattr(sd, "HOT", 3)
-    monkeypatch.setattr(sd, "INDEX_BYTES", 500)
-    monkeypatch.setattr(sd.shared_bits, "__defaults__", (3,))
+@pytest.mark.parametrize("hot", [0, 3, 40])
+def test_hot_anchors_and_small_indexes(spark, hot):
     rows = pieces(9)
-    assert found(spark, rows) == brute([(i, t.encode()) for i, t in rows])
+    assert found(spark, rows, hot_from=hot, index_bytes=500) == brute([(i, t.encode()) for i, t in rows])
 
 
 def test_settle():
