@@ -203,13 +203,25 @@ def links(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
     return near.select("mask", "bits", "fp", "low").mapInArrow(run, "a long, b long")
 
 
+def _to_roots(up: DataFrame) -> DataFrame:
+    """(node, up) with every up followed to its end: pointers double each round, so a chain takes as many rounds as its logarithm."""
+    while True:
+        far = up.select(F.col("node").alias("up"), F.col("up").alias("far"))
+        two = cut(up.join(far, "up").select("node", F.col("far").alias("up"), (F.col("far") != F.col("up")).alias("moved")))
+        up = two.select("node", "up")
+        if two.filter("moved").isEmpty():
+            return up
+
+
 def components(edges: DataFrame) -> DataFrame:
-    """(node, root): for each node of edges the least node it reaches. Edges shrink every round, about by half."""
+    """(node, root): for each node of edges the least node it reaches. A round takes every node to the end of its chain of least
+    neighbours; what is left at least halves."""
     e = cut(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
     layers: list[DataFrame] = []
     while not e.isEmpty():
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         up = cut(both.groupBy("a").agg(F.min("b").alias("p")).select(F.col("a").alias("node"), F.least("a", "p").alias("up")))
+        up = _to_roots(up)
         layers.append(up)
         e = (
             e.join(up.select(F.col("node").alias("a"), F.col("up").alias("x")), "a")
