@@ -51,7 +51,9 @@ def encode(ids: np.ndarray) -> bytes:
         return b""
     step, sel = np.ones(n, np.int64), np.zeros(n, np.uint8)
     # long runs of small ids are rare: selectors that no run is long enough for are not tried
-    first = next((s for s in range(1, 8) if _longest(v < (1 << WIDTHS[s])) >= COUNTS[s]), 8)
+    first = 8
+    while first > 1 and _longest(v < (1 << WIDTHS[first - 1])) >= COUNTS[first - 1]:
+        first -= 1
     most = COUNTS[first]
     best = np.zeros(n, bool)
     ors = {1: np.concatenate([v, np.zeros(64, np.uint64)])}  # ors[k][i]: or of v[i : i + k], whose highest bit is that of the largest
@@ -61,18 +63,24 @@ def encode(ids: np.ndarray) -> bytes:
         wide[:-reach] |= ors[reach][reach:]
         reach *= 2
         ors[reach] = wide
-    left = n - np.arange(n)
+    left, top = n - np.arange(n), int(v.max())
     for s in range(first, len(COUNTS)):
         c, w = COUNTS[s], WIDTHS[s]
         k = 1 << (c.bit_length() - 1)
+        if top >> w == 0:  # any ids fit
+            ok = ~best & (left >= c)
+            step[ok], sel[ok] = c, s
+            best |= ok
+            continue
         over = ors[k][:n] | (ors[k][c - k : c - k + n] if c > k else 0)
         ok = ~best & (left >= c) & ((over >> np.uint64(w)) == 0)
         step[ok], sel[ok] = c, s
         best |= ok
-    at, starts, steps = 0, [], step.tolist()
+    at, starts, after = 0, [], (np.arange(n) + step).tolist()
+    add = starts.append
     while at < n:
-        starts.append(at)
-        at += steps[at]
+        add(at)
+        at = after[at]
     starts = np.array(starts)
     chosen = sel[starts]
     size = 1 + (chosen == 0)
