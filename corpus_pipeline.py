@@ -24,8 +24,8 @@ def exact_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates the one with the smallest id."""
-    return simhash.dedup(docs)
+    """Of each group of documents that share 0.8 or more of their five-word shingles the one with the smallest id."""
+    return simhash.dedup_similar(docs)
 
 
 def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -71,15 +71,18 @@ class BKTree:
     def __init__(self, members: list[int]):
         self.value, self.child = [members[0]], [{}]
         for x in members[1:]:
-            at = 0
-            while True:
-                d = (x ^ self.value[at]).bit_count()
-                if d not in self.child[at]:
-                    break
-                at = self.child[at][d]
-            self.child[at][d] = len(self.value)
-            self.value.append(x)
-            self.child.append({})
+            self.add(x)
+
+    def add(self, x: int) -> None:
+        at = 0
+        while True:
+            d = (x ^ self.value[at]).bit_count()
+            if d not in self.child[at]:
+                break
+            at = self.child[at][d]
+        self.child[at][d] = len(self.value)
+        self.value.append(x)
+        self.child.append({})
 
     def within(self, x: int, radius: int) -> list[int]:
         """Positions of members at radius or less."""
@@ -253,6 +256,113 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **opt
     return docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
 
 
+# -- near duplicates by similarity of shingle sets: what the pipeline's stage takes
+
+WORDS, SIMILARITY, BANDS, WIDE, SALTS = 5, 0.8, 10, 18, 16
+#: Multipliers that turn one hash of a shingle into independent ones; rows 2 per band.
+TURNS = np.random.default_rng(20240601).integers(1, 1 << 62, 2 * BANDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def shingle_hashes(text: str, words: int = WORDS) -> np.ndarray:
+    """XXH64 of every run of so many words (all words if there are fewer; none for a text without words)."""
+    from xxhash import xxh64_intdigest
+
+    w = text.encode("utf-8", "surrogatepass").translate(LOWER).split()
+    if not w:
+        return np.zeros(0, np.uint64)
+    line = b" ".join(w)
+    ends = np.cumsum(np.fromiter(map(len, w), np.int64, len(w)) + 1) - 1
+    starts = np.concatenate([[0], ends[:-1] + 1])
+    k = min(words, len(w))
+    n = len(w) - k + 1
+    return np.fromiter((xxh64_intdigest(line[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[k - 1 :].tolist(), strict=True)), np.uint64, n)
+
+
+def signature(h: np.ndarray) -> tuple[int, list[int]]:
+    """The SimHash of hashes, and a hash per band of two minima, each over another turn of the hashes."""
+    counts, low = np.zeros(64, np.int64), np.full(len(TURNS), np.iinfo(np.uint64).max)
+    for at in range(0, len(h), 1 << 14):
+        part = h[at : at + (1 << 14)]
+        counts += np.unpackbits(part.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+        for k, t in enumerate(TURNS):
+            x = part * t
+            low[k] = min(low[k], (x ^ (x >> np.uint64(32))).min())
+    fp = int(np.packbits(counts * 2 > len(h), bitorder="little").view("<u8")[0])
+    pairs = (low[0::2] * TURNS[0]) ^ (low[1::2] * TURNS[1] + np.arange(BANDS, dtype=np.uint64))
+    return fp, pairs.view(np.int64).tolist()
+
+
+def _leaders(rows: DataFrame, group: list[str], radius: int) -> DataFrame:
+    """rows (group columns, fp, doc): within each group, by rising doc, a document goes to all leaders within radius, or becomes one.
+    Returns (group columns, fp, doc, leader), leader null for leaders. Only leaders are held, in a BK-tree."""
+    n = len(group)
+
+    def run(batches):
+        key, tree, names = None, None, []
+        for b in batches:
+            keys = list(zip(*(b.column(i).to_pylist() for i in range(n)), strict=True))
+            out: list[list] = [[] for _ in range(n + 3)]
+            for k, fp, doc in zip(keys, b.column(n).to_pylist(), b.column(n + 1).to_pylist(), strict=True):
+                fp_bits = fp & 0xFFFFFFFFFFFFFFFF
+                if k != key:
+                    key, tree, names = k, None, []
+                found = tree.within(fp_bits, radius) if tree else []
+                for leader in [names[i] for i in found] or [None]:
+                    for col, x in zip(out, (*k, fp, doc, leader), strict=True):
+                        col.append(x)
+                if not found:
+                    if tree is None:
+                        tree = BKTree([fp_bits])
+                    else:
+                        tree.add(fp_bits)
+                    names.append(doc)
+            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=[*group, "fp", "doc", "leader"])
+
+    rows = rows.select(*[F.col(c).cast("long").alias(c) for c in group], "fp", "doc")
+    schema = ", ".join(f"{c} long" for c in [*group, "fp", "doc", "leader"])
+    return rows.repartition(*group).sortWithinPartitions(*group, "doc").mapInArrow(run, schema)
+
+
+def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, radius: int = WIDE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b), a > b: documents whose sets of shingles have at least this Jaccard similarity, enough pairs to join every group
+    around its leaders. Shards are bands of minima of the shingles' hashes; in a shard BK-trees over SimHashes hold the leaders
+    found so far; what is within radius of one is compared with it, shingle set by shingle set. Shards are first dealt by a salt,
+    then their leaders meet, so a shard with very many members is spread. Rows with null ids take no part."""
+    schema = pa.schema([("doc", pa.int64()), ("fp", pa.int64()), ("bands", pa.list_(pa.int64()))])
+
+    def sign(batches):
+        for b in small(batches):
+            found = [signature(shingle_hashes(x, words)) for x in texts(b)]
+            yield batch_of(schema, b.column("doc_id"), np.array([x[0] for x in found], np.uint64).view(np.int64), [x[1] for x in found])
+
+    rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).filter("doc_id IS NOT NULL")
+    signed = cut(rows.mapInArrow(sign, "doc long, fp long, bands array<long>"))
+    routed = signed.select(F.explode("bands").alias("band"), "fp", "doc", F.pmod(F.xxhash64("doc"), F.lit(SALTS)).alias("salt"))
+    first = cut(_leaders(routed, ["band", "salt"], radius))
+    second = _leaders(first.filter("leader IS NULL").select("band", "fp", "doc"), ["band"], radius)
+    pairs = cut(first.select("doc", "leader").unionByName(second.select("doc", "leader")).filter("leader <> doc").distinct())
+    asked = pairs.select(F.col("doc").alias("id")).unionByName(pairs.select(F.col("leader").alias("id"))).distinct()
+
+    def sets(batches):
+        for b in small(batches):
+            held = [np.unique(shingle_hashes(x, words)).view(np.int64) for x in texts(b)]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(held, pa.list_(pa.int64()))], names=["id", "set"])
+
+    known = cut(rows.join(asked, rows["doc_id"] == asked["id"], "left_semi").mapInArrow(sets, "id long, set array<long>"))
+    one = known.select(F.col("id").alias("doc"), F.col("set").alias("x"))
+    two = known.select(F.col("id").alias("leader"), F.col("set").alias("y"))
+    both = F.size(F.array_intersect("x", "y"))
+    near = pairs.join(one, "doc").join(two, "leader").filter(both >= similarity * (F.size("x") + F.size("y") - both))
+    return near.select(F.greatest("doc", "leader").alias("a"), F.least("doc", "leader").alias("b")).distinct()
+
+
+def dedup_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of docs that stay: of each group of similar documents the one with the smallest id. All columns."""
+    roots = components(similar(docs, id_col=id_col, text_col=text_col, **options))
+    gone = roots.filter("node <> root").select(F.col("node").alias("_gone"))
+    return docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
+
+
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
