@@ -36,14 +36,31 @@ def path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def visible() -> dict[int, str]:
+    """Byte-level vocabularies write bytes as characters: printable Latin-1 as itself, the others, in order, from U+0100 on."""
+    own = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    rest = [b for b in range(256) if b not in own]
+    return {b: chr(b) if b in own else chr(256 + rest.index(b)) for b in range(256)}
+
+
+VISIBLE = visible()
+#: A run that both vocabularies keep in one piece; the model may then be asked without the steps before it.
+WHOLE = re.compile(rf" ?[{LATIN}]+")
+
+
 class Runs(dict):
     """run -> its ids as little-endian 16-bit bytes (or their count)."""
 
-    def __init__(self, tokenizer, counts: bool):
+    def __init__(self, tokenizer, kind: str, counts: bool):
         super().__init__()
-        self.tokenizer, self.counts, self.old = tokenizer, counts, {}
+        self.tokenizer, self.kind, self.counts, self.old = tokenizer, kind, counts, {}
+        self.model = tokenizer.model
 
     def of(self, run: str):
+        if WHOLE.fullmatch(run):
+            line = run.lower() if self.kind == "word" else run
+            found = self.model.tokenize(line.encode().decode("latin-1").translate(VISIBLE))
+            return len(found) if self.counts else np.array([t.id for t in found], "<u2").tobytes()
         ids = self.tokenizer.encode(run, add_special_tokens=False).ids
         return len(ids) if self.counts else np.array(ids, "<u2").tobytes()
 
@@ -66,9 +83,9 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.kind, self.tokenizer = kind, Tokenizer.from_file(file)
-        if hasattr(self.tokenizer.model, "_resize_cache"):
-            self.tokenizer.model._resize_cache(0)  # Runs remembers more, and filling a second memory costs more than it saves
-        self.runs = Runs(self.tokenizer, counts)
+        self.runs = Runs(self.tokenizer, kind, counts)
+        if hasattr(self.runs.model, "_resize_cache"):
+            self.runs.model._resize_cache(0)  # Runs remembers more, and filling a second memory costs more than it saves
         self.special = [str(x.content) for x in self.tokenizer.get_added_tokens_decoder().values()]
 
     def plain(self, text: str) -> bool:
