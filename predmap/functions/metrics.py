@@ -90,6 +90,24 @@ def stratified(df: DataFrame, value: str, key: str, test: float = 0.2, validatio
     return df.withColumn("part", F.when(rank < test, "test").when(rank < test + (1 - test) * validation, "validation").otherwise("train"))
 
 
+def hashed_split(df: DataFrame, key: str, test: float = 0.2, validation: float = 0.1) -> DataFrame:
+    """df with part by the key's md5 alone: no window and no shuffle, so for any size; strata get their shares up to sampling error."""
+    u = F.conv(F.substring(F.md5(F.col(key).cast("string")), 1, 8), 16, 10).cast("double") / 4294967296.0
+    return df.withColumn("part", F.when(u < test, "test").when(u < test + (1 - test) * validation, "validation").otherwise("train"))
+
+
+def savings(table: DataFrame, ours: str, others: Sequence[str]) -> DataFrame:
+    """From rows (workload, structure, bits_per_key, build_us, query_us): what the structures whose name starts with ours save against
+    the smallest of others (percent and factor), and how much slower they are built and queried than it."""
+    mine = table.filter(F.col("structure").startswith(ours)).select("workload", *[F.col(c).alias(f"own_{c}") for c in ("bits_per_key", "build_us", "query_us")])
+    best = table.filter(F.col("structure").isin(*others)).groupBy("workload").agg(F.min(F.struct("bits_per_key", "structure", "build_us", "query_us")).alias("b"))
+    both = mine.join(best, "workload")
+    return both.select(
+        "workload", F.col("b.structure").alias("against"), (100 * (1 - F.col("own_bits_per_key") / F.col("b.bits_per_key"))).alias("saved_percent"), (F.col("b.bits_per_key") / F.col("own_bits_per_key")).alias("factor"),
+        (F.col("own_build_us") / F.col("b.build_us")).alias("build_slowdown"), (F.col("own_query_us") / F.col("b.query_us")).alias("query_slowdown"),
+    )
+
+
 def overhead_curve(spark: SparkSession, steps: int = 10_000) -> DataFrame:
     """p = i / steps up to 1/2: filter lengths, spaces and overheads over the binary entropy."""
     p = F.col("id") / F.lit(float(steps))

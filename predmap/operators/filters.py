@@ -44,20 +44,31 @@ def might_contain(built: StaticMap, df: DataFrame, as_: str = "might_contain", r
     h1, _ = key_hashes(df, built.keys, cfg.seed)
     rows = df.select(F.struct("*").alias("_row"), h1.alias("_h1"), (F.lit(r) if isinstance(r, int) else F.col(r)).cast("long").alias("_r"))
     rows = rows.withColumn("_shard", shard_of(F.col("_h1"), built.shards))
-    given = spark.sparkContext.broadcast({x["shard"]: bytes(x["parts"]) for x in spark.read.schema(STRUCTURE).parquet(built.path).select("shard", "parts").collect()})
     out = rows.select("_row").schema.add("_ok", "boolean")
+    structure = spark.read.schema(STRUCTURE).parquet(built.path).select(F.col("shard").alias("_shard"), "parts")
+
+    def passes(blob: bytes | None, h: np.ndarray, n: np.ndarray) -> np.ndarray:
+        if blob is None:
+            return np.zeros(len(h), bool)
+        return BitStore.from_bytes(pickle.loads(blob)["filter"]).ones(h.view(U), np.zeros(len(h), np.int64), n, cfg)
+
+    if (structure.agg(F.sum(F.length("parts"))).head()[0] or 0) > cfg.broadcast_bytes:
+
+        def join(key, q, s):
+            h, n = (q.column(k).combine_chunks().to_numpy(zero_copy_only=False) for k in ("_h1", "_r"))
+            return pa.Table.from_arrays([q.column("_row"), pa.array(passes(s.column("parts")[0].as_py() if s.num_rows else None, h, n))], names=["_row", "_ok"])
+
+        found = rows.groupBy("_shard").cogroup(structure.groupBy("_shard")).applyInArrow(join, out)
+        return found.select("_row.*", F.col("_ok").alias(as_))
+    given = spark.sparkContext.broadcast({x["_shard"]: bytes(x["parts"]) for x in structure.collect()})
 
     def run(batches):
-        opened: dict = {}
         for b in batches:
             h, n, shard = (b.column(k).to_numpy(zero_copy_only=False) for k in (1, 2, 3))
             ok = np.zeros(b.num_rows, bool)
             for s in np.unique(shard).tolist():
-                if s in given.value:
-                    store = opened.setdefault(s, None) or BitStore.from_bytes(pickle.loads(given.value[s])["filter"])
-                    opened[s] = store
-                    at = np.flatnonzero(shard == s)
-                    ok[at] = store.ones(h[at].view(U), np.zeros(len(at), np.int64), n[at], cfg)
+                at = np.flatnonzero(shard == s)
+                ok[at] = passes(given.value.get(s), h[at], n[at])
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ok)], names=["_row", "_ok"])
 
     return rows.mapInArrow(run, out).select("_row.*", F.col("_ok").alias(as_))

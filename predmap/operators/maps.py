@@ -27,7 +27,7 @@ from predmap.models.core import Constant, Custom, GaussianNB, Model, predict_wei
 from predmap.operators import shards as sh
 
 MOST_VALUES = 4096
-FIT_ROWS = 1_000_000
+FIT_ROWS = 200_000
 STATS = ("filter_demand", "correct_demand", "words", "bumps", "header", "odd")
 STRUCTURE = "shard int, n long, parts binary, " + ", ".join(f"{s} long" for s in STATS)
 STRUCTURE_ARROW = pa.schema([("shard", pa.int32()), ("n", pa.int64()), ("parts", pa.binary()), *[(s, pa.int64()) for s in STATS]])

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from predmap.functions import metrics
 from predmap.models import Constant, Model
-from predmap.operators.maps import dictionary, feature_column, fit_model, with_vid
+from predmap.operators.maps import FIT_ROWS, dictionary, feature_column, fit_model, with_vid
 
 
 @dataclass
@@ -34,7 +34,7 @@ class Candidate:
         return self.s_per_key + self.enc_per_key
 
 
-def measure(df: DataFrame, key: str, value: str, name: str, model: Model, features, model_cost: str = "owned", fit_rows: int = 1_000_000) -> Candidate:
+def measure(df: DataFrame, key: str, value: str, name: str, model: Model, features, model_cost: str = "owned", fit_rows: int = FIT_ROWS) -> Candidate:
     """Fits the model and measures it on all keys, in one pass."""
     values = dictionary(df, value)
     n = max(1, sum(c for _, c in values))

@@ -728,3 +728,70 @@ def _(spark, sf):
     rows = [r for s in (0.5, 1.0) for r in _compare(spark, sf, src.gauss(spark, n, 8, s), f"gauss {s}", GaussianNB())]
     return spark.createDataFrame(rows, SPACE).groupBy("workload").pivot("structure").agg(F.round(F.first("bits_per_key"), 4))
 
+
+
+@query("savings_table")
+def _(spark, sf):
+    """Reduction, factor and slow-down of guided maps against the smallest competitor."""
+    n, rows = src.table(spark, sf, "orders").count(), []
+    rows += _compare(spark, sf, src.windows(spark, sf), "windows", GaussianNB()) + _compare(spark, sf, src.days(spark, sf), "days", GaussianNB())
+    for s in (0.5, 1.0):
+        rows += _compare(spark, sf, src.gauss(spark, n, 8, s), f"gauss {s}", GaussianNB())
+    return metrics.savings(spark.createDataFrame(rows, SPACE), "guided", ("fixed", "sparse"))
+
+
+@query("solvable_share", "SELECT true AS ok")
+def _(spark, sf):
+    """Random square systems over GF(2) of 24 rows are solvable for every right side with probability 0.289, for one at random with more."""
+    import numpy as np
+
+    from predmap.functions.ribbon import solve_dense
+
+    rng, full, n = np.random.default_rng(1), 0, 600
+    for _ in range(n):
+        a = rng.integers(0, 2, (24, 24))
+        z = [solve_dense(a, b) for b in np.eye(24, dtype=int)]
+        full += all(x is not None for x in z)
+    return spark.createDataFrame([(abs(full / n - 0.289) < 4 * (0.289 * 0.711 / n) ** 0.5,)], "ok boolean")
+
+
+@query("hashed_split_counts", "SELECT part, count(*) AS n FROM (SELECT CASE WHEN u < 0.2 THEN 'test' WHEN u < 0.28 THEN 'validation' ELSE 'train' END AS part FROM (SELECT ('0x' || substr(md5(o_orderkey::VARCHAR), 1, 8))::BIGINT / 4294967296.0::DOUBLE AS u FROM orders)) GROUP BY 1")
+def _(spark, sf):
+    return metrics.hashed_split(src.table(spark, sf, "orders").select("o_orderkey"), "o_orderkey").groupBy("part").agg(F.count(F.lit(1)).alias("n"))
+
+
+def _timed_stream(spark, sf):
+    return monitor.file_stream(spark, sf, "events", src.table(spark, sf, "events").schema).withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+@query("stream_sliding_windows", "SELECT w AS window_start, count(*) AS n, round(avg(value), 6) AS mean_bits FROM (SELECT value, unnest([time_bucket(INTERVAL 15 MINUTE, ts) - k * INTERVAL 15 MINUTE FOR k IN [0, 1, 2, 3]]) AS w FROM events) GROUP BY 1")
+def _(spark, sf):
+    out = monitor.run_available(monitor.surprisal_windows(_timed_stream(spark, sf), F.col("value"), size="1 hour", slide="15 minutes"), maps.scratch_path(spark))
+    return out.select(F.col("window_start").cast("timestamp_ntz").alias("window_start"), "n", F.round("mean_bits", 6).alias("mean_bits"))
+
+
+@query("stream_sessions", "WITH s AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS b FROM events), g AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM s) SELECT user_id, min(ts) AS session_start, max(ts) + INTERVAL 30 MINUTE AS session_end, count(*) AS n FROM g GROUP BY user_id, k")
+def _(spark, sf):
+    out = monitor.run_available(monitor.sessions(_timed_stream(spark, sf), "user_id"), maps.scratch_path(spark))
+    return out.select("user_id", *[F.col(c).cast("timestamp_ntz").alias(c) for c in ("session_start", "session_end")], "n")
+
+
+@query("stream_new_keys", "SELECT count(DISTINCT user_id) AS n FROM events")
+def _(spark, sf):
+    """First sightings, whose distinct users are all users however often the watermark forgets them."""
+    first = monitor.run_available(monitor.new_keys(_timed_stream(spark, sf).select("user_id", "ts"), ["user_id"]), maps.scratch_path(spark), "append")
+    return first.agg(F.count_distinct("user_id").alias("n"))
+
+
+@query("stream_generations", "SELECT event_id, event_type AS value FROM events")
+def _(spark, sf):
+    """Each micro-batch becomes a generation: a map of its own, which answers for its keys."""
+    path, schema = maps.scratch_path(spark), "event_id long, value string"
+
+    def build(batch, number):
+        rows = batch.select("event_id", "event_type")
+        made = maps.build_entropy(rows, "event_id", "event_type")
+        made.attach(rows.select("event_id"), "value").write.mode("overwrite").parquet(f"{path}/rows/generation={number}")
+
+    monitor.each_batch(monitor.file_stream(spark, sf, "events", src.table(spark, sf, "events").schema), build, f"{path}/state")
+    return spark.read.schema(schema).parquet(f"{path}/rows").select("event_id", "value")

@@ -8,7 +8,7 @@ from predmap import workloads
 
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-LONG = {"model_table", "space_table", "control_table", "sweep_gauss", "hard_slices", "ablation_table", "comparison_pivot"}
+LONG = {"model_table", "space_table", "control_table", "sweep_gauss", "hard_slices", "ablation_table", "comparison_pivot", "savings_table"}
 
 
 def rows(df):
