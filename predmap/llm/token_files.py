@@ -49,21 +49,24 @@ def encode(ids: np.ndarray) -> bytes:
     n = len(v)
     if not n:
         return b""
-    step, sel = np.ones(n, np.int64), np.zeros(n, np.uint8)
+    step, sel = np.ones(n, np.uint8), np.zeros(n, np.uint8)
+    top = int(v.max())
+    narrow = np.uint32 if top < 1 << 32 else np.uint64  # what is compared: half as wide where ids allow
+    x = v.astype(narrow)
     # long runs of small ids are rare: selectors that no run is long enough for are not tried
     first = 8
-    while first > 1 and _longest(v < (1 << WIDTHS[first - 1])) >= COUNTS[first - 1]:
+    while first > 1 and _longest(x < (1 << WIDTHS[first - 1])) >= COUNTS[first - 1]:
         first -= 1
     most = COUNTS[first]
     best = np.zeros(n, bool)
-    ors = {1: np.concatenate([v, np.zeros(64, np.uint64)])}  # ors[k][i]: or of v[i : i + k], whose highest bit is that of the largest
+    ors = {1: np.concatenate([x, np.zeros(64, narrow)])}  # ors[k][i]: or of v[i : i + k], whose highest bit is that of the largest
     reach = 1
     while reach * 2 <= most:
         wide = ors[reach].copy()
         wide[:-reach] |= ors[reach][reach:]
         reach *= 2
         ors[reach] = wide
-    left, top = n - np.arange(n), int(v.max())
+    left = n - np.arange(n)
     for s in range(first, len(COUNTS)):
         c, w = COUNTS[s], WIDTHS[s]
         k = 1 << (c.bit_length() - 1)
@@ -73,14 +76,14 @@ def encode(ids: np.ndarray) -> bytes:
             best |= ok
             continue
         over = ors[k][:n] | (ors[k][c - k : c - k + n] if c > k else 0)
-        ok = ~best & (left >= c) & ((over >> np.uint64(w)) == 0)
+        ok = ~best & (left >= c) & ((over >> narrow(w)) == 0)
         step[ok], sel[ok] = c, s
         best |= ok
-    at, starts, after = 0, [], (np.arange(n) + step).tolist()
+    at, starts, steps = 0, [], step.tobytes()
     add = starts.append
     while at < n:
         add(at)
-        at = after[at]
+        at += steps[at]
     starts = np.array(starts)
     chosen = sel[starts]
     size = 1 + (chosen == 0)
