@@ -39,7 +39,7 @@ from predmap.llm.common import table
 NAME = "op6_suffix_dedup"
 SQL = None  # tests compare with a dictionary of all windows
 LENGTH, GRAM = 50, 16
-SLICE, CHUNK_BYTES, SHARD_ANCHORS, INDEX_BYTES, HOT = 1 << 18, 6 << 20, 1 << 19, 1 << 19, 5000
+SLICE, CHUNK_BYTES, SHARD_ANCHORS, INDEX_BYTES, HOT = 1 << 18, 6 << 20, 1 << 19, 1 << 19, 2000
 #: Odd multipliers of the gram hash.
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 LOW = np.uint64(0xFFFFFFFF)
@@ -132,7 +132,7 @@ def unpack(data: bytes) -> np.ndarray:
 
 
 def distinct(h: np.ndarray, doc: np.ndarray, bits: int):
-    """Sorted distinct hashes cut to bits, whether each is in two documents, how often it is there (up to 255), and where each of h is."""
+    """Sorted distinct hashes cut to bits, whether each is in two documents, how often it is there (up to 65535), and where each of h is."""
     cut = h >> np.uint64(64 - bits)
     order = np.argsort(cut)
     c, d = cut[order], doc[order]
@@ -140,7 +140,7 @@ def distinct(h: np.ndarray, doc: np.ndarray, bits: int):
     new[1:] = c[1:] != c[:-1]
     at = np.flatnonzero(new)
     several = np.minimum.reduceat(d, at) != np.maximum.reduceat(d, at) if len(at) else np.zeros(0, bool)
-    count = np.minimum(np.diff(np.append(at, len(c))), 255).astype(np.uint8)
+    count = np.minimum(np.diff(np.append(at, len(c))), 65535).astype("<u2")
     place = np.empty(len(c), np.int64)
     place[order] = np.cumsum(new) - 1
     return c[at], several, count, place
@@ -369,7 +369,7 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hot_f
     def answer(key, part):
         given = []
         for data in part.column("data").to_pylist():
-            packed, several, count = _unblob(data, bytes, np.uint8, np.uint8)
+            packed, several, count = _unblob(data, bytes, np.uint8, "<u2")
             h = unpack(packed)
             given.append((h, np.unpackbits(several, count=len(h)).astype(bool), count))
         bitmaps = [np.packbits(np.concatenate(x)).tobytes() for x in shared_bits(given, hot_from)]
