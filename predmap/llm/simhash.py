@@ -258,9 +258,10 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **opt
 
 # -- near duplicates by similarity of shingle sets: what the pipeline's stage takes
 
-WORDS, SIMILARITY, BANDS, WIDE, SALTS = 5, 0.8, 10, 18, 16
-#: Multipliers that turn one hash of a shingle into independent ones; rows 2 per band.
-TURNS = np.random.default_rng(20240601).integers(1, 1 << 62, 2 * BANDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+WORDS, SIMILARITY = 5, 0.8
+#: How the order of shingles is found; this changes the work only: share of documents counted (one in so many), count from which a
+#: shingle is common, most of them that are held, and pairs made at once.
+SAMPLED, COMMON, HELD, BLOCK = 16, 4, 1 << 20, 1 << 21
 
 
 def shingle_hashes(text: str, words: int = WORDS) -> np.ndarray:
@@ -278,74 +279,124 @@ def shingle_hashes(text: str, words: int = WORDS) -> np.ndarray:
     return np.fromiter((xxh64_intdigest(line[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[k - 1 :].tolist(), strict=True)), np.uint64, n)
 
 
-def signature(h: np.ndarray) -> tuple[int, list[int]]:
-    """The SimHash of hashes, and a hash per band of two minima, each over another turn of the hashes."""
-    counts, low = np.zeros(64, np.int64), np.full(len(TURNS), np.iinfo(np.uint64).max)
-    for at in range(0, len(h), 1 << 14):
-        part = h[at : at + (1 << 14)]
-        counts += np.unpackbits(part.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-        for k, t in enumerate(TURNS):
-            x = part * t
-            low[k] = min(low[k], (x ^ (x >> np.uint64(32))).min())
-    fp = int(np.packbits(counts * 2 > len(h), bitorder="little").view("<u8")[0])
-    pairs = (low[0::2] * TURNS[0]) ^ (low[1::2] * TURNS[1] + np.arange(BANDS, dtype=np.uint64))
-    return fp, pairs.view(np.int64).tolist()
+def shingle_set(text: str, words: int = WORDS) -> np.ndarray:
+    """Distinct hashes of shingles, rising; a text without words has one of its own, so such texts are alike."""
+    h = np.unique(shingle_hashes(text, words))
+    return h if len(h) else np.zeros(1, np.uint64)
 
 
-def _leaders(rows: DataFrame, group: list[str], radius: int) -> DataFrame:
-    """rows (group columns, fp, doc): within each group, by rising doc, a document goes to all leaders within radius, or becomes one.
-    Returns (group columns, fp, doc, leader), leader null for leaders. Only leaders are held, in a BK-tree."""
-    n = len(group)
+def common_shingles(rows: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes, rising, and counts of the shingles that a share of the documents, chosen by hash, holds several times."""
 
     def run(batches):
-        key, tree, names = None, None, []
-        for b in batches:
-            keys = list(zip(*(b.column(i).to_pylist() for i in range(n)), strict=True))
-            out: list[list] = [[] for _ in range(n + 3)]
-            for k, fp, doc in zip(keys, b.column(n).to_pylist(), b.column(n + 1).to_pylist(), strict=True):
-                fp_bits = fp & 0xFFFFFFFFFFFFFFFF
-                if k != key:
-                    key, tree, names = k, None, []
-                found = tree.within(fp_bits, radius) if tree else []
-                for leader in [names[i] for i in found] or [None]:
-                    for col, x in zip(out, (*k, fp, doc, leader), strict=True):
-                        col.append(x)
-                if not found:
-                    if tree is None:
-                        tree = BKTree([fp_bits])
-                    else:
-                        tree.add(fp_bits)
-                    names.append(doc)
-            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], names=[*group, "fp", "doc", "leader"])
-
-    rows = rows.select(*[F.col(c).cast("long").alias(c) for c in group], "fp", "doc")
-    schema = ", ".join(f"{c} long" for c in [*group, "fp", "doc", "leader"])
-    return rows.repartition(*group).sortWithinPartitions(*group, "doc").mapInArrow(run, schema)
-
-
-def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, radius: int = WIDE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(a, b), a > b: documents whose sets of shingles have at least this Jaccard similarity, enough pairs to join every group
-    around its leaders. Shards are bands of minima of the shingles' hashes; in a shard BK-trees over SimHashes hold the leaders
-    found so far; what is within radius of one is compared with it, shingle set by shingle set. Shards are first dealt by a salt,
-    then their leaders meet, so a shard with very many members is spread. Rows with null ids take no part."""
-    schema = pa.schema([("doc", pa.int64()), ("fp", pa.int64()), ("bands", pa.list_(pa.int64()))])
-
-    def sign(batches):
         for b in small(batches):
-            found = [signature(shingle_hashes(x, words)) for x in texts(b)]
-            yield batch_of(schema, b.column("doc_id"), np.array([x[0] for x in found], np.uint64).view(np.int64), [x[1] for x in found])
+            held, n = np.unique(np.concatenate([shingle_set(x, words) for x in texts(b)]), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(held.view(np.int64)), pa.array(n, pa.int64())], names=["h", "n"])
+
+    some = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLED)) == 0).mapInArrow(run, "h long, n long")
+    often = some.groupBy("h").agg(F.sum("n").alias("n")).filter(F.col("n") >= COMMON).orderBy(F.desc("n"), "h").limit(HELD).toPandas()
+    h, n = often["h"].to_numpy(np.int64).view(np.uint64), often["n"].to_numpy(np.int64)
+    order = np.argsort(h)
+    return h[order], n[order]
+
+
+def prefix(h: np.ndarray, similarity: float, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The first shingles of a set, rare ones first: two sets at similarity or more share one of these at least."""
+    n = np.zeros(len(h), np.int64)
+    if len(common[0]):
+        at = np.minimum(np.searchsorted(common[0], h), len(common[0]) - 1)
+        n = np.where(common[0][at] == h, common[1][at], 0)
+    return h[np.argsort(n, kind="stable")][: len(h) - int(np.ceil(similarity * len(h) - 1e-9)) + 1]
+
+
+def _may(at: np.ndarray, size: np.ndarray, at2: np.ndarray, size2: np.ndarray, similarity: float) -> np.ndarray:
+    """Whether two sets whose first common shingle has these places can reach similarity: what follows bounds what they share."""
+    most = np.minimum(size - at, size2 - at2)
+    return (most >= similarity / (1 + similarity) * (size + size2) - 1e-6) & (np.minimum(size, size2) >= similarity * np.maximum(size, size2) - 1e-6)
+
+
+def _whole(batches):
+    """Columns, as arrays, of batches sorted by the first column, cut only between its values."""
+    held: list = []
+    for b in batches:
+        if not b.num_rows:
+            continue
+        cols = [c.to_numpy(zero_copy_only=False) for c in b.columns]
+        z = int(np.searchsorted(cols[0], cols[0][-1]))
+        if z or (held and held[-1][0][-1] != cols[0][-1]):
+            yield [np.concatenate(x) for x in zip(*held, [c[:z] for c in cols], strict=True)]
+            held = []
+        held.append([c[z:] for c in cols])
+    if held:
+        yield [np.concatenate(x) for x in zip(*held, strict=True)]
+
+
+def _ends(*keys: np.ndarray) -> np.ndarray:
+    """For each row the end of its run of equal keys."""
+    n = len(keys[0])
+    if not n:
+        return np.zeros(0, np.int64)
+    edge = np.flatnonzero(np.logical_or.reduce([k[1:] != k[:-1] for k in keys])) + 1
+    return np.repeat(np.append(edge, n), np.diff(np.concatenate([[0], edge, [n]])))
+
+
+def shared(rows: DataFrame, words: int, similarity: float) -> DataFrame:
+    """(token, doc, at, size, leader): the prefix shingles that several documents have, with their place and the size of the set.
+    leader is the token's least document, or null where it is doc or their places rule similarity out."""
+    given = rows.sparkSession.sparkContext.broadcast(common_shingles(rows, words))
+    first = pa.schema([("token", pa.int64()), ("doc", pa.int64()), ("at", pa.int32()), ("size", pa.int32())])
+
+    def deal(batches):
+        for b in small(batches):
+            sets = [shingle_set(x, words) for x in texts(b)]
+            some = [prefix(x, similarity, given.value) for x in sets]
+            n = [len(x) for x in some]
+            yield batch_of(
+                first, np.concatenate(some).view(np.int64), np.repeat(b.column("doc_id").to_numpy(), n), np.concatenate([np.arange(k, dtype=np.int32) for k in n]), np.repeat([len(x) for x in sets], n).astype(np.int32)
+            )
 
-    rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).filter("doc_id IS NOT NULL")
-    signed = cut(rows.mapInArrow(sign, "doc long, fp long, bands array<long>"))
-    routed = signed.select(F.explode("bands").alias("band"), "fp", "doc", F.pmod(F.xxhash64("doc"), F.lit(SALTS)).alias("salt"))
-    first = cut(_leaders(routed, ["band", "salt"], radius))
-    second = _leaders(first.filter("leader IS NULL").select("band", "fp", "doc"), ["band"], radius)
-    pairs = cut(first.select("doc", "leader").unionByName(second.select("doc", "leader")).filter("leader <> doc").distinct())
+    second = pa.schema([*first, ("leader", pa.int64())])
+
+    def meet(batches):
+        for token, doc, at, size in _whole(batches):
+            ends = _ends(token)
+            starts = np.searchsorted(token, token)
+            ok = (doc != doc[starts]) & _may(at, size, at[starts], size[starts], similarity)
+            many = np.flatnonzero(ends - starts > 1)
+            for i in range(0, len(many), 1 << 17):
+                m = many[i : i + (1 << 17)]
+                yield batch_of(second, token[m], doc[m], at[m], size[m], pa.array(doc[starts[m]], mask=~ok[m]))
+
+    dealt = rows.mapInArrow(deal, "token long, doc long, at int, size int").repartition("token").sortWithinPartitions("token", "doc")
+    return dealt.mapInArrow(meet, "token long, doc long, at int, size int, leader long")
+
+
+def across(near: DataFrame, similarity: float) -> DataFrame:
+    """(doc, leader) of all pairs that share a token of near (token, doc, at, size, root), differ in root and may be similar."""
+    schema = pa.schema([("doc", pa.int64()), ("leader", pa.int64())])
+
+    def run(batches):
+        for token, root, doc, at, size in _whole(batches):
+            ends, own = _ends(token), _ends(token, root)
+            n = ends - own  # partners of a row: the token's rows behind those of its root
+            block = np.cumsum(n) // BLOCK
+            for rows in np.split(np.arange(len(n)), np.flatnonzero(block[1:] != block[:-1]) + 1):
+                i = np.repeat(rows, n[rows])
+                j = np.repeat(own[rows] - np.cumsum(n[rows]) + n[rows], n[rows]) + np.arange(len(i))
+                ok = _may(at[i], size[i], at[j], size[j], similarity)
+                if ok.any():
+                    yield batch_of(schema, np.maximum(doc[i[ok]], doc[j[ok]]), np.minimum(doc[i[ok]], doc[j[ok]]))
+
+    return near.select("token", "root", "doc", "at", "size").repartition("token").sortWithinPartitions("token", "root").mapInArrow(run, "doc long, leader long").distinct()
+
+
+def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -> DataFrame:
+    """(a, b), a > b: those of pairs (doc, leader) whose sets of shingles have the similarity."""
     asked = pairs.select(F.col("doc").alias("id")).unionByName(pairs.select(F.col("leader").alias("id"))).distinct()
 
     def sets(batches):
         for b in small(batches):
-            held = [np.unique(shingle_hashes(x, words)).view(np.int64) for x in texts(b)]
+            held = [shingle_set(x, words).view(np.int64) for x in texts(b)]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(held, pa.list_(pa.int64()))], names=["id", "set"])
 
     known = cut(rows.join(asked, rows["doc_id"] == asked["id"], "left_semi").mapInArrow(sets, "id long, set array<long>"))
@@ -356,6 +407,22 @@ def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY,
     return near.select(F.greatest("doc", "leader").alias("a"), F.least("doc", "leader").alias("b")).distinct()
 
 
+def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(a, b), a > b: documents whose sets of shingles have at least this Jaccard similarity, enough pairs for the components of all
+    such pairs. Shingles have one order, rare ones first; sets that reach the similarity share one of their first fifth (and one
+    more). For each such shingle its documents are compared with the least of them; then every two of them that are still in
+    different components are. So no similar pair is left out, and a group of copies makes no square of pairs. Rows with null ids
+    take no part."""
+    rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).filter("doc_id IS NOT NULL")
+    held = cut(shared(rows, words, similarity))
+    pairs = cut(held.filter("leader IS NOT NULL").select("doc", "leader").distinct())
+    first = cut(compared(rows, pairs, words, similarity))
+    roots = components(first)
+    near = held.drop("leader").join(roots, held["doc"] == roots["node"], "left").withColumn("root", F.coalesce("root", "doc"))
+    rest = cut(across(near, similarity).join(pairs, ["doc", "leader"], "left_anti"))
+    return first if rest.isEmpty() else first.unionByName(compared(rows, rest, words, similarity))
+
+
 def dedup_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of docs that stay: of each group of similar documents the one with the smallest id. All columns."""
     roots = components(similar(docs, id_col=id_col, text_col=text_col, **options))

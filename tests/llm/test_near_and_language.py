@@ -199,6 +199,29 @@ def test_similar(spark):
     assert all(jaccard(rows[a] or "", rows[b] or "") for a, b in pairs) and len(pairs) < 3 * len(rows)
 
 
+def text_frame(spark, rows):
+    return frame(spark, [(i, t, *[None] * 6) for i, t in rows.items()])
+
+
+def test_similar_in_families(spark):
+    """Documents that share four fifths of a template, at 0.67 to each other, with near copies of some of them."""
+    rng = np.random.default_rng(5)
+    words = [f"w{i}" for i in range(20_000)]
+    rows = {}
+    for family in range(4):
+        stem = " ".join(rng.choice(words, 320))
+        for i in range(40):
+            rows[1000 * family + i] = f"{stem} {' '.join(rng.choice(words, 80))}"
+        for i in range(25):
+            w = rows[1000 * family + i].split()
+            for at in rng.integers(0, 400, 4):
+                w[at] = f"x{i}"
+            rows[1000 * family + 500 + i] = " ".join(w)
+    want = survivors(rows)
+    assert len(want) < len(rows) - 60
+    assert {r["doc_id"] for r in simhash.dedup_similar(text_frame(spark, rows)).collect()} == want
+
+
 def test_pipeline(spark):
     sf = "/root/testdata/sf0.001"
     docs = spark.read.parquet(f"{sf}/documents.parquet")
