@@ -222,6 +222,22 @@ def test_similar_in_families(spark):
     assert {r["doc_id"] for r in simhash.dedup_similar(text_frame(spark, rows)).collect()} == want
 
 
+def test_similar_with_repeats_and_short_texts(spark):
+    """Repeating a passage leaves the set of shingles nearly as it is; few shingles at exactly 0.8 must do as well."""
+    rng = np.random.default_rng(6)
+    words = [f"w{i}" for i in range(20_000)]
+    rows = {}
+    for i in range(0, 40, 2):
+        w = list(rng.choice(words, 404))
+        rows[i], rows[i + 1] = " ".join(w), " ".join(w[:240] + w[200:240] * 20 + w[240:])
+    for i in range(100, 700, 2):
+        w = list(rng.choice(words, 9))
+        rows[i], rows[i + 1] = " ".join(w), " ".join(w[:8])
+    want = survivors({i: rows[i] for i in range(40)}) | {*range(100, 700, 2)}
+    assert want == {*range(0, 40, 2), *range(100, 700, 2)}
+    assert {r["doc_id"] for r in simhash.dedup_similar(text_frame(spark, rows)).collect()} == want
+
+
 def test_pipeline(spark):
     sf = "/root/testdata/sf0.001"
     docs = spark.read.parquet(f"{sf}/documents.parquet")
