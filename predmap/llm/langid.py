@@ -166,10 +166,10 @@ def held_out(doc_id):
 
 def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
     """Fits on at most sample_rows labelled rows that are not held out."""
-    n = docs.count()
     place = F.pmod(F.xxhash64(docs[id_col]), F.lit(1 << 30))
     rows = docs.filter(~held_out(docs[id_col]) & docs[lang_col].isNotNull() & docs[text_col].isNotNull())
-    if n > 4 * sample_rows:
+    n = rows.count()
+    if n > 4 * sample_rows:  # twice what is wanted: fewer rows are sorted, and the least by hash stay the same
         rows = rows.filter(place < F.lit(int((1 << 30) * 2.0 * sample_rows / n)))
     rows = rows.select(docs[text_col].alias("t"), docs[lang_col].alias("y"), place.alias("p"), docs[id_col].alias("i")).orderBy("p", "i").limit(sample_rows)
     return fit([(r["t"], r["y"]) for r in rows.collect()])

@@ -152,6 +152,17 @@ def test_language_edges(spark):
     assert langid.identify(empty(spark), langid.train(empty(spark))).count() == 0
 
 
+def test_language_trains_on_few_labels(spark, monkeypatch):
+    """The share that is read follows from the rows that can be used, not from all rows."""
+    rows = [(i, f"text {i}", "en" if i % 10 == 0 else None, *[None] * 5) for i in range(3000)]
+    df, got = frame(spark, rows), []
+    monkeypatch.setattr(langid, "fit", lambda rows: got.append(len(rows)))
+    usable = sum(i % 10 == 0 and zlib.crc32(str(i).encode()) % 5 != 0 for i in range(3000))
+    for most in (20, 100, 200, 500):
+        langid.train(df, sample_rows=most)
+    assert got == [min(most, usable) for most in (20, 100, 200, 500)]
+
+
 def jaccard(a, b, k=5):
     cut = lambda t: (w := [x for x in re.split(SPACES, lower(t)) if x]) and {tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))} or set()
     x, y = cut(a), cut(b)
