@@ -372,8 +372,9 @@ def shared(rows: DataFrame, words: int, similarity: float) -> DataFrame:
 
 
 def across(near: DataFrame, similarity: float) -> DataFrame:
-    """(doc, leader) of all pairs that share a token of near (token, doc, at, size, root), differ in root and may be similar."""
-    schema = pa.schema([("doc", pa.int64()), ("leader", pa.int64())])
+    """(doc, leader) of all pairs that share tokens of near (token, doc, at, size, root), differ in root and may be similar. What two
+    sets share is at most their common prefix tokens and, of the one whose prefix ends first, all that follows its prefix."""
+    schema = pa.schema([("doc", pa.int64()), ("leader", pa.int64()), ("least", pa.int64()), ("may", pa.bool_())])
 
     def run(batches):
         for token, root, doc, at, size in _whole(batches):
@@ -383,11 +384,16 @@ def across(near: DataFrame, similarity: float) -> DataFrame:
             for rows in np.split(np.arange(len(n)), np.flatnonzero(block[1:] != block[:-1]) + 1):
                 i = np.repeat(rows, n[rows])
                 j = np.repeat(own[rows] - np.cumsum(n[rows]) + n[rows], n[rows]) + np.arange(len(i))
-                ok = _may(at[i], size[i], at[j], size[j], similarity)
-                if ok.any():
-                    yield batch_of(schema, np.maximum(doc[i[ok]], doc[j[ok]]), np.minimum(doc[i[ok]], doc[j[ok]]))
+                x, y = size[i].astype(np.int64), size[j].astype(np.int64)
+                fits = np.minimum(x, y) >= similarity * np.maximum(x, y) - 1e-6
+                i, j, x, y = i[fits], j[fits], x[fits], y[fits]
+                behind = np.ceil(similarity * np.maximum(x, y) - 1e-9) - 1
+                least = np.ceil(similarity / (1 + similarity) * (x + y) - behind - 1e-6).astype(np.int64)
+                if len(i):
+                    yield batch_of(schema, np.maximum(doc[i], doc[j]), np.minimum(doc[i], doc[j]), least, _may(at[i], x, at[j], y, similarity))
 
-    return near.select("token", "root", "doc", "at", "size").repartition("token").sortWithinPartitions("token", "root").mapInArrow(run, "doc long, leader long").distinct()
+    return near.select("token", "root", "doc", "at", "size").repartition("token").sortWithinPartitions("token", "root").mapInArrow(run, "doc long, leader long, least long, may boolean").groupBy("doc", "leader").agg(
+        F.count(F.lit(1)).alias("n"), F.min("least").alias("least"), F.max("may").alias("may")).filter("n >= least AND may").select("doc", "leader")
 
 
 def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -> DataFrame:
@@ -415,7 +421,10 @@ def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY,
     take no part."""
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).filter("doc_id IS NOT NULL")
     held = cut(shared(rows, words, similarity))
-    pairs = cut(held.filter("leader IS NOT NULL").select("doc", "leader").distinct())
+    # only links that settle much are wanted here, so pairs with few common tokens wait for the second step
+    few = similarity * (1 - similarity) / (1 + similarity) / 2
+    pairs = held.filter("leader IS NOT NULL").groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n"), F.max("size").alias("size"))
+    pairs = cut(pairs.filter(F.col("n") >= few * F.col("size")).select("doc", "leader"))
     first = cut(compared(rows, pairs, words, similarity))
     roots = components(first)
     near = held.drop("leader").join(roots, held["doc"] == roots["node"], "left").withColumn("root", F.coalesce("root", "doc"))
