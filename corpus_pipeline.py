@@ -1,4 +1,4 @@
-"""From raw documents to packed training sequences: language ID, exact dedup, SimHash near-dedup, decontamination, packing.
+"""From raw documents to packed training sequences: language ID, exact dedup, near-dedup by shingle sets, decontamination, packing.
 
 Every stage takes (spark, docs, sf_dir), works on all rows its predecessor kept and returns the columns of documents; the last
 returns the pieces of packed sequences. Stages are written as Parquet to the shared folder and read again, so a lost executor
