@@ -15,7 +15,6 @@ rows; other columns are not read, and ``lang`` only by training.
 
 from __future__ import annotations
 
-import re
 from dataclasses import dataclass
 
 import numpy as np
@@ -31,10 +30,14 @@ BUCKETS, DIM, SIZES, EPOCHS, RATE, SAMPLE_ROWS = 1 << 17, 16, (3, 4), 6, 4.0, 40
 SLICE = 1 << 20
 #: ASCII that is no letter to a space; other bytes stay.
 LETTERS = bytes(c if 65 <= c <= 90 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
-LETTER = re.compile(r"[^\W\d_]")
 MIXERS = {3: np.uint32(2654435761), 4: np.uint32(2246822519)}
 
 
+def has_letter(text: str) -> bool:
+    """Digits and fractions are no letters, whatever their script."""
+    return any(map(str.isalpha, text))
+
+
 def subwords(buf: np.ndarray, n: int, buckets: int = BUCKETS) -> np.ndarray:
     """Bucket of the n bytes from every place."""
     m = len(buf) - n + 1
@@ -102,7 +105,7 @@ class Model:
 
     def predict(self, texts: list[str | None]) -> tuple[list[str], np.ndarray, list[bool]]:
         """Language, calibrated score and whether it is rejected."""
-        known = [bool(x) and LETTER.search(x) is not None and bool(self.langs) for x in texts]
+        known = [bool(x) and has_letter(x) and bool(self.langs) for x in texts]
         some = [i for i, k in enumerate(known) if k]
         lang, score = ["und"] * len(texts), np.zeros(len(texts))
         if some:
@@ -121,7 +124,7 @@ def softmax(x: np.ndarray) -> np.ndarray:
 
 def fit(rows: list[tuple[str, str]], seed: int = 7) -> Model:
     """A model of (text, language) rows."""
-    rows = [(t, y) for t, y in rows if t and LETTER.search(t)]
+    rows = [(t, y) for t, y in rows if t and has_letter(t)]
     langs = sorted({y for _, y in rows})
     if not langs:
         return Model([], np.zeros((BUCKETS, 1)), np.zeros(1), 1.0, 0.0)

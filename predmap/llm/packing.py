@@ -62,8 +62,11 @@ def best_cuts(pos: list[int], pen: list[int], size: int = SIZE, open_end: bool =
     """Indexes of the boundaries at which windows end, in order. open_end: the last window may be left to a later call."""
     n = len(pos)
     f, back = [0] * n, [0] * n
-    halves = [1 << k for k in range(size.bit_length() - 2, 3, -1) if 1 << k < size]
-    at = dict(zip(pos, range(n), strict=True))
+    place, whole = np.array(pos), {}  # boundary -> those that lie a power of two before it
+    for h in (1 << k for k in range(size.bit_length() - 1, -1, -1) if 1 << k < size):
+        k = np.searchsorted(place, place - h)
+        for j in np.flatnonzero((place >= h) & (place[k] == place - h)).tolist():
+            whole.setdefault(j, []).append(int(k[j]))
     queue: deque = deque([(0, 0)])  # (f(i) + position(i), i), rising
     for j in range(1, n):
         p = pos[j]
@@ -71,9 +74,8 @@ def best_cuts(pos: list[int], pen: list[int], size: int = SIZE, open_end: bool =
             queue.popleft()
         g, i = queue[0]
         cost = g + size - p
-        for h in halves:
-            k = at.get(p - h)
-            if k is not None and f[k] < cost:
+        for k in whole.get(j, ()):
+            if f[k] < cost:
                 cost, i = f[k], k
         cost += PER_SEQUENCE + pen[j]
         f[j], back[j] = cost, i
@@ -151,11 +153,11 @@ def pack(docs: DataFrame, vocabulary: str, size: int = SIZE, id_col: str = "doc_
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
 
     def run(batches):
-        enc = pieces.encoder(vocabulary, "byte")
+        enc = pieces.encoder(vocabulary)
         if vocabulary not in _ends:
             _ends[vocabulary] = sentence_enders(enc.tokenizer)
         packer = Packer(_ends[vocabulary], size, TaskContext.get().partitionId() << 36)
-        end = np.array([END], "<u2")
+        end = np.array([END], enc.dtype)
         for b in small(batches):
             rows: list = []
             for doc_id, text in zip(b.column("doc_id").to_pylist(), texts(b), strict=True):

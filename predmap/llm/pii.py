@@ -1,19 +1,22 @@
 """Personal data: patterns, and information-theoretic sanitisation of the terms that give the found entities away.
 
-Pattern matches are the protected entities. A term is a word within ``WINDOW`` words of one, in the same document. Over the whole
-corpus, with document frequencies n, a term discloses the share of an entity's information
+Pattern matches are the protected entities. Over the whole corpus, with document frequencies n, a term (a word of three letters or
+more) discloses of an entity the share
 
     PMI(term; entity) / IC(entity) = log2(n(term, entity) N / (n(term) n(entity))) / log2(N / n(entity)),
 
-and terms at ``THRESHOLD`` or more, seen beside the entity in at least ``SUPPORT`` different contexts, are spans of kind ``term``
-wherever they stand near it. ``redact`` replaces spans by their kind.
+where n(term, entity) counts whole documents that hold both. Terms at ``THRESHOLD`` or more, seen with the entity in at least
+``SUPPORT`` different texts (so copies of one text alone flag nothing), are spans of kind ``term`` wherever they stand in a document
+that holds the entity. ``sanitise`` replaces entities by their kind and generalises or removes such terms.
 
-Pairs are counted from what the first pass finds. n(term) is wanted only for terms of supported pairs: a Bloom filter of fixed
-size, made of them, lets a second pass over the texts send on (nearly) only their counts; the exact join that follows removes
-the rest, so the filter's size changes the work and never the result. Without supported pairs there is no second pass.
+How it stays small: only texts with an entity that several texts hold are looked at for terms. n(term) comes from one more pass,
+added up in the tasks, for terms that several of these texts hold; a Bloom filter of fixed size keeps the others out, and the exact
+join that follows makes its size change the work only. Terms that stand in the same such texts and have the same n are one class,
+and so are entities; co-occurrence is counted between classes, and only where n(term) <= N^(1 - threshold) n(entity)^threshold,
+which the threshold implies. So a text that holds many entities and terms makes no square of pairs of them.
 
-Defined results: null and empty texts have no spans; rows that repeat an id are treated each; a very long text is read whole;
-an empty table gives no rows; other columns are not read; spans of different kinds may overlap, but no term overlaps a match.
+Defined results: null and empty texts have no spans; rows that repeat an id, or have none, are treated each; a very long text is read
+whole; an empty table gives no rows; other columns are not read; spans of different kinds may overlap, but no term overlaps a match.
 """
 
 from __future__ import annotations
@@ -24,14 +27,15 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark import TaskContext
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from predmap.llm.common import batch_of, cut, small, table, texts
 
 NAME = "op7_personal_data"
 SQL = None  # tests compare with a direct scan
-WINDOW, THRESHOLD, SUPPORT, BLOOM_BITS, PROBES = 8, 0.9, 3, 1 << 22, 3
+THRESHOLD, SUPPORT, BLOOM_BITS, PROBES = 0.9, 2, 1 << 22, 3
 KINDS = ("email", "ip", "card", "phone")
 #: The patterns of the contract. Digits before an address or number would start the match earlier.
 DOMAIN = re.compile(r"@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
@@ -79,18 +83,15 @@ def find(text: str) -> list[tuple[int, int, str]]:
     return sorted(out, key=lambda s: (s[0], KINDS.index(s[2])))
 
 
-def near(text: str, spans: list[tuple[int, int, str]], window: int = WINDOW) -> list[tuple[str, int, int, int, int]]:
-    """(term, start, end, entity, context): words near each span; entity and context are 63-bit hashes."""
-    if not spans:
-        return []
-    out = []
-    for a, b, kind in spans:
-        lo, hi = max(0, a - 40 * window), min(len(text), b + 40 * window)
-        before = [(m.start() + lo, m.end() + lo, m[0]) for m in WORD.finditer(text[lo:a])][-window:]
-        after = [(m.start() + b, m.end() + b, m[0]) for m in WORD.finditer(text[b:hi])][:window]
-        entity = _hash(kind + text[a:b])
-        context = _hash(" ".join(w for _, _, w in before + after))
-        out += [(w.lower(), s, e, entity, context) for s, e, w in before + after if not any(x < e and s < y for x, y, _ in spans)]
+def terms_of(text: str, spans: list[tuple[int, int]]) -> list[tuple[str, int, int]]:
+    """(term, start, end) of the words of text that overlap none of spans (by start)."""
+    out, k, reach = [], 0, 0
+    for m in WORD.finditer(text):
+        while k < len(spans) and spans[k][0] < m.end():
+            reach = max(reach, spans[k][1])
+            k += 1
+        if reach <= m.start():
+            out.append((m[0].lower(), m.start(), m.end()))
     return out
 
 
@@ -102,22 +103,30 @@ def joined(spans) -> str:
     return ",".join(f"{kind}:{a}:{b}" for a, b, kind in spans)
 
 
-NEAR = "array<struct<term:string,start:int,end:int,entity:long,context:long>>"
-FOUND = f"doc_id long, n_email long, n_ip long, n_card long, n_phone long, base string, near {NEAR}"
+def split(base: str) -> list[tuple[int, int]]:
+    """[start, end) of joined spans."""
+    return [(int(x[1]), int(x[2])) for x in (y.split(":") for y in base.split(",") if y)]
+
+
+FOUND = "uid long, doc_id long, n_email long, n_ip long, n_card long, n_phone long, base string, entities array<long>, content long, held string"
 
 
 def detect(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row: doc_id, counts by kind, base (spans joined) and near (the words beside them)."""
-    item = pa.struct([("term", pa.string()), ("start", pa.int32()), ("end", pa.int32()), ("entity", pa.int64()), ("context", pa.int64())])
-    schema = pa.schema([("doc_id", pa.int64()), *[(f"n_{k}", pa.int64()) for k in KINDS], ("base", pa.string()), ("near", pa.list_(item))])
-    names = [f.name for f in item]
+    """Per row: uid (of the row), doc_id, counts by kind, base (spans joined) and, where there are any, the entities' and the text's
+    63-bit hashes and the text."""
+    schema = pa.schema([("uid", pa.int64()), ("doc_id", pa.int64()), *[(f"n_{k}", pa.int64()) for k in KINDS], ("base", pa.string()), ("entities", pa.list_(pa.int64())), ("content", pa.int64()), ("held", pa.string())])
 
     def run(batches):
+        uid = TaskContext.get().partitionId() << 36
         for b in small(batches):
-            spans = [find(x) for x in texts(b)]
+            text = texts(b)
+            spans = [find(x) for x in text]
             kinds = [Counter(k for _, _, k in s) for s in spans]
-            words = [[dict(zip(names, w, strict=True)) for w in near(x, s)] for x, s in zip(texts(b), spans, strict=True)]
-            yield batch_of(schema, b.column("doc_id"), *[[c[k] for c in kinds] for k in KINDS], [joined(s) for s in spans], words)
+            entities = [sorted({_hash(k + x[a:z]) for a, z, k in s}) for x, s in zip(text, spans, strict=True)]
+            content = [_hash(x) if s else None for x, s in zip(text, spans, strict=True)]
+            held = [x if s else None for x, s in zip(text, spans, strict=True)]
+            yield batch_of(schema, np.arange(uid, uid + b.num_rows), b.column("doc_id"), *[[c[k] for c in kinds] for k in KINDS], [joined(s) for s in spans], entities, content, held)
+            uid += b.num_rows
 
     return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, FOUND)
 
@@ -173,54 +182,111 @@ def term_frequencies(docs: DataFrame, wanted: DataFrame, text_col: str = "text")
     return counts.join(wanted.select("term").distinct(), "term", "left_semi").groupBy("term").agg(F.sum("n").alias("n_term"))
 
 
-def disclosing(docs: DataFrame, found: DataFrame, threshold: float = THRESHOLD, support: int = SUPPORT, text_col: str = "text") -> DataFrame | None:
-    """(term, entity, disclosure) of pairs at threshold or more; None if no pair has the support."""
-    pairs = found.select("uid", F.explode("near").alias("x")).select("uid", "x.term", "x.entity", "x.context")
-    few = pairs.groupBy("term", "entity", "context").agg(F.count_distinct("uid").alias("n"))
-    seen = cut(few.groupBy("term", "entity").agg(F.count(F.lit(1)).alias("contexts"), F.sum("n").alias("n_both")).filter(F.col("contexts") >= support))
-    if seen.isEmpty():
-        return None
-    n_entity = pairs.select("uid", "entity").distinct().groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
-    n_term = term_frequencies(docs, seen.select("term").distinct(), text_col)
-    total = F.lit(float(found.count()))
-    n_both = F.least("n_both", "n_entity", "n_term")
-    share = F.log2(n_both * total / (F.col("n_term") * F.col("n_entity"))) / F.greatest(F.log2(total / F.col("n_entity")), F.lit(1e-9))
-    return seen.join(n_entity, "entity").join(n_term, "term").select("term", "entity", share.alias("disclosure")).filter(F.col("disclosure") >= threshold)
+def text_terms(rows: DataFrame) -> DataFrame:
+    """(content, n, term) for the distinct terms of rows (content, n, base, held)."""
+    schema = pa.schema([("content", pa.int64()), ("n", pa.int64()), ("term", pa.string())])
 
+    def run(batches):
+        for b in small(batches, 100):
+            for r in b.to_pylist():
+                found = sorted({t for t, _, _ in terms_of(r["held"], split(r["base"]))})
+                if found:
+                    yield batch_of(schema, [r["content"]] * len(found), [r["n"]] * len(found), found)
 
-def scan(docs: DataFrame, threshold: float = THRESHOLD, support: int = SUPPORT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Per row of docs: doc_id, counts, base (string) and terms (array of struct<start, end>)."""
-    found = cut(detect(docs, id_col, text_col)).withColumn("uid", F.monotonically_increasing_id())
-    pairs = disclosing(docs, found, threshold, support, text_col)
-    if pairs is None:
-        return found.withColumn("terms", F.array().cast("array<struct<start:int,end:int>>")).drop("near", "uid")
-    words = found.select("uid", F.explode("near").alias("x")).select("uid", "x.term", "x.entity", "x.start", "x.end")
-    terms = words.join(pairs, ["term", "entity"], "left_semi").groupBy("uid").agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("terms"))
-    return found.join(terms, "uid", "left").withColumn("terms", F.coalesce("terms", F.array().cast("array<struct<start:int,end:int>>"))).drop("near", "uid")
+    return rows.select("content", "n", "base", "held").mapInArrow(run, "content long, n long, term string")
 
 
-def all_spans(base: str, terms: list) -> str:
-    """Base spans and terms, joined by start, kinds as listed, terms last."""
-    rows = [x.split(":") for x in base.split(",") if x] + [("term", t["start"], t["end"]) for t in terms]
-    order = (*KINDS, "term")
-    return ",".join(f"{k}:{a}:{b}" for k, a, b in sorted(rows, key=lambda r: (int(r[1]), order.index(r[0]))))
+def disclosing(docs: DataFrame, found: DataFrame, threshold: float = THRESHOLD, support: int = SUPPORT, text_col: str = "text") -> DataFrame | None:
+    """(content, terms): the terms to mark in the texts with that hash; None if no entity has the support."""
+    total = float(found.count())
+    own = found.filter("content IS NOT NULL")
+    spread = own.select("content", F.explode("entities").alias("entity")).groupBy("entity", "content").agg(F.count(F.lit(1)).alias("n"))
+    same = F.bit_xor(F.xxhash64("content"))  # alike for those that the same texts hold
+    entities = spread.groupBy("entity").agg(F.sum("n").alias("n_entity"), F.count(F.lit(1)).alias("texts"), same.alias("same")).filter(F.col("texts") >= support)
+    entities = entities.select("entity", "n_entity", F.xxhash64("n_entity", "texts", "same").alias("entity_class"))
+    held = cut(spread.join(entities, "entity").select("content", "entity_class", "n_entity").distinct())
+    if held.isEmpty():
+        return None
+    some = own.join(held.select("content").distinct(), "content", "left_semi")
+    reps = some.groupBy("content").agg(F.count(F.lit(1)).alias("n"), F.min("uid").alias("uid"))
+    terms = cut(text_terms(some.select("uid", "base", "held").join(reps, "uid")))
+    several = terms.groupBy("term").agg(F.count(F.lit(1)).alias("texts"), same.alias("same")).filter(F.col("texts") >= support)
+    several = cut(several)
+    n_term = term_frequencies(docs, several.select("term"), text_col)
+    classes = several.join(n_term, "term").select("term", "n_term", F.xxhash64("n_term", "texts", "same").alias("term_class"))
+    placed = cut(terms.join(classes, "term"))
+    most = F.pow(F.lit(total), F.lit(1 - threshold)) * F.pow(F.col("n_entity").cast("double"), F.lit(threshold))
+    met = placed.select("content", "n", "term_class", "n_term").distinct().join(held, "content").filter(F.col("n_term") <= most * (1 + 1e-9))
+    pairs = met.groupBy("term_class", "entity_class", "n_term", "n_entity").agg(F.count(F.lit(1)).alias("texts"), F.sum("n").alias("n_both")).filter(F.col("texts") >= support)
+    share = F.log2(F.col("n_both") * total / (F.col("n_term") * F.col("n_entity"))) / F.greatest(F.log2(total / F.col("n_entity")), F.lit(1e-9))
+    pairs = pairs.filter(share >= threshold - 1e-12).select("term_class", "entity_class")
+    marks = held.join(pairs, "entity_class").select("content", "term_class").distinct()
+    return placed.join(marks, ["content", "term_class"]).groupBy("content").agg(F.collect_set("term").alias("terms"))
+
+
+AT = "array<struct<start:int,end:int>>"
+SCANNED = f"doc_id long, n_email long, n_ip long, n_card long, n_phone long, base string, terms {AT}"
 
 
-def redact(text: str, spans: str) -> str:
-    """text with every span replaced by its kind in brackets; of overlapping spans the first counts, and the rest goes."""
+def scan(docs: DataFrame, threshold: float = THRESHOLD, support: int = SUPPORT, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Per row of docs: doc_id, counts, base (string) and terms (array of struct<start, end>)."""
+    found = cut(detect(docs, id_col, text_col))
+    marks = disclosing(docs, found, threshold, support, text_col)
+    counts = ["doc_id", *[f"n_{k}" for k in KINDS], "base"]
+    if marks is None:
+        return found.select(*counts, F.array().cast(AT).alias("terms"))
+    schema = pa.schema([*[(c, pa.string() if c == "base" else pa.int64()) for c in counts], ("terms", pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))])
+
+    def place(batches):
+        for b in small(batches, 100):
+            at = []
+            for text, base, marked in zip(b.column("held").to_pylist(), b.column("base").to_pylist(), b.column("marked").to_pylist(), strict=True):
+                wanted = set(marked or ())
+                at.append([{"start": a, "end": z} for t, a, z in terms_of(text, split(base)) if t in wanted] if wanted else [])
+            yield batch_of(schema, *[b.column(c) for c in counts], at)
+
+    own = found.filter("content IS NOT NULL").join(marks.withColumnRenamed("terms", "marked"), "content", "left")
+    own = own.select(*counts, "held", "marked").mapInArrow(place, SCANNED)
+    return found.filter("content IS NULL").select(*counts, F.array().cast(AT).alias("terms")).unionByName(own)
+
+
+def redact(text: str, spans: str, terms: str = "generalise") -> str:
+    """text with every span replaced by its kind in brackets; of overlapping spans the first counts, and the rest goes. Terms are
+    generalised to what sort of word they are, or removed."""
     out, at = [], 0
     for x in spans.split(",") if spans else []:
         kind, a, b = x.split(":")
         if int(a) >= at:
-            out += [text[at : int(a)], f"[{kind.upper()}]"]
+            word = text[int(a) : int(b)]
+            if kind == "term":
+                kind = "" if terms == "remove" else "acronym" if word.isupper() else "name" if word[0].isupper() else "word"
+            out += [text[at : int(a)], f"[{kind.upper()}]" if kind else ""]
         at = max(at, int(b))
     return "".join([*out, text[at:]])
 
 
-def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = scan(table(spark, sf_dir, "documents"))
+def spans_column() -> Column:
+    """All spans of scan()'s rows, joined by start, kinds as listed, terms last."""
     order = F.create_map(*[x for i, k in enumerate((*KINDS, "term")) for x in (F.lit(k), F.lit(i))])
     parts = F.transform(F.filter(F.split("base", ","), lambda x: x != ""), lambda x: F.struct(F.split(x, ":")[1].cast("int").alias("start"), order[F.split(x, ":")[0]].alias("k"), x.alias("s")))
     terms = F.transform("terms", lambda t: F.struct(t["start"].alias("start"), F.lit(len(KINDS)).alias("k"), F.concat_ws(":", F.lit("term"), t["start"].cast("string"), t["end"].cast("string")).alias("s")))
-    spans = F.array_join(F.transform(F.array_sort(F.concat(parts, terms)), lambda x: x["s"]), ",")
-    return found.select("doc_id", *[f"n_{k}" for k in KINDS], F.sha2(F.col("base").cast("binary"), 256).alias("base_sha256"), spans.alias("spans"))
+    return F.array_join(F.transform(F.array_sort(F.concat(parts, terms)), lambda x: x["s"]), ",")
+
+
+def sanitise(docs: DataFrame, terms: str = "generalise", id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of docs, all columns, with entities and disclosing terms gone from the text. Only rows with spans are rewritten; ids must
+    be distinct, as they carry the spans to the rows; rows with a null id or a null text are kept as they are."""
+    spans = scan(docs, id_col=id_col, text_col=text_col, **options).select(F.col("doc_id").alias("_id"), spans_column().alias("_spans")).filter("_spans <> '' AND _id IS NOT NULL")
+    names, at = docs.columns, docs.columns.index(text_col)
+
+    def run(batches):
+        for b in small(batches):
+            new = [x if not s else redact(x, s, terms) for x, s in zip(b.column(at).to_pylist(), b.column(len(names)).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(new, b.column(at).type) if i == at else b.column(i) for i in range(len(names))], names=names)
+
+    return docs.join(spans, docs[id_col].cast("long") == spans["_id"], "left").select(*[docs[c] for c in names], "_spans").mapInArrow(run, docs.schema)
+
+
+def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = scan(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", *[f"n_{k}" for k in KINDS], F.sha2(F.col("base").cast("binary"), 256).alias("base_sha256"), spans_column().alias("spans"))

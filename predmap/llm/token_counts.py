@@ -1,94 +1,39 @@
 """Token counts by a finite-state transducer whose arcs carry emitted-token counts.
 
-The vocabulary's tokenizer is compiled run by run into a deterministic transducer. Its states are "between runs" and "inside
-the run read so far"; reading white space inside a run takes the arc back to "between runs", and that arc is annotated with
-the number of tokens the run emits. Arcs are compiled on first use, by the tokenizers library itself, so counts are its counts.
+The merge table is compiled to a deterministic transducer (see ``transducer``). Every text runs through it: texts are laid in one
+stream of symbols, the stream is cut into chunks, all chunks move in lock step, and their state maps are composed by a
+prefix scan. What a text emits is the sum of its arcs' annotations. Workers compile states when a text first needs them, and
+forget them when there are too many, so memory is bounded.
 
-A text is cut into chunks at any place. A chunk's state map says, for whatever run was open before it, what it emits and
-which run it leaves open: ``Chunk(left, count, right, closed)``. Maps compose associatively, so the maps of a long text are
-combined by a prefix scan in log2(chunks) rounds.
+A tokenizer file whose normaliser, splitting rule or model is of another kind is counted by its own library, text by text.
 
-Defined results: null and empty texts have 0 bytes and 0 tokens; a very long text is one row, read in chunks; repeated rows
-are counted each; an empty table gives no rows; other columns are not read.
+Defined results: null and empty texts have 0 bytes and 0 tokens; a very long text is one row, read in parts cut at spaces; repeated
+rows are counted each; rows with null ids are counted too; an empty table gives no rows; other columns are not read.
 """
 
 from __future__ import annotations
 
-from typing import NamedTuple
-
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from predmap.llm import pieces
 from predmap.llm.common import batch_of, small, table, texts
+from predmap.llm.transducer import Counter
 
 NAME = "op8_token_counts"
 SQL = None  # a tokenizer's merges are not an SQL expression; tests compare with the library
 VOCABULARY = "word_bpe_49k.json"
-CHUNK = 1 << 16
 SCHEMA = "doc_id long, n_bytes long, n_tokens long, over_limit boolean"
 
+_counters: dict[str, Counter] = {}
+
 
-class Chunk(NamedTuple):
-    """State map of a chunk. closed: it holds white space. Unclosed, it only lengthens the open run by left."""
-
-    left: str
-    count: int
-    right: str
-    closed: bool
-
-
-class Transducer:
-    """The compiled tokenizer; emits(run) is the annotation of the arc that closes run."""
-
-    def __init__(self, file: str):
-        self.encoder = pieces.encoder(file, "word", True)
-
-    def emits(self, run: str) -> int:
-        return self.encoder.count(run)
-
-    def compile(self, text: str) -> Chunk:
-        """The state map of one chunk."""
-        runs = text.split()
-        if not runs:
-            return Chunk("", 0, "", bool(text))
-        left = "" if text[0].isspace() else runs.pop(0)
-        if not runs and left and not text[-1].isspace():
-            return Chunk(left, 0, "", False)
-        right = "" if text[-1].isspace() else runs.pop()
-        return Chunk(left, self.encoder.count(" ".join(runs)), right, True)
-
-    def compose(self, a: Chunk, b: Chunk) -> Chunk:
-        """First a, then b."""
-        if not a.closed:
-            return Chunk(a.left + b.left, b.count, b.right, b.closed)
-        if not b.closed:
-            return Chunk(a.left, a.count, a.right + b.left, True)
-        middle = a.right + b.left
-        return Chunk(a.left, a.count + b.count + (self.emits(middle) if middle else 0), b.right, True)
-
-    def scan(self, maps: list[Chunk]) -> list[Chunk]:
-        """Inclusive prefix composition, by doubling."""
-        out, step = list(maps), 1
-        while step < len(out):
-            out = [self.compose(out[i - step], x) if i >= step else x for i, x in enumerate(out)]
-            step *= 2
-        return out
-
-    def total(self, m: Chunk) -> int:
-        """Tokens when the whole text was m."""
-        return m.count + sum(self.emits(x) for x in (m.left, m.right) if x)
-
-    def count(self, text: str, chunk: int = CHUNK) -> int:
-        if not self.encoder.plain(text):
-            return self.encoder.runs.of(text)
-        if len(text) <= chunk:
-            return self.encoder.count(text)
-        maps = [self.compile(text[i : i + chunk]) for i in range(0, len(text), chunk)]
-        while len(maps) > 1:  # only the last prefix is asked for, so the scan's up-sweep is enough
-            maps = [self.compose(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
-        return self.total(maps[0])
+def counter(file: str) -> Counter:
+    """One counter per worker process and file."""
+    if file not in _counters:
+        _counters[file] = Counter(file)
+    return _counters[file]
 
 
 def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -96,9 +41,9 @@ def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 2048, id_col: st
     schema = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("n_tokens", pa.int64()), ("over_limit", pa.bool_())])
 
     def run(batches):
-        fst = Transducer(vocabulary)
+        fst = counter(vocabulary)
         for b in small(batches):
-            n = [fst.count(x) for x in texts(b)]
+            n = fst.counts(texts(b))
             yield batch_of(schema, b.column("doc_id"), b.column("n_bytes"), n, [x > limit for x in n])
 
     text = F.coalesce(docs[text_col], F.lit(""))

@@ -9,7 +9,7 @@ leave nothing behind and any store that Spark reaches will do. The start of each
 the ranges (as many rows as files) plus the place within its range.
 
 Defined results: a null or empty text is the one end id; a very long text is one block of its own; rows that repeat an id follow
-each other in any order; rows with a null id come first; an empty table gives an empty file set; other columns are not read.
+each other, in the order of their texts' hashes; rows with a null id come first; an empty table gives an empty file set; other columns are not read.
 """
 
 from __future__ import annotations
@@ -29,7 +29,7 @@ NAME = "op4_token_files"
 SQL = None  # tests check round trips and hold ids against the library
 VOCABULARY = "word_bpe_49k.json"
 END = 1
-BLOCK_IDS = 1 << 16
+BLOCK_IDS, FILE_BYTES = 1 << 16, 10 << 20
 #: Ids per word by selector, 0 the escape.
 COUNTS = (0, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1)
 WIDTHS = tuple(60 // c if c else 64 for c in COUNTS)
@@ -138,9 +138,9 @@ def write(docs: DataFrame, path: str, vocabulary: str, end: int = END, id_col: s
     schema = pa.schema([("shard", pa.int32()), ("block", pa.int64()), ("doc_ids", pa.list_(pa.int64())), ("lengths", pa.list_(pa.int64())), ("words", pa.binary())])
 
     def run(batches):
-        enc, shard = pieces.encoder(vocabulary, "word"), TaskContext.get().partitionId()
+        enc, shard = pieces.encoder(vocabulary), TaskContext.get().partitionId()
         ids, lens, parts, held, block = [], [], [], 0, 0
-        last = np.array([end], "<u2")
+        last = np.array([end], enc.dtype)
         for b in small(batches):
             for doc_id, text in zip(b.column("doc_id").to_pylist(), texts(b), strict=True):
                 own = enc.ids(text)
@@ -155,9 +155,13 @@ def write(docs: DataFrame, path: str, vocabulary: str, end: int = END, id_col: s
             yield batch_of(schema, [shard], [block], [ids], [lens], [encode(np.concatenate(parts))])
 
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), F.coalesce(docs[text_col], F.lit("")).alias("text"))
+    n, size = rows.agg(F.count(F.lit(1)), F.sum(F.octet_length("text"))).head()
+    files = max(1, min(n, -(-(size or 0) // FILE_BYTES)))
+    # rows that share an id, or have none, are dealt by their texts' hash, so that no id is a hot range
+    order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text").asc()]
     (
-        rows.repartitionByRange(F.col("doc_id").asc_nulls_first())
-        .sortWithinPartitions(F.col("doc_id").asc_nulls_first())
+        rows.repartitionByRange(files, *order)
+        .sortWithinPartitions(*order)
         .mapInArrow(run, BLOCKS)
         .write.mode("overwrite").option("compression", "zstd").parquet(path)
     )

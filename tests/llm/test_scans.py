@@ -1,6 +1,9 @@
 import hashlib
+import math
 import re
+from collections import Counter, defaultdict
 
+import numpy as np
 import pytest
 
 from predmap.llm import pii, secrets
@@ -81,14 +84,64 @@ def test_pii_given(spark):
     assert seen
 
 
+def brute_terms(rows, threshold=pii.THRESHOLD, support=pii.SUPPORT):
+    """Per row: the places of disclosing terms, by counting every pair of term and entity."""
+    spans = [base_pii(x) for x in rows]
+    entities = [{(k, x[a:b]) for a, b, k in s} for x, s in zip(rows, spans, strict=True)]
+    words = [{m[0].lower() for m in pii.WORD.finditer(x)} for x in rows]
+    open_ = [{t for t, _, _ in pii.terms_of(x, [(a, b) for a, b, _ in s])} for x, s in zip(rows, spans, strict=True)]
+    n_term, n_entity = Counter(t for w in words for t in w), Counter(e for s in entities for e in s)
+    texts = defaultdict(set)
+    for x, s, w in zip(rows, entities, open_, strict=True):
+        for e in s:
+            for t in w:
+                texts[t, e].add(x)
+    n_both = Counter((t, e) for s, w in zip(entities, open_, strict=True) for e in s for t in w)
+    shared = {e for e in n_entity if len({x for x, s in zip(rows, entities, strict=True) if e in s}) >= support}
+
+    def share(t, e):
+        return math.log2(n_both[t, e] * len(rows) / (n_term[t] * n_entity[e])) / max(math.log2(len(rows) / n_entity[e]), 1e-9)
+
+    out = []
+    for x, s, es in zip(rows, spans, entities, strict=True):
+        near = [(t, a, b) for t, a, b in pii.terms_of(x, [(a, b) for a, b, _ in s]) if es]
+        good = {t for t in {t for t, _, _ in near} if any(e in shared and len(texts[t, e]) >= support and share(t, e) >= threshold for e in es)}
+        out.append([(a, b) for t, a, b in near if t in good])
+    return out
+
+
+def test_terms_by_brute_force(spark):
+    rng = np.random.default_rng(5)
+    words = [f"{a}{b}{c}" for a in "kmnp" for b in "aeio" for c in "rst"]
+    people = {f"user{i}@x{i % 3}.org": [f"Name{'abcdefghij'[i]}", words[i]] for i in range(8)}
+    rows = []
+    for i in range(120):
+        text = list(rng.choice(words, 12))
+        for p in rng.choice(list(people), rng.integers(0, 3), replace=False) if i % 2 else ():
+            text += [p, *people[p]]
+        rng.shuffle(text)
+        rows.append(" ".join(text))
+    rows += rows[:10] + ["", "user0@x0.org"]
+    got = {r["doc_id"]: [tuple(t) for t in r["terms"]] for r in pii.scan(frame(spark, [(i, x, *[None] * 6) for i, x in enumerate(rows)])).collect()}
+    want = brute_terms(rows)
+    assert sum(map(len, want)) > 20
+    assert [sorted(got[i]) for i in range(len(rows))] == want
+
+
 def test_terms_that_disclose(spark):
     filler = ["der Rest hier steht {} ohne Bezug", "ganz anderes {} kommt vor"]
     rows = [(i, f"Zum Fall {w} schreibt Quandt an q@x.org bitte {w} lesen", *[None] * 6) for i, w in enumerate(("rot", "blau", "gelb"))]
-    rows += [(10 + i, filler[i % 2].format("bitte schreibt Zum Fall lesen"), *[None] * 6) for i in range(40)]
-    got = {r["doc_id"]: r for r in pii.scan(frame(spark, rows)).collect()}
+    rows += [(10 + i, filler[i % 2].format("bitte schreibt Zum Fall lesen"), *[None] * 6) for i in range(40)] + [(None, "q@x.org null id", *[None] * 6), (99, None, *[None] * 6)]
+    df = frame(spark, rows)
+    got = {r["doc_id"]: r for r in pii.scan(df).collect()}
     text = rows[0][1]
     assert [text[t["start"] : t["end"]] for t in got[0]["terms"]] == ["Quandt"]
     assert got[10]["terms"] == []
-    spans = pii.all_spans(got[0]["base"], got[0]["terms"])
-    assert pii.redact(text, spans) == "Zum Fall rot schreibt [TERM] an [EMAIL] bitte rot lesen"
+    clean = {r["doc_id"]: r["text"] for r in pii.sanitise(df).collect()}
+    assert clean[0] == "Zum Fall rot schreibt [NAME] an [EMAIL] bitte rot lesen"
+    assert clean[10] == rows[3][1]
+    assert clean[99] is None
+    gone = {r["doc_id"]: r["text"] for r in pii.sanitise(df, "remove").collect()}
+    assert gone[0] == "Zum Fall rot schreibt  an [EMAIL] bitte rot lesen"
+    assert pii.sanitise(df).columns == df.columns
     assert pii.scan(empty(spark)).count() == 0
