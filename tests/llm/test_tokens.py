@@ -1,3 +1,4 @@
+import functools
 import json
 import zlib
 
@@ -13,10 +14,15 @@ from predmap.llm.common import scratch
 from .helpers import awkward, empty, frame, given
 
 
-def library(name, texts):
+@functools.cache
+def tokenizer(name):
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(pieces.path(name))
+    return Tokenizer.from_file(pieces.path(name))
+
+
+def library(name, texts):
+    t = tokenizer(name)
     return [t.encode(x or "", add_special_tokens=False).ids for x in texts]
 
 
