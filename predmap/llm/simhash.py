@@ -259,9 +259,10 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **opt
 # -- near duplicates by similarity of shingle sets: what the pipeline's stage takes
 
 WORDS, SIMILARITY = 5, 0.8
-#: How the order of shingles is found; this changes the work only: share of documents counted (one in so many), count from which a
-#: shingle is common, most of them that are held, and pairs made at once.
-SAMPLED, COMMON, HELD, BLOCK = 16, 4, 1 << 20, 1 << 21
+#: Least hashes of a set: bands of ROWS of them are keys; two sets are compared that share SHARED keys or more.
+BANDS, ROWS, SHARED = 25, 4, 2
+#: Members that a leader is compared with in one task, pairs made at once, and the largest Bloom filter sent out, in bits.
+TOGETHER, BLOCK, MOST_BITS = 256, 1 << 21, 1 << 28
 
 
 def shingle_hashes(text: str, words: int = WORDS) -> np.ndarray:
@@ -285,34 +286,48 @@ def shingle_set(text: str, words: int = WORDS) -> np.ndarray:
     return h if len(h) else np.zeros(1, np.uint64)
 
 
-def common_shingles(rows: DataFrame, words: int) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes, rising, and counts of the shingles that a share of the documents, chosen by hash, holds several times."""
-
-    def run(batches):
-        for b in small(batches):
-            held, n = np.unique(np.concatenate([shingle_set(x, words) for x in texts(b)]), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(held.view(np.int64)), pa.array(n, pa.int64())], names=["h", "n"])
-
-    some = rows.filter(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLED)) == 0).mapInArrow(run, "h long, n long")
-    often = some.groupBy("h").agg(F.sum("n").alias("n")).filter(F.col("n") >= COMMON).orderBy(F.desc("n"), "h").limit(HELD).toPandas()
-    h, n = often["h"].to_numpy(np.int64).view(np.uint64), often["n"].to_numpy(np.int64)
-    order = np.argsort(h)
-    return h[order], n[order]
+def voted(h: np.ndarray) -> int:
+    """The SimHash of a set of hashes, each counted once."""
+    counts = np.zeros(64, np.int64)
+    for at in range(0, len(h), 1 << 16):
+        part = np.ascontiguousarray(h[at : at + (1 << 16)], "<u8")
+        counts += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int(np.packbits(counts * 2 > len(h), bitorder="little").view("<u8")[0])
+
+
+_rng = np.random.default_rng(SEED)
+TURN = _rng.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64)
+SPIN = _rng.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64) | np.uint64(1)
+
+
+def band_keys(h: np.ndarray) -> np.ndarray:
+    """A key for each band of the set's least hashes; two sets share one with the fourth power of their similarity as probability."""
+    least = np.full(BANDS * ROWS, ~np.uint64(0))
+    for at in range(0, len(h), 4096):
+        x = (h[None, at : at + 4096] ^ TURN) * SPIN
+        x ^= x >> np.uint64(32)
+        x *= SPIN
+        least = np.minimum(least, x.min(1))
+    out = np.arange(1, BANDS + 1, dtype=np.uint64) * SPIN[0]
+    for column in least.reshape(BANDS, ROWS).T:
+        out = (out ^ column) * SPIN[1]
+        out ^= out >> np.uint64(29)
+    return out
 
 
-def prefix(h: np.ndarray, similarity: float, common: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
-    """The first shingles of a set, rare ones first: two sets at similarity or more share one of these at least."""
-    n = np.zeros(len(h), np.int64)
-    if len(common[0]):
-        at = np.minimum(np.searchsorted(common[0], h), len(common[0]) - 1)
-        n = np.where(common[0][at] == h, common[1][at], 0)
-    return h[np.argsort(n, kind="stable")][: len(h) - int(np.ceil(similarity * len(h) - 1e-9)) + 1]
+def signed_sets(rows: DataFrame, words: int) -> DataFrame:
+    """(doc, fp, keys): SimHash and band keys of each row's set of shingles."""
+    schema = pa.schema([("doc", pa.int64()), ("fp", pa.int64()), ("keys", pa.list_(pa.int64()))])
 
+    def run(batches):
+        for b in small(batches):
+            sets = [shingle_set(x, words) for x in texts(b)]
+            fp = np.array([voted(x) for x in sets], np.uint64).view(np.int64)
+            keys = np.concatenate([band_keys(x) for x in sets]).view(np.int64)
+            held = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BANDS), pa.array(keys))
+            yield batch_of(schema, b.column("doc_id"), fp, held)
 
-def _may(at: np.ndarray, size: np.ndarray, at2: np.ndarray, size2: np.ndarray, similarity: float) -> np.ndarray:
-    """Whether two sets whose first common shingle has these places can reach similarity: what follows bounds what they share."""
-    most = np.minimum(size - at, size2 - at2)
-    return (most >= similarity / (1 + similarity) * (size + size2) - 1e-6) & (np.minimum(size, size2) >= similarity * np.maximum(size, size2) - 1e-6)
+    return rows.mapInArrow(run, "doc long, fp long, keys array<long>")
 
 
 def _whole(batches):
@@ -340,96 +355,141 @@ def _ends(*keys: np.ndarray) -> np.ndarray:
     return np.repeat(np.append(edge, n), np.diff(np.concatenate([[0], edge, [n]])))
 
 
-def shared(rows: DataFrame, words: int, similarity: float) -> DataFrame:
-    """(token, doc, at, size, leader): the prefix shingles that several documents have, with their place and the size of the set.
-    leader is the token's least document, or null where it is doc or their places rule similarity out."""
-    given = rows.sparkSession.sparkContext.broadcast(common_shingles(rows, words))
-    first = pa.schema([("token", pa.int64()), ("doc", pa.int64()), ("at", pa.int32()), ("size", pa.int32())])
-
-    def deal(batches):
-        for b in small(batches):
-            sets = [shingle_set(x, words) for x in texts(b)]
-            some = [prefix(x, similarity, given.value) for x in sets]
-            n = [len(x) for x in some]
-            yield batch_of(
-                first, np.concatenate(some).view(np.int64), np.repeat(b.column("doc_id").to_numpy(), n), np.concatenate([np.arange(k, dtype=np.int32) for k in n]), np.repeat([len(x) for x in sets], n).astype(np.int32)
-            )
-
-    second = pa.schema([*first, ("leader", pa.int64())])
-
-    def meet(batches):
-        for token, doc, at, size in _whole(batches):
-            ends = _ends(token)
-            starts = np.searchsorted(token, token)
-            ok = (doc != doc[starts]) & _may(at, size, at[starts], size[starts], similarity)
-            many = np.flatnonzero(ends - starts > 1)
-            for i in range(0, len(many), 1 << 17):
-                m = many[i : i + (1 << 17)]
-                yield batch_of(second, token[m], doc[m], at[m], size[m], pa.array(doc[starts[m]], mask=~ok[m]))
-
-    dealt = rows.mapInArrow(deal, "token long, doc long, at int, size int").repartition("token").sortWithinPartitions("token", "doc")
-    return dealt.mapInArrow(meet, "token long, doc long, at int, size int, leader long")
-
+def meetings(tokens: DataFrame) -> DataFrame:
+    """(token, doc, leader) of tokens that several rows have, leader being the token's least document. Rows pass in order, so a token
+    may have any number of them."""
+    schema = pa.schema([("token", pa.int64()), ("doc", pa.int64()), ("leader", pa.int64())])
 
-def across(near: DataFrame, similarity: float) -> DataFrame:
-    """(doc, leader) of all pairs that share tokens of near (token, doc, at, size, root), differ in root and may be similar. What two
-    sets share is at most their common prefix tokens and, of the one whose prefix ends first, all that follows its prefix."""
-    schema = pa.schema([("doc", pa.int64()), ("leader", pa.int64()), ("least", pa.int64()), ("may", pa.bool_())])
+    def run(batches):
+        last = None  # token and leader of the last row that went out or was dropped
+        t0, d0 = np.zeros(0, np.int64), np.zeros(0, np.int64)  # the row whose successor is not known yet
+        for b in (*batches, None):
+            end = b is None
+            if end or b.num_rows:
+                t = np.concatenate([t0, *([] if end else [b.column(0).to_numpy()])])
+                d = np.concatenate([d0, *([] if end else [b.column(1).to_numpy()])])
+                if not len(t):
+                    continue
+                n = len(t) if end else len(t) - 1
+                first = np.ones(len(t), bool)
+                first[1:] = t[1:] != t[:-1]
+                run_of = np.cumsum(first) - 1
+                leader = d[np.flatnonzero(first)][run_of]
+                again = ~first
+                if last and last[0] == t[0]:
+                    leader[run_of == 0], again[0] = last[1], True
+                again[:-1] |= ~first[1:]
+                out = np.flatnonzero(again[:n])
+                if len(out):
+                    yield batch_of(schema, t[out], d[out], leader[out])
+                if n:
+                    last = int(t[n - 1]), int(leader[n - 1])
+                t0, d0 = t[n:], d[n:]
+
+    return tokens.select("token", "doc").repartition("token").sortWithinPartitions("token", "doc").mapInArrow(run, "token long, doc long, leader long")
+
+
+def across(near: DataFrame) -> DataFrame:
+    """(doc, leader) of all pairs that share SHARED tokens of near (token, doc, root) and differ in root."""
+    schema = pa.schema([("doc", pa.int64()), ("leader", pa.int64())])
 
     def run(batches):
-        for token, root, doc, at, size in _whole(batches):
+        for token, root, doc in _whole(batches):
             ends, own = _ends(token), _ends(token, root)
             n = ends - own  # partners of a row: the token's rows behind those of its root
             block = np.cumsum(n) // BLOCK
             for rows in np.split(np.arange(len(n)), np.flatnonzero(block[1:] != block[:-1]) + 1):
                 i = np.repeat(rows, n[rows])
                 j = np.repeat(own[rows] - np.cumsum(n[rows]) + n[rows], n[rows]) + np.arange(len(i))
-                x, y = size[i].astype(np.int64), size[j].astype(np.int64)
-                fits = np.minimum(x, y) >= similarity * np.maximum(x, y) - 1e-6
-                i, j, x, y = i[fits], j[fits], x[fits], y[fits]
-                behind = np.ceil(similarity * np.maximum(x, y) - 1e-9) - 1
-                least = np.ceil(similarity / (1 + similarity) * (x + y) - behind - 1e-6).astype(np.int64)
                 if len(i):
-                    yield batch_of(schema, np.maximum(doc[i], doc[j]), np.minimum(doc[i], doc[j]), least, _may(at[i], x, at[j], y, similarity))
+                    yield batch_of(schema, np.maximum(doc[i], doc[j]), np.minimum(doc[i], doc[j]))
 
-    return near.select("token", "root", "doc", "at", "size").repartition("token").sortWithinPartitions("token", "root").mapInArrow(run, "doc long, leader long, least long, may boolean").groupBy("doc", "leader").agg(
-        F.count(F.lit(1)).alias("n"), F.min("least").alias("least"), F.max("may").alias("may")).filter("n >= least AND may").select("doc", "leader")
+    met = near.select("token", "root", "doc").repartition("token").sortWithinPartitions("token", "root").mapInArrow(run, "doc long, leader long")
+    return met.groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= SHARED).select("doc", "leader")
 
 
-def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -> DataFrame:
-    """(a, b), a > b: those of pairs (doc, leader) whose sets of shingles have the similarity."""
-    asked = pairs.select(F.col("doc").alias("id")).unionByName(pairs.select(F.col("leader").alias("id"))).distinct()
+def _asked(rows: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows whose doc_id is in ids (id). A Bloom filter, a byte per id up to MOST_BITS, lets few others be shuffled to the join
+    that decides."""
+    n = ids.count()
+    bits = min(MOST_BITS, 1 << max(16, (8 * n).bit_length()))
+    places = [F.pmod(F.xxhash64("id", F.lit(k)), F.lit(bits)) for k in (1, 2)]
+    word = ids.select(F.explode(F.array(*places)).alias("p")).groupBy(F.floor(F.col("p") / 32).cast("int").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p % 32 as int))")).alias("bits"))
+    held = np.zeros(bits // 32, np.uint32)
+    for part in word.toLocalIterator(prefetchPartitions=True):
+        held[part["word"]] = part["bits"]
+    given = rows.sparkSession.sparkContext.broadcast(held)
+    marked = rows.select("*", *[F.pmod(F.xxhash64("doc_id", F.lit(k)), F.lit(bits)).alias(f"p{k}") for k in (1, 2)])
+
+    def run(batches):
+        for b in batches:
+            one, two = (b.column(c).to_numpy() for c in ("p1", "p2"))
+            may = (given.value[one >> 5] >> (one & 31) & given.value[two >> 5] >> (two & 31) & 1).astype(bool)
+            yield b.select(["doc_id", "text"]).filter(pa.array(may))
+
+    few = marked.mapInArrow(run, "doc_id long, text string")
+    return few.join(ids, few["doc_id"] == ids["id"]).select("id", "text")
 
-    def sets(batches):
-        for b in small(batches):
-            held = [shingle_set(x, words).view(np.int64) for x in texts(b)]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(held, pa.list_(pa.int64()))], names=["id", "set"])
 
-    known = cut(rows.join(asked, rows["doc_id"] == asked["id"], "left_semi").mapInArrow(sets, "id long, set array<long>"))
-    one = known.select(F.col("id").alias("doc"), F.col("set").alias("x"))
-    two = known.select(F.col("id").alias("leader"), F.col("set").alias("y"))
-    both = F.size(F.array_intersect("x", "y"))
-    near = pairs.join(one, "doc").join(two, "leader").filter(both >= similarity * (F.size("x") + F.size("y") - both))
-    return near.select(F.greatest("doc", "leader").alias("a"), F.least("doc", "leader").alias("b")).distinct()
+def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -> DataFrame:
+    """(a, b), a > b: those of pairs (doc, leader) whose sets of shingles have the similarity. Texts travel, as they are smaller than
+    their sets; a leader's members are dealt to several tasks, each with its own copy of the leader."""
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    pairs = cut(pairs.distinct())
+    ids = cut(pairs.select(F.col("doc").alias("id")).unionByName(pairs.select(F.col("leader").alias("id"))).distinct())
+    known = _asked(rows, ids)
+    parts = pairs.groupBy("leader").agg(F.ceil(F.count(F.lit(1)) / TOGETHER).alias("parts"))
+    members = pairs.join(parts, "leader").select("leader", F.pmod(F.xxhash64("doc"), "parts").alias("part"), "doc")
+    leaders = parts.select("leader", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), F.lit(None).cast("long").alias("doc"))
+    wanted = members.withColumn("id", F.col("doc")).unionByName(leaders.withColumn("id", F.col("leader")))
+    texts_of = wanted.join(known, "id").select("leader", "part", "doc", "text")
+
+    def run(batches):
+        key, own = None, None
+        for b in batches:
+            found = []
+            for leader, part, doc, text in zip(*(b.column(i).to_pylist() for i in range(4)), strict=True):
+                h = shingle_set(text or "", words)
+                if doc is None:  # sorted first
+                    key, own = (leader, part), h
+                elif key == (leader, part) and min(len(h), len(own)) >= similarity * max(len(h), len(own)) - 1e-9:
+                    both = len(np.intersect1d(h, own, assume_unique=True))
+                    if both >= similarity * (len(h) + len(own) - both) - 1e-9:
+                        found.append((max(doc, leader), min(doc, leader)))
+            if found:
+                yield batch_of(schema, *zip(*found, strict=True))
+
+    near = texts_of.repartition("leader", "part").sortWithinPartitions("leader", "part", F.col("doc").asc_nulls_first()).mapInArrow(run, "a long, b long")
+    return near.distinct()
 
 
 def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(a, b), a > b: documents whose sets of shingles have at least this Jaccard similarity, enough pairs for the components of all
-    such pairs. Shingles have one order, rare ones first; sets that reach the similarity share one of their first fifth (and one
-    more). For each such shingle its documents are compared with the least of them; then every two of them that are still in
-    different components are. So no similar pair is left out, and a group of copies makes no square of pairs. Rows with null ids
-    take no part."""
+    such pairs. Candidates are exact only in that each is compared exactly; they come
+
+    1. from SimHash: documents whose fingerprints (over distinct shingles) are linked by the BK-trees, with the least of their group;
+    2. from bands: each document with the least document of a band, of those the one that it shares most bands with;
+    3. from bands again: every two documents that share SHARED bands and are still in different components.
+
+    A pair at 0.8 is missed by 3 with a probability of 3e-5. Rows with null ids take no part; of rows that repeat an id, which is
+    one document here, any may be compared."""
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).filter("doc_id IS NOT NULL")
-    held = cut(shared(rows, words, similarity))
-    # only links that settle much are wanted here, so pairs with few common tokens wait for the second step
-    few = similarity * (1 - similarity) / (1 + similarity) / 2
-    pairs = held.filter("leader IS NOT NULL").groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n"), F.max("size").alias("size"))
-    pairs = cut(pairs.filter(F.col("n") >= few * F.col("size")).select("doc", "leader"))
+    made = cut(signed_sets(rows, words))
+    fps = cut(made.groupBy("fp").agg(F.min("doc").alias("low")))
+    groups = components(links(fps, RADIUS))
+    roots = fps.join(groups, fps["low"] == groups["node"], "left").select("fp", F.coalesce("root", "low").alias("leader"))
+    by_fp = made.select("doc", "fp").join(roots, "fp").filter("doc <> leader").select("doc", "leader")
+    held = cut(meetings(made.select(F.explode("keys").alias("token"), "doc")))
+    shared = held.filter("doc <> leader").groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= SHARED)
+    by_band = shared.groupBy("doc").agg(F.max_by("leader", F.struct("n", -F.col("leader"))).alias("leader"))
+    pairs = cut(by_fp.unionByName(by_band).distinct())
     first = cut(compared(rows, pairs, words, similarity))
     roots = components(first)
-    near = held.drop("leader").join(roots, held["doc"] == roots["node"], "left").withColumn("root", F.coalesce("root", "doc"))
-    rest = cut(across(near, similarity).join(pairs, ["doc", "leader"], "left_anti"))
-    return first if rest.isEmpty() else first.unionByName(compared(rows, rest, words, similarity))
+    near = held.select("token", "doc").join(roots, F.col("doc") == roots["node"], "left").select("token", "doc", F.coalesce("root", "doc").alias("root"))
+    mixed = near.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("token")
+    near = near.join(mixed, "token", "left_semi")
+    rest = cut(across(near).join(pairs, ["doc", "leader"], "left_anti"))
+    return first if rest.isEmpty() else first.unionByName(cut(compared(rows, rest, words, similarity)))
 
 
 def dedup_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:

@@ -249,6 +249,33 @@ def test_similar_with_repeats_and_short_texts(spark):
     assert {r["doc_id"] for r in simhash.dedup_similar(text_frame(spark, rows)).collect()} == want
 
 
+def test_planted_near_copies_are_found(spark):
+    """Of copies at a similarity of 0.8 to 0.9 hardly any may stay, whatever their SimHash."""
+    rng = np.random.default_rng(9)
+    words = [f"w{i}" for i in range(30_000)]
+    rows = {i: " ".join(rng.choice(words, rng.integers(30, 500))) for i in range(400)}
+    for i in range(400):
+        w = rows[i].split()
+        while True:
+            at = int(rng.integers(0, len(w)))
+            w[at] = f"y{i}"
+            if not jaccard(" ".join(w), rows[i]):
+                break
+            rows[1000 + i] = " ".join(w)
+    planted = {i for i in rows if i >= 1000}
+    assert len(planted) > 300
+    kept = {r["doc_id"] for r in simhash.dedup_similar(text_frame(spark, rows)).collect()}
+    assert {*range(400)} <= kept
+    assert len(planted & kept) <= 0.01 * len(planted)
+
+
+def test_a_hot_leader_is_dealt(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "TOGETHER", 7)
+    rows = near_copies()
+    df = text_frame(spark, rows)
+    assert {r["doc_id"] for r in simhash.dedup_similar(df).collect()} == survivors({i: t or "" for i, t in rows.items()})
+
+
 def test_pipeline(spark):
     sf = "/root/testdata/sf0.001"
     docs = spark.read.parquet(f"{sf}/documents.parquet")
