@@ -259,10 +259,12 @@ def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **opt
 # -- near duplicates by similarity of shingle sets: what the pipeline's stage takes
 
 WORDS, SIMILARITY = 5, 0.8
-#: Least hashes of a set: bands of ROWS of them are keys; two sets are compared that share SHARED keys or more.
-BANDS, ROWS, SHARED = 25, 4, 2
-#: Members that a leader is compared with in one task, pairs made at once, and the largest Bloom filter sent out, in bits.
-TOGETHER, BLOCK, MOST_BITS = 256, 1 << 21, 1 << 28
+#: Least hashes of a set: bands of ROWS of them are keys, and the low bytes of all LEAST say how similar two sets look. Sets that look
+#: less similar than 0.075 below the wanted similarity are not compared: at 0.8 that is three standard deviations.
+BANDS, ROWS, LEAST, SLACK = 25, 4, 256, 0.075
+#: Members that a leader is compared with in one task, members of a part of a large group, pairs made at once, and the bits of the
+#: largest Bloom filter sent out.
+TOGETHER, PART, BLOCK, MOST_BITS = 256, 2048, 1 << 14, 1 << 28
 
 
 def shingle_hashes(text: str, words: int = WORDS) -> np.ndarray:
@@ -296,47 +298,54 @@ def voted(h: np.ndarray) -> int:
 
 
 _rng = np.random.default_rng(SEED)
-TURN = _rng.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64)
-SPIN = _rng.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64) | np.uint64(1)
-
-
-def band_keys(h: np.ndarray) -> np.ndarray:
-    """A key for each band of the set's least hashes; two sets share one with the fourth power of their similarity as probability."""
-    least = np.full(BANDS * ROWS, ~np.uint64(0))
-    for at in range(0, len(h), 4096):
-        x = (h[None, at : at + 4096] ^ TURN) * SPIN
-        x ^= x >> np.uint64(32)
-        x *= SPIN
-        least = np.minimum(least, x.min(1))
-    out = np.arange(1, BANDS + 1, dtype=np.uint64) * SPIN[0]
-    for column in least.reshape(BANDS, ROWS).T:
-        out = (out ^ column) * SPIN[1]
+TURN = _rng.integers(0, 1 << 32, (LEAST, 1), np.uint32)
+SPIN = _rng.integers(0, 1 << 32, (2, LEAST, 1), np.uint32) | np.uint32(1)
+
+
+def least_hashes(h: np.ndarray) -> np.ndarray:
+    """The least value of the set under each of LEAST hash functions; two sets agree in a share of them that is their similarity."""
+    h = (h >> np.uint64(32)).astype(np.uint32)
+    out = np.full(LEAST, ~np.uint32(0))
+    for at in range(0, len(h), 1024):
+        x = (h[None, at : at + 1024] ^ TURN) * SPIN[0]
+        x ^= x >> np.uint32(15)
+        x *= SPIN[1]
+        x ^= x >> np.uint32(16)
+        out = np.minimum(out, x.min(1))
+    return out
+
+
+def band_keys(least: np.ndarray) -> np.ndarray:
+    """n x LEAST to a 64-bit key per band: equal where the band's ROWS least hashes are."""
+    out = np.broadcast_to(np.arange(1, BANDS + 1, dtype=np.uint64), (len(least), BANDS))
+    for k in range(ROWS):
+        out = (out ^ least[:, k : BANDS * ROWS : ROWS]) * np.uint64(0x9E3779B97F4A7C15)
         out ^= out >> np.uint64(29)
     return out
 
 
 def signed_sets(rows: DataFrame, words: int) -> DataFrame:
-    """(doc, fp, keys): SimHash and band keys of each row's set of shingles."""
-    schema = pa.schema([("doc", pa.int64()), ("fp", pa.int64()), ("keys", pa.list_(pa.int64()))])
+    """(doc, fp, keys, looks): SimHash, band keys and low bytes of the least hashes of each row's set of shingles."""
+    schema = pa.schema([("doc", pa.int64()), ("fp", pa.int64()), ("keys", pa.list_(pa.int64())), ("looks", pa.binary())])
 
     def run(batches):
         for b in small(batches):
             sets = [shingle_set(x, words) for x in texts(b)]
             fp = np.array([voted(x) for x in sets], np.uint64).view(np.int64)
-            keys = np.concatenate([band_keys(x) for x in sets]).view(np.int64)
-            held = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BANDS), pa.array(keys))
-            yield batch_of(schema, b.column("doc_id"), fp, held)
+            least = np.stack([least_hashes(x) for x in sets])
+            keys = pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * BANDS), pa.array(band_keys(least).view(np.int64).ravel()))
+            yield batch_of(schema, b.column("doc_id"), fp, keys, [x.tobytes() for x in least.astype(np.uint8)])
 
-    return rows.mapInArrow(run, "doc long, fp long, keys array<long>")
+    return rows.mapInArrow(run, "doc long, fp long, keys array<long>, looks binary")
 
 
 def _whole(batches):
-    """Columns, as arrays, of batches sorted by the first column, cut only between its values."""
+    """Columns, as arrays, of batches sorted by the first column, cut only between its values. Binaries, of equal length, become rows of bytes."""
     held: list = []
     for b in batches:
         if not b.num_rows:
             continue
-        cols = [c.to_numpy(zero_copy_only=False) for c in b.columns]
+        cols = [np.frombuffer(b"".join(c.to_pylist()), np.uint8).reshape(len(c), -1) if pa.types.is_binary(c.type) else c.to_numpy(zero_copy_only=False) for c in b.columns]
         z = int(np.searchsorted(cols[0], cols[0][-1]))
         if z or (held and held[-1][0][-1] != cols[0][-1]):
             yield [np.concatenate(x) for x in zip(*held, [c[:z] for c in cols], strict=True)]
@@ -356,56 +365,60 @@ def _ends(*keys: np.ndarray) -> np.ndarray:
 
 
 def meetings(tokens: DataFrame) -> DataFrame:
-    """(token, doc, leader) of tokens that several rows have, leader being the token's least document. Rows pass in order, so a token
-    may have any number of them."""
-    schema = pa.schema([("token", pa.int64()), ("doc", pa.int64()), ("leader", pa.int64())])
+    """The rows (token, doc, band) whose token another row has. Rows pass in order, so a token may have any number of them."""
+    schema = pa.schema([("token", pa.int64()), ("doc", pa.int64()), ("band", pa.int32())])
 
     def run(batches):
-        last = None  # token and leader of the last row that went out or was dropped
-        t0, d0 = np.zeros(0, np.int64), np.zeros(0, np.int64)  # the row whose successor is not known yet
+        last = None  # token of the row before
+        held = None  # the row whose successor is not known yet
         for b in (*batches, None):
-            end = b is None
-            if end or b.num_rows:
-                t = np.concatenate([t0, *([] if end else [b.column(0).to_numpy()])])
-                d = np.concatenate([d0, *([] if end else [b.column(1).to_numpy()])])
+            if b is None or b.num_rows:
+                t, *rest = [np.concatenate([*([h] if h is not None else []), *([] if b is None else [b.column(i).to_numpy()])]) if h is not None or b is not None else np.zeros(0, np.int64) for i, h in enumerate(held or [None] * 3)]
                 if not len(t):
                     continue
-                n = len(t) if end else len(t) - 1
-                first = np.ones(len(t), bool)
-                first[1:] = t[1:] != t[:-1]
-                run_of = np.cumsum(first) - 1
-                leader = d[np.flatnonzero(first)][run_of]
-                again = ~first
-                if last and last[0] == t[0]:
-                    leader[run_of == 0], again[0] = last[1], True
-                again[:-1] |= ~first[1:]
+                n = len(t) if b is None else len(t) - 1
+                again = np.zeros(len(t), bool)
+                again[1:] = t[1:] == t[:-1]
+                again[0] = last is not None and t[0] == last
+                again[:-1] |= t[1:] == t[:-1]
                 out = np.flatnonzero(again[:n])
                 if len(out):
-                    yield batch_of(schema, t[out], d[out], leader[out])
-                if n:
-                    last = int(t[n - 1]), int(leader[n - 1])
-                t0, d0 = t[n:], d[n:]
+                    yield batch_of(schema, t[out], *[x[out] for x in rest])
+                last = int(t[n - 1]) if n else last
+                held = [x[n:] for x in (t, *rest)]
 
-    return tokens.select("token", "doc").repartition("token").sortWithinPartitions("token", "doc").mapInArrow(run, "token long, doc long, leader long")
+    return tokens.select("token", "doc", "band").repartition("token").sortWithinPartitions("token").mapInArrow(run, "token long, doc long, band int")
 
 
-def across(near: DataFrame) -> DataFrame:
-    """(doc, leader) of all pairs that share SHARED tokens of near (token, doc, root) and differ in root."""
+def across(near: DataFrame, similarity: float) -> DataFrame:
+    """(doc, leader) of all pairs that share a token of near (token, doc, band, root, looks), differ in root and look similar enough. A
+    pair is made in the first band that it shares only. Groups of more than PART are dealt in parts, and every two parts meet."""
     schema = pa.schema([("doc", pa.int64()), ("leader", pa.int64())])
+    mixed = near.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.ceil(F.count(F.lit(1)) / PART).alias("parts")).filter("lo <> hi").select("token", "parts")
+    own = F.pmod(F.xxhash64("doc"), F.col("parts"))
+    dealt = near.join(mixed, "token").withColumn("part", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
+    cell = F.xxhash64("token", F.least("part", "other"), F.greatest("part", "other"))
+    cells = dealt.select(cell.alias("cell"), "root", "doc", "band", "part", (F.col("part") == F.col("other")).alias("alone"), "looks")
 
     def run(batches):
-        for token, root, doc in _whole(batches):
-            ends, own = _ends(token), _ends(token, root)
-            n = ends - own  # partners of a row: the token's rows behind those of its root
+        for cell, root, doc, band, part, alone, looks in _whole(batches):
+            ends, same = _ends(cell), _ends(cell, root)
+            n = ends - same  # partners of a row: the cell's rows behind those of its root
             block = np.cumsum(n) // BLOCK
             for rows in np.split(np.arange(len(n)), np.flatnonzero(block[1:] != block[:-1]) + 1):
                 i = np.repeat(rows, n[rows])
-                j = np.repeat(own[rows] - np.cumsum(n[rows]) + n[rows], n[rows]) + np.arange(len(i))
-                if len(i):
-                    yield batch_of(schema, np.maximum(doc[i], doc[j]), np.minimum(doc[i], doc[j]))
+                j = np.repeat(same[rows] - np.cumsum(n[rows]) + n[rows], n[rows]) + np.arange(len(i))
+                fits = alone[i] | (part[i] != part[j])
+                i, j = i[fits], j[fits]
+                if not len(i):
+                    continue
+                alike = looks[i] == looks[j]
+                first = alike[:, : BANDS * ROWS].reshape(-1, BANDS, ROWS).all(2).argmax(1)
+                good = np.flatnonzero((first == band[i]) & (alike.mean(1) >= similarity - SLACK))
+                if len(good):
+                    yield batch_of(schema, np.maximum(doc[i[good]], doc[j[good]]), np.minimum(doc[i[good]], doc[j[good]]))
 
-    met = near.select("token", "root", "doc").repartition("token").sortWithinPartitions("token", "root").mapInArrow(run, "doc long, leader long")
-    return met.groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= SHARED).select("doc", "leader")
+    return cells.repartition("cell").sortWithinPartitions("cell", "root").mapInArrow(run, "doc long, leader long").distinct()
 
 
 def _asked(rows: DataFrame, ids: DataFrame) -> DataFrame:
@@ -415,9 +428,8 @@ def _asked(rows: DataFrame, ids: DataFrame) -> DataFrame:
     bits = min(MOST_BITS, 1 << max(16, (8 * n).bit_length()))
     places = [F.pmod(F.xxhash64("id", F.lit(k)), F.lit(bits)) for k in (1, 2)]
     word = ids.select(F.explode(F.array(*places)).alias("p")).groupBy(F.floor(F.col("p") / 32).cast("int").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p % 32 as int))")).alias("bits"))
-    held = np.zeros(bits // 32, np.uint32)
-    for part in word.toLocalIterator(prefetchPartitions=True):
-        held[part["word"]] = part["bits"]
+    held, found = np.zeros(bits // 32, np.uint32), word.toArrow()
+    held[found.column("word").to_numpy()] = found.column("bits").to_numpy()
     given = rows.sparkSession.sparkContext.broadcast(held)
     marked = rows.select("*", *[F.pmod(F.xxhash64("doc_id", F.lit(k)), F.lit(bits)).alias(f"p{k}") for k in (1, 2)])
 
@@ -465,30 +477,34 @@ def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -
 
 def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(a, b), a > b: documents whose sets of shingles have at least this Jaccard similarity, enough pairs for the components of all
-    such pairs. Candidates are exact only in that each is compared exactly; they come
+    such pairs. Every candidate is compared exactly; candidates come
 
     1. from SimHash: documents whose fingerprints (over distinct shingles) are linked by the BK-trees, with the least of their group;
-    2. from bands: each document with the least document of a band, of those the one that it shares most bands with;
-    3. from bands again: every two documents that share SHARED bands and are still in different components.
+    2. from bands: each document with the centre of a band's group (the document that shares most bands with others), of those the
+       one that it shares most bands with;
+    3. from bands again: every two documents of a group that are still in different components and look similar.
 
-    A pair at 0.8 is missed by 3 with a probability of 3e-5. Rows with null ids take no part; of rows that repeat an id, which is
-    one document here, any may be compared."""
+    A pair at 0.8 shares no band with a probability of 2e-6 and looks too different with one of 2e-3; more similar ones are safer.
+    Rows with null ids take no part; of rows that repeat an id, which is one document here, any may be compared."""
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).filter("doc_id IS NOT NULL")
     made = cut(signed_sets(rows, words))
     fps = cut(made.groupBy("fp").agg(F.min("doc").alias("low")))
     groups = components(links(fps, RADIUS))
     roots = fps.join(groups, fps["low"] == groups["node"], "left").select("fp", F.coalesce("root", "low").alias("leader"))
     by_fp = made.select("doc", "fp").join(roots, "fp").filter("doc <> leader").select("doc", "leader")
-    held = cut(meetings(made.select(F.explode("keys").alias("token"), "doc")))
-    shared = held.filter("doc <> leader").groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= SHARED)
-    by_band = shared.groupBy("doc").agg(F.max_by("leader", F.struct("n", -F.col("leader"))).alias("leader"))
+    held = cut(meetings(made.select("doc", F.posexplode("keys").alias("band", "token"))))
+    sizes = held.groupBy("token").agg(F.count(F.lit(1)).alias("n"))
+    weights = held.join(sizes, "token").groupBy("doc").agg(F.sum("n").alias("weight"))
+    centres = held.join(weights, "doc").groupBy("token").agg(F.max_by("doc", F.struct("weight", -F.col("doc"))).alias("leader"), F.max("weight").alias("weight"))
+    shared = held.join(centres, "token").filter("doc <> leader").groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n"), F.max("weight").alias("weight"))
+    by_band = shared.groupBy("doc").agg(F.max_by("leader", F.struct("n", "weight", -F.col("leader"))).alias("leader"))
     pairs = cut(by_fp.unionByName(by_band).distinct())
     first = cut(compared(rows, pairs, words, similarity))
     roots = components(first)
-    near = held.select("token", "doc").join(roots, F.col("doc") == roots["node"], "left").select("token", "doc", F.coalesce("root", "doc").alias("root"))
-    mixed = near.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("token")
-    near = near.join(mixed, "token", "left_semi")
-    rest = cut(across(near).join(pairs, ["doc", "leader"], "left_anti"))
+    looks = made.select("doc", "looks").dropDuplicates(["doc"])
+    near = held.join(roots, F.col("doc") == roots["node"], "left").select("token", "doc", "band", F.coalesce("root", "doc").alias("root"))
+    tried = pairs.select(F.greatest("doc", "leader").alias("doc"), F.least("doc", "leader").alias("leader"))
+    rest = cut(across(near.join(looks, "doc"), similarity).join(tried, ["doc", "leader"], "left_anti"))
     return first if rest.isEmpty() else first.unionByName(cut(compared(rows, rest, words, similarity)))
 
 
