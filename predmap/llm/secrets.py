@@ -8,8 +8,8 @@ no mandatory trigrams is verified on every text.
 DataFrame functions only. Postings are grouped by document, so no trigram, however frequent, is a hot key. Places are found
 from the lengths of what lies between matches, in code points.
 
-Defined results: null and empty texts have no spans; rows that repeat an id are scanned each (their postings are united, which
-can only add candidates, and candidates are verified); a null id joins null-safely; an empty table gives no rows; other columns
+Defined results: null and empty texts have no spans; rows that repeat an id or have a null one are scanned each (rows whose
+hashes collide share their postings, which can only add candidates, and candidates are verified); an empty table gives no rows; other columns
 are not read; matches of different kinds may overlap.
 """
 
@@ -28,7 +28,7 @@ from predmap.llm.common import table
 
 NAME = "op1_secret_scan"
 SQL = None  # tests compare with a direct scan
-MOST_STRINGS, WORD = 256, 62
+MOST_STRINGS, WORD, BLOCK = 256, 62, 128
 
 
 def either_case(word: str) -> str:
@@ -91,10 +91,14 @@ def trigram_query(pattern: str) -> list[frozenset[str]] | None:
     return sorted((c for c in clauses if not any(o < c for o in clauses)), key=sorted)
 
 
+def row_key(docs: DataFrame, id_col: str, text_col: str) -> Column:
+    """What stands for a row in the index: a hash of id and text, so that rows which share an id, or have none, are no hot key."""
+    return F.xxhash64(docs[id_col], docs[text_col])
+
+
 def postings(docs: DataFrame, trigrams: list[str], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The inverted index over the given trigrams: (doc, trigram number) for each document and trigram that it holds."""
-    low = F.lower(docs[text_col])
-    rows = docs.select(docs[id_col].alias("doc"), low.alias("low"))
+    """The inverted index over the given trigrams: (doc, trigram number) for each row and trigram that it holds."""
+    rows = docs.select(row_key(docs, id_col, text_col).alias("doc"), F.lower(docs[text_col]).alias("low"))
     return rows.select("doc", F.explode(F.array_compact(F.array(*[F.when(F.contains("low", F.lit(t)), F.lit(i)) for i, t in enumerate(trigrams)]))).alias("trigram"))
 
 
@@ -121,15 +125,36 @@ def spans_of(text: Column, rule: Rule, number: int) -> Column:
     pairs = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), F.regexp_extract_all(text, pattern, F.lit(0)).alias("hit"))
     none = F.array().cast("array<struct<start:int,number:int,end:int,kind:string>>")
 
+    size = F.lit(0)
+
+    def width(x: Column) -> Column:
+        return F.length(x["gap"]) + F.coalesce(F.length(x["hit"]), size)
+
     def step(acc: Column, x: Column) -> Column:
         start = acc["at"] + F.length(x["gap"])
-        end = start + F.coalesce(F.length(x["hit"]), F.lit(0))
+        end = start + F.coalesce(F.length(x["hit"]), size)
         good = x["hit"].isNotNull() if rule.group == 0 else F.length(F.regexp_extract(x["hit"], rule.pattern, rule.group)) >= rule.least
         one = F.array(F.struct(start.alias("start"), F.lit(number).alias("number"), end.alias("end"), F.lit(rule.kind).alias("kind")))
         return F.struct(end.alias("at"), F.when(good, F.concat(acc["out"], one)).otherwise(acc["out"]).alias("out"))
 
-    found = F.aggregate(pairs, F.struct(F.lit(0).alias("at"), none.alias("out")), step, lambda acc: acc["out"])
-    return F.when(text.rlike(_sized(rule)), found).otherwise(none)
+    # an array grows by copying, so a text's matches are placed block by block, each from where the blocks before it end
+    def placed(p: Column) -> Column:
+        blocks = F.transform(F.sequence(F.lit(0), F.floor((F.size(p) - 1) / BLOCK).cast("int")), lambda k: F.slice(p, k * BLOCK + 1, F.lit(BLOCK)))
+
+        def ends(acc: Column, b: Column) -> Column:
+            return F.concat(acc, F.array(F.element_at(acc, -1) + F.aggregate(b, F.lit(0), lambda n, x: n + width(x))))
+
+        def block(b: Column, at: Column) -> Column:
+            return F.aggregate(b, F.struct(at.alias("at"), none.alias("out")), step, lambda acc: acc["out"])
+
+        return once(blocks, lambda bs: once(F.aggregate(bs, F.array(F.lit(0)), ends), lambda at: F.flatten(F.transform(bs, lambda b, k: block(b, F.get(at, k))))))
+
+    return F.when(text.rlike(_sized(rule)), once(pairs, placed)).otherwise(none)
+
+
+def once(value: Column, use) -> Column:
+    """use(value), where value is worked out once however often use names it."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
 
 
 def _sized(rule: Rule) -> str:
@@ -143,8 +168,8 @@ def _sized(rule: Rule) -> str:
 def scan(docs: DataFrame, rules=RULES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Per row of docs: doc_id and found, an array of struct<start, number, end, kind> by start, then rule."""
     found = candidates(docs, rules, id_col, text_col)
-    rows = docs.select(docs[id_col].alias("doc_id"), F.coalesce(docs[text_col], F.lit("")).alias("text"))
-    rows = rows.join(found, rows["doc_id"].eqNullSafe(found["doc"]), "left").select("doc_id", "text", "rules")
+    rows = docs.select(docs[id_col].alias("doc_id"), F.coalesce(docs[text_col], F.lit("")).alias("text"), row_key(docs, id_col, text_col).alias("key"))
+    rows = rows.join(found, rows["key"] == found["doc"], "left").select("doc_id", "text", "rules")
     lists = []
     for k, rule in enumerate(rules):
         spans = spans_of(F.col("text"), rule, k)

@@ -54,6 +54,13 @@ def test_trigram_queries():
     assert frozenset({"api", "pik", "ike", "key"}) in secrets.trigram_query(secrets.RULES[0].pattern)
 
 
+def test_many_matches_in_one_text(spark):
+    """More than a block of matches, in rows that share an id or have none."""
+    text = " ".join(f"é{i} AKIA{i:016d} token={'x' * 12}{i}" for i in range(700))
+    got = [[tuple(x) for x in r["found"]] for r in secrets.scan(frame(spark, [(i, text, *[None] * 6) for i in (1, 1, None)])).collect()]
+    assert [[x for x in g if x[1] < 3] for g in got] == [base_secrets(text)] * 3
+
+
 def base_pii(text):
     out = [(m.start(), m.end(), "email") for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", text)]
     out += [(m.start(), m.end(), "ip") for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", text) if all(int(x) <= 255 for x in m[0].split("."))]
