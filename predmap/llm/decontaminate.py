@@ -1,9 +1,10 @@
 """Benchmark decontamination: one Aho-Corasick automaton over normalised benchmark texts, one pass over the documents.
 
-A text is normalised to its words (lower-case A-Z, digits and all non-ASCII characters) between single spaces. Every window of
-``size`` consecutive item words is a pattern; an item of fewer words is one pattern. The automaton goes to the workers as its
-patterns, whose total size is checked: beyond ``most_bytes`` the items are dealt into as many automata as needed, one pass each,
-so what is broadcast stays bounded however large the benchmark is. Documents are never shuffled.
+A text is normalised to its words (lower-case A-Z, digits and all non-ASCII characters), and words of items to numbers. Every window
+of ``size`` consecutive item words is a pattern; an item of fewer words is one pattern. A node of the automaton is a word, so a
+window costs at most ``size`` nodes. The items go to the workers, who build the automaton; their size is checked: beyond
+``most_bytes`` of text, some 80 MB of automaton, the items are dealt into as many automata as needed, one pass each, so what a
+worker holds stays bounded however large the benchmark is. Documents are never shuffled.
 
 Places are kept as word numbers and mapped back to the original text's characters in ``spans``.
 
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 from predmap.llm.common import batch_of, cut, small, table, texts
 
 NAME = "op2_decontamination"
-SIZE, MOST_BYTES = 10, 8 << 20
+SIZE, MOST_BYTES = 10, 1 << 20
 #: Byte -> byte: lower-case A-Z, other ASCII outside words to a space; bytes of non-ASCII characters stay.
 WORDS = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 IN_WORD = np.frombuffer(WORDS, np.uint8) != 32
@@ -33,11 +34,10 @@ def words(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "surrogatepass").translate(WORDS).split()
 
 
-def windows(text: str | None, size: int = SIZE) -> list[tuple[str, int]]:
-    """(pattern, its number of words) of an item."""
+def windows(text: str | None, size: int = SIZE) -> list[tuple[bytes, ...]]:
+    """The patterns of an item."""
     w = words(text)
-    spans = [w] if 0 < len(w) < size else [w[i : i + size] for i in range(len(w) - size + 1)]
-    return [((b" " + b" ".join(x) + b" ").decode("latin-1"), len(x)) for x in spans]
+    return [tuple(w)] if 0 < len(w) < size else [tuple(w[i : i + size]) for i in range(len(w) - size + 1)]
 
 
 class Scanner:
@@ -46,12 +46,13 @@ class Scanner:
     def __init__(self, items: list[tuple], size: int):
         import ahocorasick
 
-        found: dict[str, tuple[int, set]] = {}
+        found: dict[tuple[int, ...], set] = {}
+        self.number: dict[bytes, int] = {}  # of item words, from 1; other words are 0
         for item, text in items:
-            for pattern, n in windows(text, size):
-                found.setdefault(pattern, (n, set()))[1].add(item)
-        self.values = [(n, sorted(s, key=str)) for n, s in found.values()]
-        self.machine = ahocorasick.Automaton()
+            for window in windows(text, size):
+                found.setdefault(tuple(self.number.setdefault(w, len(self.number) + 1) for w in window), set()).add(item)
+        self.values = [(len(p), sorted(s, key=str)) for p, s in found.items()]
+        self.machine = ahocorasick.Automaton(ahocorasick.STORE_INTS, ahocorasick.KEY_SEQUENCE)
         for k, pattern in enumerate(found):
             self.machine.add_word(pattern, k)
         self.machine.make_automaton()
@@ -61,15 +62,11 @@ class Scanner:
         """Merged [first, last) word intervals inside occurrences, and the items that occur."""
         if self.empty or not w:
             return [], set()
-        line = b" " + b" ".join(w) + b" "
-        hits = list(self.machine.iter(line.decode("latin-1")))
-        if not hits:
-            return [], set()
-        gaps = np.flatnonzero(np.frombuffer(line, np.uint8) == 32)
-        last = np.searchsorted(gaps, [e for e, _ in hits])  # the space after the last word: its number is that of the words before it
+        get = self.number.get
+        hits = list(self.machine.iter(tuple([get(x, 0) for x in w])))
         out: list[list[int]] = []
         items: set = set()
-        for a, b, k in sorted((int(z) - self.values[k][0], int(z), k) for z, (_, k) in zip(last, hits, strict=True)):
+        for a, b, k in sorted((e + 1 - self.values[k][0], e + 1, k) for e, k in hits):
             items.update(self.values[k][1])
             if out and a <= out[-1][1]:
                 out[-1][1] = max(out[-1][1], b)
