@@ -15,6 +15,7 @@ rows; other columns are not read, and ``lang`` only by training.
 
 from __future__ import annotations
 
+import pickle
 from dataclasses import dataclass
 
 import numpy as np
@@ -175,7 +176,12 @@ def train(docs: DataFrame, sample_rows: int = SAMPLE_ROWS, id_col: str = "doc_id
     if n > 4 * sample_rows:  # twice what is wanted: fewer rows are sorted, and the least by hash stay the same
         rows = rows.filter(place < F.lit(int((1 << 30) * 2.0 * sample_rows / n)))
     rows = rows.select(docs[text_col].alias("t"), docs[lang_col].alias("y"), place.alias("p"), docs[id_col].alias("i")).orderBy("p", "i").limit(sample_rows)
-    return fit([(r["t"], r["y"]) for r in rows.collect()])
+
+    def run(batches):
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(fit([(t, y) for b in batches for t, y in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)]))])], names=["model"])
+
+    # the bounded sample is one partition: it is fitted where it is, and only the model comes to the driver
+    return pickle.loads(bytes(rows.select("t", "y").coalesce(1).mapInArrow(run, "model binary").head()["model"]))
 
 
 def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

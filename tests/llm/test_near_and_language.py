@@ -152,14 +152,21 @@ def test_language_edges(spark):
     assert langid.identify(empty(spark), langid.train(empty(spark))).count() == 0
 
 
+def test_digits_and_fractions_are_no_letters():
+    model = langid.fit([("der die das und nicht", "de"), ("the and of with not", "en")] * 20)
+    lang, score, rejected = model.predict(["½ ² ٣ 12 ①", "2½", None, "", "the ½"])
+    assert lang[:4] == ["und"] * 4 and score[:4].tolist() == [0] * 4 and all(rejected[:4])
+    assert lang[4] != "und"
+
+
 def test_language_trains_on_few_labels(spark, monkeypatch):
     """The share that is read follows from the rows that can be used, not from all rows."""
     rows = [(i, f"text {i}", "en" if i % 10 == 0 else None, *[None] * 5) for i in range(3000)]
     df, got = frame(spark, rows), []
-    monkeypatch.setattr(langid, "fit", lambda rows: got.append(len(rows)))
+    monkeypatch.setattr(langid, "fit", len)
     usable = sum(i % 10 == 0 and zlib.crc32(str(i).encode()) % 5 != 0 for i in range(3000))
     for most in (20, 100, 200, 500):
-        langid.train(df, sample_rows=most)
+        got.append(langid.train(df, sample_rows=most))
     assert got == [min(most, usable) for most in (20, 100, 200, 500)]
 
 
