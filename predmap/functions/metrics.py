@@ -84,10 +84,23 @@ def ece(predicted: DataFrame, bins: int = 50, mode: str = "width") -> DataFrame:
     return r.agg((F.sum(F.col("n") * F.abs(F.col("confidence") - F.col("accuracy"))) / F.sum("n")).alias("ece"))
 
 
-def stratified(df: DataFrame, value: str, key: str, test: float = 0.2, validation: float = 0.1) -> DataFrame:
-    """df with part: within each value, by md5 of the key, the first test share is test, the next validation share of the rest validation."""
-    rank = F.percent_rank().over(Window.partitionBy(value).orderBy(F.md5(F.col(key).cast("string"))))
-    return df.withColumn("part", F.when(rank < test, "test").when(rank < test + (1 - test) * validation, "validation").otherwise("train"))
+def stratified(df: DataFrame, value: str, key: str, test: float = 0.2, validation: float = 0.1, as_: str = "part") -> DataFrame:
+    """df with the column as_: within each value, by md5 of the (distinct) key, the first test share is test, the next validation share of the rest
+    validation. Ranks come from one range sort by value and md5, whose partitions split a frequent value, and the counts of values
+    per partition."""
+    from predmap.operators.maps import scratch_path
+
+    spark, names = df.sparkSession, df.columns
+    order = [F.col(value).asc_nulls_first(), F.md5(F.col(key).cast("string")).asc()]
+    path = scratch_path(spark)
+    df.select(*names).repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_row", F.monotonically_increasing_id()).write.parquet(path)
+    rows = spark.read.parquet(path).withColumn("_part", F.shiftright("_row", 33))
+    cells = rows.groupBy("_part", F.col(value).alias("_v")).agg(F.count(F.lit(1)).alias("_n"), F.min("_row").alias("_first"))
+    by = Window.partitionBy("_v")
+    cells = cells.select(F.col("_part").alias("_p"), "_v", "_first", F.sum("_n").over(by).alias("_all"), (F.sum("_n").over(by.orderBy("_part")) - F.col("_n")).alias("_before"))
+    rank = (F.col("_before") + F.col("_row") - F.col("_first")) / F.greatest(F.col("_all") - 1, F.lit(1))
+    part = F.when(rank < test, "test").when(rank < test + (1 - test) * validation, "validation").otherwise("train")
+    return rows.join(cells, (F.col("_part") == F.col("_p")) & F.col(value).eqNullSafe(F.col("_v"))).select(*names, part.alias(as_))
 
 
 def hashed_split(df: DataFrame, key: str, test: float = 0.2, validation: float = 0.1) -> DataFrame:

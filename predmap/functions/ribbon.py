@@ -15,6 +15,9 @@ from dataclasses import dataclass
 import numpy as np
 
 U = np.uint64
+#: Bits that an instance holds at least, by ribbon width: what it costs of its own stays small beside them, and as instances bump
+#: together, narrow ribbons, which bump more, have fewer of them.
+LEAST_BITS = {16: 20_000, 32: 20_000, 64: 8_000}
 #: The multipliers of the splitmix64 finaliser.
 MIX = (U(0xBF58476D1CE4E5B9), U(0x94D049BB133111EB))
 
@@ -38,7 +41,7 @@ def parity(x: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Layer:
-    seed: int
+    seed: int  # beside the store's
     slots: int  # per instance
     width: int
     bucket: int
@@ -46,15 +49,19 @@ class Layer:
     thresholds: np.ndarray  # per bucket: classes below it are bumped
     words: np.ndarray  # of all instances in turn
 
-    def rows(self, h: np.ndarray, instances: int):
-        """Start, coefficients, offset and class of keys."""
-        a, b = mix(h, self.seed), mix(h, self.seed + 1)
+    def rows(self, h: np.ndarray, instances: int, base: int = 0):
+        """Start, coefficients, offset and class of keys; base is the store's seed."""
+        a, b = mix(h, base + self.seed), mix(h, base + self.seed + 1)
         start = below(a, self.slots - self.width + 1)
         row = (b & U((1 << self.width) - 1)) | U(1)
         turn = (a & U(0xFFFF)).astype(np.int64) % instances
         level = ((a >> U(16)) & U(0xFF)).astype(np.int64) % max(1, self.levels)
         return start, row, turn, level
 
+    def instances_bytes(self, instances: int) -> int:
+        """Stored bytes of the solutions."""
+        return instances * (self.slots // 64 * 8 + -(-(self.slots % 64) // 8))
+
     def bumped(self, start, level):
         return level < self.thresholds[start // self.bucket] if self.levels else np.zeros(len(start), bool)
 
@@ -145,8 +152,8 @@ def solve(h: np.ndarray, care: np.ndarray, bits: np.ndarray, instances: int, cfg
         while True:
             slots = max(width + 1, int(each * cfg.last_slack) + width // 2 + tries * max(2, each // 50)) if last else max(width + 1, int(each * cfg.load))
             bucket = max(128, cfg.bucket // instances)
-            layer = Layer(seed + 2 * len(layers) + 1000 * tries, slots, width, bucket, 0 if last else cfg.threshold_levels, np.zeros(0 if last else slots // bucket + 1, np.uint8), None)
-            start, row, turn, level = layer.rows(h, instances)
+            layer = Layer(2 * len(layers) + 1000 * tries, slots, width, bucket, 0 if last else cfg.threshold_levels, np.zeros(0 if last else slots // bucket + 1, np.uint8), None)
+            start, row, turn, level = layer.rows(h, instances, seed)
             if packed:
                 turn[:] = 0
             order = np.lexsort((-level, start // bucket)) if not last else np.argsort(start, kind="stable")
@@ -156,7 +163,7 @@ def solve(h: np.ndarray, care: np.ndarray, bits: np.ndarray, instances: int, cfg
             tries += 1
         coef, rhs, out = done
         noise = int(mix(np.array([layer.seed], U), 77)[0])
-        per = -(-slots // 64) + 1
+        per = slots // 64 + 2
         words = np.zeros((per, instances), U)
         for t in range(instances):
             right = [b >> t & 1 for b in rhs[0]] if packed else rhs[t]
@@ -187,7 +194,7 @@ class BitStore:
             return cls(packed_bits, solve(h, np.full(len(h), mask), bits & mask, packed_bits, cfg, True, seed), True)
         total = int(np.bitwise_count(care).sum())
         longest = int(max(int(care.max(initial=0)).bit_length(), 1))
-        many = 1 if layout == "per_bit_key" else max(1, min(longest, total // 20_000))
+        many = 1 if layout == "per_bit_key" else max(1, min(longest, total // LEAST_BITS.get(cfg.ribbon_width, 20_000)))
         keys, cares, values = [], [], []
         mask = U((1 << many) - 1) if many < 64 else ~U(0)
         for lap in range(-(-longest // many)):
@@ -198,72 +205,116 @@ class BitStore:
             values.append(bits[some] >> U(lap * many) & mask)
         return cls(many, solve(np.concatenate(keys), np.concatenate(cares), np.concatenate(values), many, cfg, False, seed))
 
+    def reader(self, h: np.ndarray, cfg, seed: int | None = None) -> Reader:
+        return Reader(self, np.asarray(h, U), cfg.seed if seed is None else seed)
+
     def read(self, h: np.ndarray, position: np.ndarray, cfg, seed: int | None = None) -> np.ndarray:
         """One bit per key, at its position."""
-        seed = cfg.seed if seed is None else seed
-        h, position = np.asarray(h, U), np.asarray(position, np.int64)
-        out = np.zeros(len(h), np.uint8)
-        lap, i = np.divmod(position, self.instances)
-        keys = h
-        if not self.packed:
-            keys = np.empty(len(h), U)
-            for k in np.unique(lap).tolist():
-                at = lap == k
-                keys[at] = mix(h[at], seed + 900 + k)
-        rest = np.arange(len(h))
-        for layer in self.layers:
-            if not len(rest):
-                break
-            start, row, turn, level = layer.rows(keys[rest], self.instances)
-            inst = (i[rest] if self.packed else (turn + i[rest]) % self.instances)
-            gone = layer.bumped(start, level)
-            stay = ~gone
-            s = start[stay]
-            word, shift = (s >> 6) * self.instances + inst[stay], (s & 63).astype(U)
-            low = layer.words[word] >> shift
-            high = np.where(shift > 0, layer.words[word + self.instances] << ((U(64) - shift) & U(63)), U(0))
-            out[rest[stay]] = parity((low | high) & row[stay])
-            rest = rest[gone]
-        return out ^ (mix(h, seed + 501) >> (position % 64).astype(U) & U(1)).astype(np.uint8)
+        return self.reader(h, cfg, seed).read(np.arange(len(h)), np.asarray(position, np.int64))
 
     def read_all(self, h: np.ndarray, length: int, cfg, seed: int | None = None) -> np.ndarray:
         """The first length bits of each key as an integer."""
-        out = np.zeros(len(h), U)
+        at, out, rows = self.reader(h, cfg, seed), np.zeros(len(h), U), np.arange(len(h))
         for i in range(length):
-            out |= self.read(h, np.full(len(h), i), cfg, seed).astype(U) << U(i)
+            out |= at.read(rows, np.full(len(h), i)).astype(U) << U(i)
         return out
 
     def ones(self, h: np.ndarray, position: np.ndarray, r: np.ndarray, cfg, seed: int | None = None) -> np.ndarray:
         """Whether the r bits from position are all set."""
-        ok = np.ones(len(h), bool)
-        for k in range(int(r.max(initial=0))):
-            at = np.flatnonzero(ok & (r > k))
-            ok[at] = self.read(h[at], position[at] + k, cfg, seed) == 1
-        return ok
+        return self.reader(h, cfg, seed).ones(np.arange(len(h)), position, r)
 
     def size_bits(self) -> dict:
-        """Solution bits, threshold bits and header bits."""
-        level_bits = sum(len(x.thresholds) * max(1, (x.levels).bit_length()) for x in self.layers)
-        return {"words": sum(x.slots * self.instances for x in self.layers), "bumps": level_bits, "header": 96 * len(self.layers) + 16}
+        """Stored bits: of solutions, thresholds and headers."""
+        words = sum(8 * x.instances_bytes(self.instances) for x in self.layers)
+        bumps = sum(8 * -(-len(x.thresholds) * x.levels.bit_length() // 8) for x in self.layers)
+        return {"words": words, "bumps": bumps, "header": 8 * (HEAD.size + LAYER.size * len(self.layers))}
 
     def to_bytes(self) -> bytes:
-        out = [struct.pack("<HHH", self.instances, len(self.layers), self.packed)]
+        out = [HEAD.pack(self.instances, len(self.layers), self.packed)]
         for x in self.layers:
-            out += [struct.pack("<qqHHHqq", x.seed, x.slots, x.width, x.bucket, x.levels, len(x.thresholds), len(x.words)), x.thresholds.tobytes(), x.words.astype("<u8").tobytes()]
+            bits = (x.thresholds[:, None] >> np.arange(x.levels.bit_length(), dtype=np.uint8) & 1).ravel()
+            out += [LAYER.pack(x.seed // 1000, x.slots, x.width, x.bucket, x.levels), np.packbits(bits, bitorder="little").tobytes()]
+            whole, rest = divmod(x.slots, 64)
+            words = x.words.reshape(-1, self.instances).astype("<u8")
+            out += [words[:whole].tobytes(), np.ascontiguousarray(words[whole : whole + 1].view(np.uint8).reshape(-1, 8)[:, : -(-rest // 8)]).tobytes()]
         return b"".join(out)
 
     @classmethod
     def from_bytes(cls, data: bytes) -> BitStore:
-        instances, n, packed = struct.unpack_from("<HHH", data)
-        at, layers = 6, []
+        instances, n, packed = HEAD.unpack_from(data)
+        at, layers = HEAD.size, []
         for _ in range(n):
-            seed, slots, width, bucket, levels, t, w = struct.unpack_from("<qqHHHqq", data, at)
-            at += struct.calcsize("<qqHHHqq")
-            layers.append(Layer(seed, slots, width, bucket, levels, np.frombuffer(data, np.uint8, t, at), np.frombuffer(data, "<u8", w, at + t).astype(U)))
-            at += t + 8 * w
+            tries, slots, width, bucket, levels = LAYER.unpack_from(data, at)
+            at += LAYER.size
+            t, each = (slots // bucket + 1 if levels else 0), levels.bit_length()
+            size = -(-t * each // 8)
+            bits = np.unpackbits(np.frombuffer(data, np.uint8, size, at), count=t * each, bitorder="little").reshape(t, each)
+            thresholds = (bits << np.arange(each, dtype=np.uint8)).sum(1, dtype=np.uint8)
+            at += size
+            whole, rest = divmod(slots, 64)
+            words = np.zeros((whole + 2, instances), "<u8")
+            words[:whole] = np.frombuffer(data, "<u8", whole * instances, at).reshape(-1, instances)
+            at += 8 * whole * instances
+            tail = -(-rest // 8)
+            words[whole].view(np.uint8).reshape(instances, 8)[:, :tail] = np.frombuffer(data, np.uint8, tail * instances, at).reshape(instances, tail)
+            at += tail * instances
+            layers.append(Layer(2 * len(layers) + 1000 * tries, slots, width, bucket, levels, thresholds, words.astype(U).ravel()))
         return cls(instances, layers, bool(packed))
 
 
+#: Stored headers: of a store (instances, layers, packed) and of a layer (tries, slots, width, bucket, levels).
+HEAD, LAYER = struct.Struct("<BBB"), struct.Struct("<BIBHB")
+
+
+class Reader:
+    """Keys of one batch in a store: each is hashed once, and its layer, window and row are kept for all its bits."""
+
+    def __init__(self, store: BitStore, h: np.ndarray, seed: int):
+        self.store, self.h, self.seed = store, h, seed
+        self.mask = mix(h, seed + 501)
+        self.words = np.concatenate([x.words for x in store.layers]) if store.layers else np.zeros(2 * store.instances, U)
+        self.laps: dict[int, tuple] = {}
+
+    def _lap(self, k: int) -> tuple:
+        """(first word, shift, row, turn) of every key in lap k; a row of 0 where nothing is stored."""
+        if k not in self.laps:
+            store, n = self.store, len(self.h)
+            keys = self.h if store.packed else mix(self.h, self.seed + 900 + k)
+            word, shift, row, turn = np.zeros(n, np.int64), np.zeros(n, U), np.zeros(n, U), np.zeros(n, np.int64)
+            rest, base = np.arange(n), 0
+            for layer in store.layers:
+                s, c, t, level = layer.rows(keys[rest], store.instances, self.seed)
+                gone = layer.bumped(s, level)
+                at, s = rest[~gone], s[~gone]
+                word[at], shift[at], row[at], turn[at] = base + (s >> 6) * store.instances, (s & 63).astype(U), c[~gone], 0 if store.packed else t[~gone]
+                rest, base = rest[gone], base + len(layer.words)
+                if not len(rest):
+                    break
+            self.laps[k] = word, shift, row, turn
+        return self.laps[k]
+
+    def read(self, rows: np.ndarray, position: np.ndarray) -> np.ndarray:
+        """One bit for each of rows, at its position."""
+        lap, i = np.divmod(position, self.store.instances)
+        out = np.zeros(len(rows), np.uint8)
+        for k in np.unique(lap).tolist():
+            at = np.flatnonzero(lap == k)
+            word, shift, row, turn = (x[rows[at]] for x in self._lap(k))
+            word = word + (turn + i[at]) % self.store.instances
+            low = self.words[word] >> shift
+            high = np.where(shift > 0, self.words[word + self.store.instances] << ((U(64) - shift) & U(63)), U(0))
+            out[at] = parity((low | high) & row)
+        return out ^ (self.mask[rows] >> (position % 64).astype(U) & U(1)).astype(np.uint8)
+
+    def ones(self, rows: np.ndarray, position: np.ndarray, r: np.ndarray) -> np.ndarray:
+        """Whether the r bits from position are all set."""
+        ok = np.ones(len(rows), bool)
+        for k in range(int(r.max(initial=0))):
+            at = np.flatnonzero(ok & (r > k))
+            ok[at] = self.read(rows[at], position[at] + k) == 1
+        return ok
+
+
 def solve_dense(rows: np.ndarray, rhs: np.ndarray) -> np.ndarray | None:
     """A solution of a dense 0/1 system over GF(2), or None. For small systems: tests and the share of solvable square ones."""
     a = np.concatenate([rows % 2, (rhs % 2)[:, None]], 1).astype(bool)

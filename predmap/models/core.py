@@ -7,9 +7,11 @@ order of additions could depend on the shape of a batch, is used for anything th
 
 from __future__ import annotations
 
+import base64
+import json
 import math
 from collections.abc import Callable
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, fields
 
 import numpy as np
 
@@ -53,8 +55,12 @@ class Model:
     def set_tensors(self, tensors: list[np.ndarray]) -> None:
         pass
 
+    def extras(self) -> int:
+        """Bits that scoring needs besides the tensors."""
+        return 0
+
     def size_bits(self) -> int:
-        return 0 if self.shared else sum(8 * t.dtype.itemsize * t.size for t in self.tensors())
+        return 0 if self.shared else sum(8 * t.dtype.itemsize * t.size for t in self.tensors()) + self.extras()
 
     def params(self) -> int:
         return sum(t.size for t in self.tensors())
@@ -111,6 +117,9 @@ class BucketTable(Model):
     def tensors(self):
         return [np.concatenate([*self.table.values(), np.array(list(self.table), np.int16).ravel()])] if self.table else []
 
+    def extras(self):
+        return 32 * len(self.base) if self.base is not None else 0
+
 
 @dataclass
 class GaussianNB(Model):
@@ -133,12 +142,12 @@ class GaussianNB(Model):
         """From per-value counts, means and variances, as one aggregation gives them."""
         cast = np.dtype(self.dtype)
         self.mean, self.var = np.asarray(mean).astype(cast), np.maximum(np.asarray(var), 6e-5 if self.dtype == "float16" else 1e-12).astype(cast)
-        self.prior = np.asarray(n, np.float64) / np.sum(n)
+        self.prior = (np.asarray(n, np.float64) / np.sum(n)).astype(np.float32)
         return self
 
     def scores(self, x):
         mean, var = self.mean.astype(np.float64), self.var.astype(np.float64)
-        out = np.broadcast_to(np.log2(self.prior), (len(x), len(self.prior))).copy()
+        out = np.broadcast_to(np.log2(self.prior.astype(np.float64)), (len(x), len(self.prior))).copy()
         for j in range(x.shape[1]):
             d = x[:, j : j + 1] - mean[:, j]
             out -= (d * d / (2 * var[:, j])) * math.log2(math.e) + 0.5 * np.log2(2 * math.pi * var[:, j])
@@ -147,6 +156,9 @@ class GaussianNB(Model):
     def tensors(self):
         return [self.mean, self.var]
 
+    def extras(self):
+        return 32 * len(self.prior)
+
 
 @dataclass
 class Trained(Model):
@@ -184,7 +196,8 @@ class Trained(Model):
         rng = np.random.default_rng(self.seed)
         mean, std = x.mean(0), x.std(0)
         std[std == 0] = 1
-        self.scale = np.stack([mean, std])
+        self.scale = np.stack([mean, std]).astype(np.float32)
+        mean, std = self.scale.astype(np.float64)
         x = (x - mean) / std
         order = rng.permutation(len(x))
         cut = max(1, len(x) // 10)
@@ -221,11 +234,20 @@ class Trained(Model):
                 best, kept = now, [[t.copy() for t in layer] for layer in self.layers]
             if stale >= self.patience:
                 break
-        self.layers = [[quantise(t, self.dtype) for t in layer] for layer in kept or self.layers]
+        self.layers = [[quantise(t, self.dtype) for t in layer] for layer in self.final(kept or self.layers)]
         return self
 
+    def final(self, layers: list) -> list:
+        """What of the trained layers is kept."""
+        return layers
+
+    def extras(self):
+        steps = sum(isinstance(t, tuple) for layer in self.layers for t in layer)
+        return 32 * (self.scale.size + steps)
+
     def scores(self, x):
-        z = (np.asarray(x, np.float64) - self.scale[0]) / self.scale[1]
+        scale = self.scale.astype(np.float64)
+        z = (np.asarray(x, np.float64) - scale[0]) / scale[1]
         for k, (w, b) in enumerate(self.layers):
             z = affine(z, restore(w), restore(b))
             if k + 1 < len(self.layers):
@@ -257,10 +279,29 @@ class Logistic(Trained):
     def shapes(self, features, classes):
         return [features, classes]
 
-    def tensors(self):
-        w, b = self.layers[0]
-        both = [t if isinstance(t, np.ndarray) else t[0] for t in (w, b)]
-        return [both[0][:, 1:], both[1][1:]] if both[1].size == 2 else both
+    def final(self, layers):
+        (w, b), = layers
+        return [[w[:, 1:] - w[:, :1], b[1:] - b[:1]]] if b.size == 2 else layers
+
+    def scores(self, x):
+        z = super().scores(x)
+        return np.concatenate([np.zeros((len(z), 1)), z], 1) if z.shape[1] == 1 else z
+
+
+@dataclass
+class Believed(Model):
+    """Two values, or one: share, or feature 0, is the believed share of the true one; order tells which value is true."""
+
+    order: list = field(default_factory=list)
+    share: float | None = None
+    kind = "believed"
+
+    def fit(self, x, y, classes):
+        return self
+
+    def scores(self, x):
+        q = np.clip(x[:, 0] if self.share is None else np.full(len(x), self.share), 1e-6, 1 - 1e-6)
+        return np.log2(np.stack([q if v else 1 - q for v in self.order], 1))
 
 
 @dataclass
@@ -303,3 +344,44 @@ class Point(Model):
 
     def size_bits(self):
         return 32 * (1 + len(self.freq))
+
+
+def _plain(x):
+    """A field as JSON: arrays by type, shape and bytes."""
+    if isinstance(x, np.ndarray):
+        return {"dtype": x.dtype.str, "shape": x.shape, "data": base64.b64encode(np.ascontiguousarray(x).tobytes()).decode()}
+    if isinstance(x, tuple):
+        return {"tuple": [_plain(v) for v in x]}
+    if isinstance(x, dict):
+        return {"dict": [[_plain(k), _plain(v)] for k, v in x.items()]}
+    return [_plain(v) for v in x] if isinstance(x, list) else x
+
+
+def _back(x):
+    if isinstance(x, list):
+        return [_back(v) for v in x]
+    if not isinstance(x, dict):
+        return x
+    if "dtype" in x:
+        return np.frombuffer(base64.b64decode(x["data"]), x["dtype"]).reshape(x["shape"])
+    return tuple(_back(v) for v in x["tuple"]) if "tuple" in x else {_back(k): _back(v) for k, v in x["dict"]}
+
+
+def _kinds(base=Model) -> dict:
+    return {k: v for c in base.__subclasses__() for k, v in ({c.kind: c} | _kinds(c)).items()}
+
+
+def to_json(model: Model) -> str | None:
+    """A model as text; None for a user's function, which is code."""
+    if isinstance(model, Custom):
+        return None
+    return json.dumps({"kind": model.kind, "shared": model.shared, "fields": {f.name: _plain(getattr(model, f.name)) for f in fields(model)}})
+
+
+def from_json(text: str) -> Model:
+    from predmap.models import mlp  # noqa: F401  its kind must be known
+
+    held = json.loads(text)
+    out = _kinds()[held["kind"]](**{k: _back(v) for k, v in held["fields"].items()})
+    out.shared = held["shared"]
+    return out

@@ -8,12 +8,10 @@ nothing is shuffled; otherwise queries are grouped with the structure by shard.
 from __future__ import annotations
 
 import json
-import pickle
 from collections.abc import Sequence
 from dataclasses import dataclass, replace
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -23,7 +21,7 @@ from predmap.config import MapConfig
 from predmap.functions import codes
 from predmap.functions.hashing import key_hashes, shard_of
 from predmap.functions.ribbon import BitStore
-from predmap.models.core import Constant, Custom, GaussianNB, Model, predict_weights
+from predmap.models.core import Believed, Constant, Custom, GaussianNB, Model, from_json, predict_weights, to_json
 from predmap.operators import shards as sh
 
 MOST_VALUES = 4096
@@ -76,14 +74,15 @@ def fit_model(rows: DataFrame, model: Model, values: list[tuple], fit_rows: int
     if isinstance(model, Constant):
         model.counts = np.array([n for _, n in values], np.int64)
         return model
-    if isinstance(model, Custom):
+    if isinstance(model, (Believed, Custom)):
         return model
     if isinstance(model, GaussianNB):
         width = len(rows.select("_x").head()["_x"])
         aggs = [F.count(F.lit(1)).alias("n")] + [a for j in range(width) for a in (F.avg(F.col("_x")[j]).alias(f"m{j}"), F.var_pop(F.col("_x")[j]).alias(f"v{j}"))]
         got = {r["_vid"]: r for r in rows.groupBy("_vid").agg(*aggs).collect()}
-        k = range(len(values))
-        return model.from_moments([got[i]["n"] for i in k], [[got[i][f"m{j}"] for j in range(width)] for i in k], [[got[i][f"v{j}"] for j in range(width)] for i in k])
+        some = next(iter(got.values()))  # a value that no training row has gets another one's place, as a rare one
+        k = [got.get(i) or {**some.asDict(), "n": 1} for i in range(len(values))]
+        return model.from_moments([r["n"] for r in k], [[r[f"m{j}"] for j in range(width)] for r in k], [[r[f"v{j}"] for j in range(width)] for r in k])
     n = sum(c for _, c in values)
     sample = rows.select("_vid", "_x", "_h1")
     if n > fit_rows:
@@ -110,44 +109,55 @@ class StaticMap:
     extra: dict
 
     # -- storing
-    def manifest(self) -> bytes:
-        held = {k: v for k, v in self.__dict__.items() if k not in ("value_type", "features")}
-        return pickle.dumps({**held, "value_type": self.value_type.json(), "features": None if isinstance(self.features, Column) else self.features})
-
     def save(self, spark: SparkSession, path: str) -> StaticMap:
-        """Copies the structure to path, beside a manifest: everything a later session needs (a feature expression must be given again)."""
+        """Copies the structure to path, beside the values as a table and the rest as JSON: everything a later session needs. What is
+        code (a feature expression, a user's model) must be given again."""
         spark.read.schema(STRUCTURE).parquet(self.path).write.mode("overwrite").parquet(f"{path}/shards")
-        out = replace(self, path=f"{path}/shards")
-        info = json.dumps({"kind": self.kind, "keys": self.keys, "n": self.n, "shards": self.shards, "values": len(self.values), **self.cfg.as_dict()})
-        spark.createDataFrame([(info, bytearray(out.manifest()))], "info string, manifest binary").coalesce(1).write.mode("overwrite").parquet(f"{path}/manifest")
-        return out
+        kind = self.value_type or T.StringType()
+        schema = T.StructType([T.StructField("vid", T.IntegerType()), T.StructField("value", kind), T.StructField("n", T.LongType())])
+        spark.createDataFrame([(i, v, n) for i, (v, n) in enumerate(self.values)], schema).coalesce(1).write.mode("overwrite").parquet(f"{path}/dictionary")
+        extra = {k: v.tolist() if isinstance(v, np.ndarray) else v for k, v in self.extra.items()}
+        info = {
+            "kind": self.kind, "keys": self.keys, "features": None if isinstance(self.features, Column) else self.features, "n": self.n, "shards": self.shards, "extra": extra,
+            "value_type": self.value_type.json() if self.value_type else None, "model": to_json(self.model) if self.model else None, "config": self.cfg.as_dict(),
+        }
+        spark.createDataFrame([(json.dumps(info),)], "info string").coalesce(1).write.mode("overwrite").parquet(f"{path}/manifest")
+        return replace(self, path=f"{path}/shards")
 
     @staticmethod
-    def load(spark: SparkSession, path: str, features=None) -> StaticMap:
-        held = pickle.loads(bytes(spark.read.parquet(f"{path}/manifest").head()["manifest"]))
-        held["value_type"] = T._parse_datatype_json_string(held["value_type"])
-        held["features"] = features if features is not None else held["features"]
-        return StaticMap(**held)
+    def load(spark: SparkSession, path: str, features=None, model: Model | None = None) -> StaticMap:
+        info = json.loads(spark.read.parquet(f"{path}/manifest").head()["info"])
+        kind = T._parse_datatype_json_string(info["value_type"]) if info["value_type"] else None
+        values = [(r["value"], r["n"]) for r in spark.read.parquet(f"{path}/dictionary").orderBy("vid").collect()]
+        extra = {k: np.array(v, np.int64) if isinstance(v, list) else v for k, v in info["extra"].items()}
+        model = model or (from_json(info["model"]) if info["model"] else None)
+        return StaticMap(info["kind"], MapConfig(**info["config"]), info["keys"], features if features is not None else info["features"], values, kind, model, info["n"], info["shards"], f"{path}/shards", extra)
 
     def structure(self, spark: SparkSession) -> DataFrame:
         return spark.read.schema(STRUCTURE).parquet(self.path)
 
     # -- queries
+    @property
+    def wide(self) -> bool:
+        """Whether a value is several words of bits."""
+        return isinstance(self.value_type, T.ArrayType) and self.kind == "bits"
+
     def _decoder(self):
         """batch, parts of shards -> value numbers (or bit windows)."""
         kind, cfg, model, extra, v = self.kind, self.cfg, self.model, self.extra, len(self.values)
+        wide, words = self.wide, max(1, -(-self.extra.get("longest", 1) // 64))
         opened: dict = {}
 
         def open_parts(key, blob: bytes) -> dict:
             if key not in opened:
-                raw = pickle.loads(blob)
+                raw = sh.unpack_parts(bytes(blob))
                 make = {"filter": BitStore.from_bytes, "correct": BitStore.from_bytes, "fixed": BitStore.from_bytes, "sparse": sh.SparseStore.from_bytes, "bits": sh.load_bits}
                 opened[key] = {k: make.get(k, bytes)(x) for k, x in raw.items()}
             return opened[key]
 
         def decode(h1, h2, x, key, blob) -> np.ndarray:
             if blob is None:
-                return np.zeros(len(h1), np.int64)
+                return np.zeros((len(h1), words) if wide else len(h1), np.int64)
             parts = open_parts(key, blob)
             if kind == "guided":
                 out = sh.read_guided(parts, h1, h2, predict_weights(model, x, cfg.prob_bits), cfg)
@@ -157,7 +167,8 @@ class StaticMap:
                 return parts["fixed"].read_all(h1.view(np.uint64), extra["bits"], cfg).astype(np.int64) % max(1, v)
             if kind == "sparse":
                 return sh.read_sparse(parts["sparse"], h1, extra["lengths"], extra["words"])
-            return sh.read_bits(parts["bits"], h1, extra["longest"], cfg).view(np.int64)
+            window = sh.read_bits(parts["bits"], h1, extra["longest"], cfg).view(np.int64)
+            return window if wide else window[:, 0]
 
         return decode
 
@@ -165,6 +176,8 @@ class StaticMap:
         """df with the looked-up value as column as_. where (on df's own columns) is applied before the lookup, which Catalyst could not
         do by itself. Keys that were not built in get arbitrary values. route: broadcast, shuffle or auto (by the structure's size)."""
         spark = df.sparkSession
+        if as_.lower() in (c.lower() for c in df.columns):
+            raise ValueError(f"there is a column {as_} already")
         df = df.filter(where) if where is not None else df
         h1, h2 = key_hashes(df, self.keys, self.cfg.seed)
         x = feature_column(self.features)
@@ -175,7 +188,12 @@ class StaticMap:
             size = structure.agg(F.sum(F.length("parts"))).head()[0] or 0
             route = "broadcast" if size <= self.cfg.broadcast_bytes else "shuffle"
         decode = self._decoder()
-        out_type = T.StructType([rows.schema["_row"], T.StructField("_vid", T.LongType())])
+        wide, words = self.wide, max(1, -(-self.extra.get("longest", 1) // 64))
+        out_type = T.StructType([rows.schema["_row"], T.StructField("_vid", T.ArrayType(T.LongType()) if wide else T.LongType())])
+
+        def column(found: np.ndarray) -> pa.Array:
+            return pa.ListArray.from_arrays(pa.array(np.arange(len(found) + 1, dtype=np.int32) * words), pa.array(found.ravel())) if wide else pa.array(found)
+
         if route == "broadcast":
             given = spark.sparkContext.broadcast({r["shard"]: bytes(r["parts"]) for r in structure.select("shard", "parts").collect()})
 
@@ -183,22 +201,22 @@ class StaticMap:
                 for b in batches:
                     h1, h2 = (b.column(k).to_numpy(zero_copy_only=False).copy() for k in (1, 2))
                     x, shard = matrix(b.column(3)), b.column(4).to_numpy(zero_copy_only=False)
-                    out = np.zeros(b.num_rows, np.int64)
+                    out = np.zeros((b.num_rows, words) if wide else b.num_rows, np.int64)
                     for s in np.unique(shard).tolist():
                         at = np.flatnonzero(shard == s)
                         out[at] = decode(h1[at], h2[at], x[at], s, given.value.get(s))
-                    yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out)], names=["_row", "_vid"])
+                    yield pa.RecordBatch.from_arrays([b.column(0), column(out)], names=["_row", "_vid"])
 
             found = rows.mapInArrow(run, out_type)
         else:
 
             def join(key, q, s):
                 if not q.num_rows:
-                    return pa.Table.from_arrays([q.column("_row"), pa.array([], pa.int64())], names=["_row", "_vid"])
+                    return pa.Table.from_arrays([q.column("_row"), column(np.zeros((0, words) if wide else 0, np.int64))], names=["_row", "_vid"])
                 h1, h2 = (q.column(k).combine_chunks().to_numpy(zero_copy_only=False).copy() for k in ("_h1", "_h2"))
                 blob = s.column("parts")[0].as_py() if s.num_rows else None
                 out = decode(h1, h2, matrix(q.column("_x")), key[0].as_py(), blob)
-                return pa.Table.from_arrays([q.column("_row"), pa.array(out)], names=["_row", "_vid"])
+                return pa.Table.from_arrays([q.column("_row"), column(out)], names=["_row", "_vid"])
 
             found = rows.groupBy("_shard").cogroup(structure.select(F.col("shard").alias("_shard"), "parts").groupBy("_shard")).applyInArrow(join, out_type)
         if self.kind == "bits":
@@ -211,12 +229,14 @@ class StaticMap:
         return self.model.size_bits() if self.model else 0
 
     def space(self, spark: SparkSession) -> dict:
-        """Bits by part, demand and bits per key, the model and dictionary included."""
-        r = self.structure(spark).agg(*[F.sum(s).alias(s) for s in STATS]).head()
+        """Stored bits by part, demand, and bits per key of all that is stored: structure, model and dictionary."""
+        r = self.structure(spark).agg(*[F.sum(s).alias(s) for s in STATS], F.sum(F.length("parts")).alias("bytes")).head()
         out = {s: int(r[s] or 0) for s in STATS}
+        out["structure"] = 8 * int(r["bytes"] or 0)
+        out["header"] = out["structure"] - out["words"] - out["bumps"]
         out["model"] = self.model_bits()
-        out["dictionary"] = 32 * len(self.values) if not isinstance(self.model, Constant) else 0
-        out["bits"] = out["words"] + out["bumps"] + out["header"] + out["model"] + 192 * out["odd"]
+        out["dictionary"] = sum(8 * len(str(v).encode()) + 8 for v, _ in self.values)
+        out["bits"] = out["structure"] + out["model"] + out["dictionary"]
         out["bits_per_key"] = out["bits"] / max(1, self.n)
         return out
 
@@ -228,6 +248,8 @@ def scratch_path(spark: SparkSession) -> str:
 
     base = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         base = tempfile.mkdtemp(prefix="predmap-")
         spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/map-{uuid.uuid4().hex}"
@@ -245,7 +267,7 @@ def _solved(rows: DataFrame, solver, path: str | None) -> str:
             both = [np.concatenate([o, x[clash]]) for o, x in zip(old, (h1, h2, vid), strict=True)]
             parts["exceptions"] = sh.pack_exceptions(*both)
             stats["odd"] += len(clash)
-        row = [key[0].as_py(), len(use) + len(clash), pickle.dumps(parts), *[stats[s] for s in STATS]]
+        row = [key[0].as_py(), len(use) + len(clash), sh.pack_parts(parts), *[stats[s] for s in STATS]]
         return pa.Table.from_arrays([pa.array([x], f.type) for x, f in zip(row, STRUCTURE_ARROW, strict=True)], schema=STRUCTURE_ARROW)
 
     path = path or scratch_path(rows.sparkSession)
@@ -321,33 +343,32 @@ def build_sparse(df: DataFrame, key, value: str, cfg: MapConfig | None = None, p
 
 
 def build_bits(df: DataFrame, key, bits: str, length: str, cfg: MapConfig | None = None, path: str | None = None) -> StaticMap:
-    """Bit-string map: the low ``length`` bits of the long ``bits``, first bit lowest. Queries give a window of the longest length;
-    the caller knows where its string ends, as prefix codes do."""
+    """Bit-string map: the low ``length`` bits of ``bits``, first bit lowest, a long or, for strings of any length, an array of longs
+    with the first 64 bits first. Queries give a window of the longest length, of the same type; the caller knows where its string
+    ends, as prefix codes do."""
     cfg, keys = cfg or MapConfig(), as_list(key)
     n, longest = df.agg(F.count(F.lit(1)), F.coalesce(F.max(length), F.lit(0))).head()
+    wide = isinstance(df.schema[bits].dataType, T.ArrayType)
+    if longest > 64 and not wide:
+        raise ValueError("strings over 64 bits are arrays of longs")
+    words = max(1, -(-longest // 64))
     rows, count = _keyed(df, keys, cfg, n)
-    rows = rows.select("_shard", "_h1", "_h2", F.col(bits).cast("long").alias("_vid"), F.col(length).cast("long").alias("_len"))
+    held = F.transform(F.sequence(F.lit(0), F.lit(words - 1)), lambda k: F.coalesce(F.get(F.col(bits), k), F.lit(0)).cast("long")) if wide else F.array(F.col(bits).cast("long"))
+    rows = rows.select("_shard", "_h1", "_h2", F.xxhash64(held, F.col(length)).alias("_vid"), held.alias("_bits"), F.col(length).cast("long").alias("_len"))
 
     def solver(h1, h2, vid, use, part):
         size = part.column("_len").combine_chunks().to_numpy(zero_copy_only=False)
-        return _with_exceptions(sh.solve_bits(h1[use], vid[use], size[use], cfg))
+        return _with_exceptions(sh.solve_bits(h1[use], matrix(part.column("_bits")).reshape(-1, words)[use], size[use], cfg))
 
-    return StaticMap("bits", cfg, keys, None, [], T.LongType(), None, n, count, _solved(rows, solver, path), {"longest": int(longest)})
+    return StaticMap("bits", cfg, keys, None, [], T.ArrayType(T.LongType()) if wide else T.LongType(), None, n, count, _solved(rows, solver, path), {"longest": int(longest)})
 
 
 def build_membership(df: DataFrame, key, member: str, share, cfg: MapConfig | None = None, path: str | None = None) -> StaticMap:
     """Weighted membership: whether a key of the universe df is in the set (column member), given its believed share of being so
     (column name or number). A filter on the set and a correction bit for whatever passes it: one decision of a guided map."""
-    p = F.lit(share) if not isinstance(share, str) else F.col(share)
-    x = F.array(p.cast("double"))
-    values = dictionary(df, member)
-    order = [bool(v) for v, _ in values]
-
-    def believe(m: np.ndarray) -> np.ndarray:
-        q = np.clip(m[:, 0], 1e-6, 1 - 1e-6)
-        return np.stack([q if v else 1 - q for v in order], 1)
-
-    return build_guided(df, key, member, x, Custom(fn=believe), cfg, path)
+    order = [bool(v) for v, _ in dictionary(df, member)]
+    model = Believed(order=order) if isinstance(share, str) else Believed(order=order, share=float(share))
+    return build_guided(df, key, member, [share] if isinstance(share, str) else None, model, cfg, path)
 
 
 def compress_columns(df: DataFrame, key, columns: Sequence[str], features=None, model=None, cfg: MapConfig | None = None) -> list[StaticMap]:
@@ -371,6 +392,3 @@ def mismatches(df: DataFrame, built: StaticMap, value: str) -> DataFrame:
     """Rows of df whose value the map does not give back: none, for the rows it was built from."""
     return built.attach(df, "_got").filter(~F.col("_got").eqNullSafe(F.col(value)))
 
-
-def to_pandas(rows) -> pd.DataFrame:
-    return pd.DataFrame([r.asDict() for r in rows])

@@ -11,11 +11,29 @@ import struct
 import numpy as np
 
 from predmap.functions import codes
-from predmap.functions.ribbon import BitStore, mix, parity
+from predmap.functions.ribbon import BitStore, mix
 
 U = np.uint64
 
 
+#: One letter for each part of a shard's structure.
+NAMES = {"filter": b"f", "correct": b"c", "fixed": b"v", "bits": b"b", "sparse": b"s", "exceptions": b"x"}
+
+
+def pack_parts(parts: dict[str, bytes]) -> bytes:
+    """Parts one after the other, each after its letter and length; empty exceptions are left out."""
+    return b"".join(NAMES[k] + struct.pack("<I", len(v)) + v for k, v in parts.items() if k != "exceptions" or len(v) > 8)
+
+
+def unpack_parts(data: bytes) -> dict[str, bytes]:
+    out, at, names = {"exceptions": struct.pack("<q", 0)}, 0, {v: k for k, v in NAMES.items()}
+    while at < len(data):
+        size = struct.unpack_from("<I", data, at + 1)[0]
+        out[names[data[at : at + 1]]] = data[at + 5 : at + 5 + size]
+        at += 5 + size
+    return out
+
+
 def coins(h: np.ndarray) -> np.ndarray:
     """Four 16-bit coins per key, the same when building and when querying."""
     return mix(h, 31).astype(np.int64) & 0x7FFFFFFFFFFFFFFF
@@ -88,13 +106,8 @@ def solve_guided(h1, h2, vid, count, path, cfg) -> tuple[dict[str, bytes], dict[
 
 def read_guided(parts: dict, h1, h2, w, cfg) -> np.ndarray:
     h = h1.view(U)
-    front, back = parts["filter"], parts["correct"]
-    return codes.walk(
-        w, cfg,
-        lambda rows, at, r: front.ones(h[rows], at, r, cfg),
-        lambda rows, at: back.read(h[rows], at, cfg, cfg.seed + 5000) == 1,
-        coins(h),
-    )
+    front, back = parts["filter"].reader(h, cfg), parts["correct"].reader(h, cfg, cfg.seed + 5000)
+    return codes.walk(w, cfg, front.ones, lambda rows, at: back.read(rows, at) == 1, coins(h))
 
 
 def solve_fixed(h1, vid, bits: int, cfg):
@@ -103,40 +116,47 @@ def solve_fixed(h1, vid, bits: int, cfg):
 
 
 def solve_bits(h1, bits, length, cfg):
-    """Strings of length bits; under the layout "per_position" a store of its own for every position."""
-    h, length = h1.view(U), length.astype(U)
-    care = np.where(length >= 64, ~U(0), (U(1) << (length & U(63))) - U(1))
-    bits = bits.view(U)
-    if cfg.layout == "per_position":
-        stores = []
-        for i in range(int(length.max(initial=0))):
-            at = np.flatnonzero(length > i)
-            one = np.ones(len(at), U)
-            stores.append(BitStore.build(h[at], one, bits[at] >> U(i) & U(1), cfg, seed=cfg.seed + 7 * i))
-    else:
-        stores = [BitStore.build(h, care, bits, cfg)]
-    sizes = [s.size_bits() for s in stores] or [{"words": 0, "bumps": 0, "header": 0}]
-    blob = struct.pack("<H", len(stores)) + b"".join(struct.pack("<q", len(b)) + b for b in (s.to_bytes() for s in stores))
+    """Strings of length bits, in rows of 64-bit words; under the layout "per_position" a store of its own for every position. Each
+    word of the strings has stores of its own, so strings may have any length."""
+    length = np.asarray(length, np.int64)
+    if int(length.max(initial=0)) > 64 * bits.shape[1]:
+        raise ValueError("a string is longer than its words")
+    stores = []
+    for k in range(bits.shape[1]):
+        some = np.flatnonzero(length > 64 * k) if k else np.arange(len(length))
+        h, word, n = mix(h1[some].view(U), 8000 + k) if k else h1.view(U), bits[some, k].view(U), np.clip(length[some] - 64 * k, 0, 64).astype(U)
+        care = np.where(n >= 64, ~U(0), (U(1) << (n & U(63))) - U(1))
+        if cfg.layout == "per_position":
+            for i in range(int(n.max(initial=0))):
+                at = np.flatnonzero(n > i)
+                one = np.ones(len(at), U)
+                stores.append((k, i, BitStore.build(h[at], one, word[at] >> U(i) & U(1), cfg, seed=cfg.seed + 7 * i)))
+        else:
+            stores.append((k, 0, BitStore.build(h, care, word, cfg)))
+    sizes = [s.size_bits() for _, _, s in stores] or [{"words": 0, "bumps": 0, "header": 0}]
+    blob = b"".join(struct.pack("<HBI", k, i, len(b)) + b for k, i, b in ((k, i, s.to_bytes()) for k, i, s in stores))
     return {"bits": blob}, {"filter_demand": 0, "correct_demand": int(length.sum()), **{k: sum(s[k] for s in sizes) for k in sizes[0]}, "odd": 0}
 
 
-def load_bits(blob: bytes) -> list[BitStore]:
-    n, at, out = struct.unpack_from("<H", blob)[0], 2, []
-    for _ in range(n):
-        size = struct.unpack_from("<q", blob, at)[0]
-        out.append(BitStore.from_bytes(blob[at + 8 : at + 8 + size]))
-        at += 8 + size
+def load_bits(blob: bytes) -> list[tuple[int, int, BitStore]]:
+    """(word, position, store)."""
+    at, out = 0, []
+    while at < len(blob):
+        k, i, size = struct.unpack_from("<HBI", blob, at)
+        out.append((k, i, BitStore.from_bytes(blob[at + 7 : at + 7 + size])))
+        at += 7 + size
     return out
 
 
-def read_bits(stores: list[BitStore], h1, length: int, cfg) -> np.ndarray:
-    """A window of length bits per key; what lies beyond a key's own string is junk."""
-    h = h1.view(U)
-    if cfg.layout != "per_position":
-        return stores[0].read_all(h, length, cfg)
-    out = np.zeros(len(h), U)
-    for i, s in enumerate(stores[:length]):
-        out |= s.read(h, np.zeros(len(h), np.int64), cfg, cfg.seed + 7 * i).astype(U) << U(i)
+def read_bits(stores: list[tuple[int, int, BitStore]], h1, length: int, cfg) -> np.ndarray:
+    """A window of length bits per key, in rows of words; what lies beyond a key's own string is junk."""
+    out = np.zeros((len(h1), max(1, -(-length // 64))), U)
+    for k, i, s in stores:
+        h = mix(h1.view(U), 8000 + k) if k else h1.view(U)
+        if cfg.layout == "per_position":
+            out[:, k] |= s.read(h, np.zeros(len(h), np.int64), cfg, cfg.seed + 7 * i).astype(U) << U(i)
+        elif 64 * k < length:
+            out[:, k] = s.read_all(h, min(64, length - 64 * k), cfg)
     return out
 
 
@@ -211,16 +231,16 @@ class SparseStore:
         return out
 
     def to_bytes(self) -> bytes:
-        return struct.pack("<q", len(self.blocks)) + b"".join(struct.pack("<qq", s, k) + z for s, k, z in self.blocks)
+        return struct.pack("<I", len(self.blocks)) + b"".join(struct.pack("<HB", s, k) + z for s, k, z in self.blocks)
 
     @classmethod
     def from_bytes(cls, data: bytes) -> SparseStore:
-        n, at, out = struct.unpack_from("<q", data)[0], 8, []
+        n, at, out = struct.unpack_from("<I", data)[0], 4, []
         for _ in range(n):
-            size, seed = struct.unpack_from("<qq", data, at)
+            size, seed = struct.unpack_from("<HB", data, at)
             z = -(-size // 8)
-            out.append((size, seed, data[at + 16 : at + 16 + z]))
-            at += 16 + z
+            out.append((size, seed, data[at + 3 : at + 3 + z]))
+            at += 3 + z
         return cls(out)
 
 
@@ -233,7 +253,7 @@ def solve_sparse(h1, vid, lengths, words, cfg):
         keys.append(mix(h[at], 6000 + i))
         bits.append(words[vid[at]] >> (n[at] - 1 - i) & 1)
     store = SparseStore.build(np.concatenate(keys) if keys else np.zeros(0, U), np.concatenate(bits) if bits else np.zeros(0, np.int64))
-    return {"sparse": store.to_bytes()}, {"filter_demand": 0, "correct_demand": int(n.sum()), "words": sum(b[0] for b in store.blocks), "bumps": 0, "header": 24 * len(store.blocks), "odd": 0}
+    return {"sparse": store.to_bytes()}, {"filter_demand": 0, "correct_demand": int(n.sum()), "words": sum(8 * len(b[2]) for b in store.blocks), "bumps": 0, "header": 32 + 24 * len(store.blocks), "odd": 0}
 
 
 def read_sparse(store: SparseStore, h1, lengths, words) -> np.ndarray:
@@ -259,5 +279,3 @@ def canonical_words(lengths) -> np.ndarray:
         at += 1 << (depth - lengths[v])
     return out
 
-
-__all__ = ["parity"]

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import pickle
-
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -12,6 +10,7 @@ from pyspark.sql import functions as F
 from predmap.functions.hashing import key_hashes
 from predmap.functions.ribbon import BitStore
 from predmap.operators.maps import StaticMap, feature_column
+from predmap.operators.shards import unpack_parts
 
 
 def register(spark: SparkSession, name: str, built: StaticMap) -> None:
@@ -46,7 +45,7 @@ class Layers:
     """UDTF over a structure's parts: one row per bit store and layer."""
 
     def eval(self, parts: bytes):
-        for name, blob in pickle.loads(bytes(parts)).items():
+        for name, blob in unpack_parts(bytes(parts)).items():
             if name in ("filter", "correct", "fixed"):
                 store = BitStore.from_bytes(blob)
                 for k, x in enumerate(store.layers):

@@ -6,7 +6,6 @@ in a stream are stateless and drop nothing; watermarks bound the state of monito
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -22,7 +21,11 @@ def file_stream(spark: SparkSession, folder: str, name: str, schema: T.StructTyp
 
 
 def enrich(stream: DataFrame, built: StaticMap, as_: str = "value") -> DataFrame:
-    """The stream with the map's column: a broadcast lookup, no state."""
+    """The stream with the map's column: a broadcast lookup, no state. A structure over the configured size is refused: look such a map
+    up batch by batch (``each_batch``), where ``attach`` can group keys by shard."""
+    size = built.structure(stream.sparkSession).agg(F.sum(F.length("parts"))).head()[0] or 0
+    if size > built.cfg.broadcast_bytes:
+        raise ValueError(f"{size} bytes are too many to broadcast to a stream: use each_batch")
     return built.attach(stream, as_, route="broadcast")
 
 
@@ -42,15 +45,31 @@ def new_keys(stream: DataFrame, keys: list[str], ts: str = "ts", late: str = "1
 
 
 def run_available(df: DataFrame, checkpoint: str, mode: str = "complete") -> DataFrame:
-    """Everything that is there now, as a batch table; mode append writes files, complete a table of the (few) groups."""
-    spark = df.sparkSession
+    """Everything that is there now, as a batch table of files: mode append adds rows, complete writes all groups with each batch."""
+    spark, out = df.sparkSession, f"{checkpoint}/rows"
+    writer = df.writeStream.outputMode(mode).option("checkpointLocation", f"{checkpoint}/state").trigger(availableNow=True)
     if mode == "append":
-        out = f"{checkpoint}/rows"
-        df.writeStream.outputMode("append").format("parquet").option("path", out).option("checkpointLocation", f"{checkpoint}/state").trigger(availableNow=True).start().awaitTermination()
-        return spark.read.schema(df.schema).parquet(out)
-    name = f"t{uuid.uuid4().hex}"
-    df.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{checkpoint}/state").trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+        writer.format("parquet").option("path", out).start().awaitTermination()
+    else:
+        spark.createDataFrame([], df.schema).write.mode("overwrite").parquet(out)
+        writer.foreachBatch(lambda batch, _: batch.write.mode("overwrite").parquet(out)).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(out)
+
+
+def guarded(stream: DataFrame, built: StaticMap, guard: StaticMap, as_: str = "value") -> DataFrame:
+    """The stream (or table) with the map's column, NULL for keys that a filter of the member keys turns away: unseen keys pass with 2^-r
+    only."""
+    from predmap.operators import filters
+
+    known = filters.might_contain(guard, built.attach(stream, as_), "_known")
+    return known.withColumn(as_, F.when(F.col("_known"), F.col(as_))).drop("_known")
+
+
+def labelled_later(keys: DataFrame, labels: DataFrame, key: str, ts: str = "ts", within: str = "1 hour") -> DataFrame:
+    """Stream-stream interval join: keys with the labels that arrive at most so much later; state is bounded by both watermarks."""
+    a, b = keys.withWatermark(ts, within).alias("k"), labels.withWatermark(ts, within).alias("l")
+    on = (F.col(f"k.{key}") == F.col(f"l.{key}")) & (F.col(f"l.{ts}") >= F.col(f"k.{ts}")) & (F.col(f"l.{ts}") <= F.col(f"k.{ts}") + F.expr(f"INTERVAL {within}"))
+    return a.join(b, on).select("k.*", *[F.col(f"l.{c}").alias(f"label_{c}") for c in labels.columns if c != key])
 
 
 def each_batch(stream: DataFrame, build: Callable[[DataFrame, int], None], checkpoint: str) -> None:

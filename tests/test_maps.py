@@ -129,6 +129,81 @@ def test_membership_and_filters(spark):
     assert row["rate"] == pytest.approx(row["bound"], rel=0.35)
 
 
+def test_space_is_what_is_stored(spark):
+    m, df = src.windows(spark, SF), src.table(spark, SF, "orders")
+    made = [maps.build_guided(m.df, m.keys, m.value, m.features, x) for x in (GaussianNB(), Logistic(dtype="int8"), BucketTable())]
+    made += [f(df, "o_orderkey", "o_orderpriority") for f in (maps.build_entropy, maps.build_fixed, maps.build_sparse)]
+    for built in made:
+        s = built.space(spark)
+        stored = 8 * sum(len(r["parts"]) for r in built.structure(spark).collect())
+        assert s["words"] + s["bumps"] + s["header"] == s["structure"] == stored
+        assert s["bits"] == stored + s["model"] + s["dictionary"] and s["header"] < 0.2 * stored + 800
+    assert made[1].model.size_bits() > 8 * made[1].model.params() + 64
+    assert made[0].model.size_bits() == 16 * made[0].model.params() + 32 * 10
+
+
+def test_close_to_entropy(spark):
+    df = spark.range(300_000).select("id", F.pmod(F.xxhash64("id"), F.lit(10)).alias("x")).select("id", F.expr("CASE WHEN x < 5 THEN 0 WHEN x < 8 THEN 1 ELSE 2 END").alias("v"))
+    h0 = metrics.value_stats(df, "v").head()["h0"]
+    assert maps.build_entropy(df, "id", "v").space(spark)["bits_per_key"] < 1.075 * h0
+
+
+@pytest.mark.parametrize("layout", ["interleaved", "per_position", "per_bit_key"])
+def test_strings_of_any_length(spark, layout):
+    rows = [(i, [(i * 0x9E3779B97F4A7C15 + k * 77 + (1 << 62)) % (1 << 64) - (1 << 63) for k in range(3)], i % 190) for i in range(400)]
+    df = spark.createDataFrame(rows, "k long, bits array<long>, n int")
+    got = {r["k"]: r["w"] for r in maps.build_bits(df, "k", "bits", "n", replace(MapConfig(), layout=layout)).attach(df.select("k"), "w").collect()}
+    whole = lambda x: sum((v & (1 << 64) - 1) << 64 * i for i, v in enumerate(x))
+    for k, bits, n in rows:
+        assert (whole(got[k]) ^ whole(bits)) & (1 << n) - 1 == 0
+    with pytest.raises(ValueError, match="arrays"):
+        maps.build_bits(df.select("k", F.lit(1).alias("b"), F.lit(65).alias("n")), "k", "b", "n")
+
+
+@pytest.mark.parametrize("r", [0, 1, 63, 64, 65, 130])
+def test_members_always_pass(spark, r):
+    df = spark.range(500)
+    f = filters.build(df.filter("id % 3 = 0"), "id", r)
+    got = filters.might_contain(f, df).filter("might_contain")
+    assert got.filter("id % 3 = 0").count() == 167
+    assert got.count() == (500 if r == 0 else 167 if r > 60 else got.count())
+
+
+def test_names_that_clash(spark):
+    df = src.table(spark, SF, "orders").select("o_orderkey", "o_orderstatus", F.lit(1).alias("_row"), F.lit(2).alias("_h1"))
+    built = maps.build_fixed(df, "o_orderkey", "o_orderstatus")
+    with pytest.raises(ValueError, match="already"):
+        built.attach(df, "o_orderstatus")
+    got = built.attach(df, "value")
+    assert got.columns == [*df.columns, "value"] and got.filter("value = o_orderstatus").count() == df.count()
+
+
+def test_every_kind_is_saved(spark, tmp_path):
+    df = spark.range(3000).select("id", (F.col("id") % 7 == 0).alias("m"), (F.col("id") % 5).cast("double").alias("x"), (F.col("id") % 5).alias("v"), F.lit(3).alias("n"))
+    load = lambda name, built: maps.StaticMap.load(spark, built.save(spark, str(tmp_path / name)).path.removesuffix("/shards"))
+    lossless(df, load("m", maps.build_membership(df, "id", "m", 0.2)), "m")
+    for i, model in enumerate((GaussianNB(), Logistic(dtype="int8", most_epochs=3), MLP(units=4, most_epochs=3), BucketTable(), Constant())):
+        lossless(df, load(f"g{i}", maps.build_guided(df, "id", "v", ["x"], model)), "v")
+    for i, build in enumerate((maps.build_fixed, maps.build_sparse)):
+        lossless(df, load(f"f{i}", build(df, "id", "v")), "v")
+    bits = load("b", maps.build_bits(df, "id", "v", "n")).attach(df, "w")
+    assert bits.filter("(w & 7) <> v").count() == 0
+    f = load("filter", filters.build(df.filter("m"), "id", 9))
+    assert filters.might_contain(f, df.filter("m")).filter("NOT might_contain").count() == 0
+    fn = lambda x: np.stack([1 + (x[:, 0] == k) * 50.0 for k in range(5)], 1) / 55
+    order = [v for v, _ in maps.dictionary(df, "v")]
+    custom = maps.build_guided(df, "id", "v", ["x"], Custom(fn=lambda x: fn(x)[:, order])).save(spark, str(tmp_path / "custom"))
+    lossless(df, maps.StaticMap.load(spark, str(tmp_path / "custom"), model=custom.model), "v")
+
+
+def test_bloom(spark):
+    df = spark.range(2000)
+    members = df.filter("id % 4 = 0")
+    got = filters.bloom_might_contain(df.unionByName(df).repartition(3), filters.bloom_words(members, "id", 500, 8), "id", 500, 8).filter("might_contain")
+    assert got.filter("id % 4 = 0").count() == 1000
+    assert got.count() < 1000 + 40
+
+
 def test_store(spark, tmp_path):
     m = src.region(spark, SF)
     maps.build_guided(m.df, m.keys, m.value, m.features, BucketTable()).save(spark, str(tmp_path / "map"))
