@@ -147,9 +147,10 @@ def shards(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
     done = None
     while True:
         hot = cut(rows.groupBy("mask", "bits").count().filter(F.col("count") > HOT).select("mask", "bits"))
-        part = rows if hot.isEmpty() else rows.join(hot, ["mask", "bits"], "left_anti")
+        none = not hot.count()
+        part = rows if none else rows.join(hot, ["mask", "bits"], "left_anti")
         done = part if done is None else done.unionByName(part)
-        if hot.isEmpty():
+        if none:
             break
         finer = {r["mask"]: [m | (r["mask"] & (1 << 64) - 1) for m in _masks(1, radius, [b for b in range(64) if not r["mask"] >> b & 1])] for r in hot.select("mask").distinct().collect()}
         finer = {k: v for k, v in finer.items() if len({*v}) > 1}
@@ -212,7 +213,7 @@ def _to_roots(up: DataFrame) -> DataFrame:
         far = up.select(F.col("node").alias("up"), F.col("up").alias("far"))
         two = cut(up.join(far, "up").select("node", F.col("far").alias("up"), (F.col("far") != F.col("up")).alias("moved")))
         up = two.select("node", "up")
-        if two.filter("moved").isEmpty():
+        if not two.filter("moved").count():  # one job; isEmpty would take several to see that nothing is there
             return up
 
 
@@ -221,7 +222,7 @@ def components(edges: DataFrame) -> DataFrame:
     neighbours; what is left at least halves."""
     e = cut(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
     layers: list[DataFrame] = []
-    while not e.isEmpty():
+    while e.count():
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         up = cut(both.groupBy("a").agg(F.min("b").alias("p")).select(F.col("a").alias("node"), F.least("a", "p").alias("up")))
         up = _to_roots(up)
@@ -421,10 +422,9 @@ def across(near: DataFrame, similarity: float) -> DataFrame:
     return cells.repartition("cell").sortWithinPartitions("cell", "root").mapInArrow(run, "doc long, leader long").distinct()
 
 
-def _asked(rows: DataFrame, ids: DataFrame) -> DataFrame:
-    """The rows whose doc_id is in ids (id). A Bloom filter, a byte per id up to MOST_BITS, lets few others be shuffled to the join
+def _asked(rows: DataFrame, ids: DataFrame, n: int) -> DataFrame:
+    """The rows whose doc_id is in ids (id), of which there are n at most. A Bloom filter, a byte per id up to MOST_BITS, lets few others be shuffled to the join
     that decides."""
-    n = ids.count()
     bits = min(MOST_BITS, 1 << max(16, (8 * n).bit_length()))
     places = [F.pmod(F.xxhash64("id", F.lit(k)), F.lit(bits)) for k in (1, 2)]
     word = ids.select(F.explode(F.array(*places)).alias("p")).groupBy(F.floor(F.col("p") / 32).cast("int").alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p % 32 as int))")).alias("bits"))
@@ -444,12 +444,11 @@ def _asked(rows: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -> DataFrame:
-    """(a, b), a > b: those of pairs (doc, leader) whose sets of shingles have the similarity. Texts travel, as they are smaller than
+    """(a, b), a > b: those of pairs (doc, leader; distinct, and read several times) whose sets of shingles have the similarity. Texts travel, as they are smaller than
     their sets; a leader's members are dealt to several tasks, each with its own copy of the leader."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-    pairs = cut(pairs.distinct())
-    ids = cut(pairs.select(F.col("doc").alias("id")).unionByName(pairs.select(F.col("leader").alias("id"))).distinct())
-    known = _asked(rows, ids)
+    ids = pairs.select(F.explode(F.array("doc", "leader")).alias("id")).distinct()
+    known = _asked(rows, ids, 2 * pairs.count())
     parts = pairs.groupBy("leader").agg(F.ceil(F.count(F.lit(1)) / TOGETHER).alias("parts"))
     members = pairs.join(parts, "leader").select("leader", F.pmod(F.xxhash64("doc"), "parts").alias("part"), "doc")
     leaders = parts.select("leader", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), F.lit(None).cast("long").alias("doc"))
@@ -505,7 +504,7 @@ def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY,
     near = held.join(roots, F.col("doc") == roots["node"], "left").select("token", "doc", "band", F.coalesce("root", "doc").alias("root"))
     tried = pairs.select(F.greatest("doc", "leader").alias("doc"), F.least("doc", "leader").alias("leader"))
     rest = cut(across(near.join(looks, "doc"), similarity).join(tried, ["doc", "leader"], "left_anti"))
-    return first if rest.isEmpty() else first.unionByName(cut(compared(rows, rest, words, similarity)))
+    return first.unionByName(compared(rows, rest, words, similarity)) if rest.count() else first
 
 
 def dedup_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
