@@ -447,7 +447,7 @@ def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -
     """(a, b), a > b: those of pairs (doc, leader; distinct, and read several times) whose sets of shingles have the similarity. Texts travel, as they are smaller than
     their sets; a leader's members are dealt to several tasks, each with its own copy of the leader."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
-    ids = pairs.select(F.explode(F.array("doc", "leader")).alias("id")).distinct()
+    ids = pairs.select(F.col("doc").alias("id")).distinct().unionByName(pairs.select(F.col("leader").alias("id")).distinct()).distinct()
     known = _asked(rows, ids, 2 * pairs.count())
     parts = pairs.groupBy("leader").agg(F.ceil(F.count(F.lit(1)) / TOGETHER).alias("parts"))
     members = pairs.join(parts, "leader").select("leader", F.pmod(F.xxhash64("doc"), "parts").alias("part"), "doc")
