@@ -85,13 +85,13 @@ def ece(predicted: DataFrame, bins: int = 50, mode: str = "width") -> DataFrame:
 
 
 def stratified(df: DataFrame, value: str, key: str, test: float = 0.2, validation: float = 0.1, as_: str = "part") -> DataFrame:
-    """df with the column as_: within each value, by md5 of the (distinct) key, the first test share is test, the next validation share of the rest
+    """df with the column as_: within each value, by md5 of the salted (distinct) key, the first test share is test, the next validation share of the rest
     validation. Ranks come from one range sort by value and md5, whose partitions split a frequent value, and the counts of values
     per partition."""
     from predmap.operators.maps import scratch_path
 
     spark, names = df.sparkSession, df.columns
-    order = [F.col(value).asc_nulls_first(), F.md5(F.col(key).cast("string")).asc()]
+    order = [F.col(value).asc_nulls_first(), F.md5(F.concat(F.lit("split"), F.col(key).cast("string"))).asc()]  # features may be made of the key's own md5
     path = scratch_path(spark)
     df.select(*names).repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_row", F.monotonically_increasing_id()).write.parquet(path)
     rows = spark.read.parquet(path).withColumn("_part", F.shiftright("_row", 33))
