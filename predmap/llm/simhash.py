@@ -30,6 +30,8 @@ NAME = "op9_simhash"
 SQL = None  # XXH64 with a seed is no SQL function; tests compare with all pairs
 SHINGLE, RADIUS, SEED = 3, 2, 42
 LEAF, HOT = 2048, 50_000
+#: Rows of a few numbers that one task takes in the rounds of components().
+TASK_ROWS = 1 << 17
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
 
@@ -207,11 +209,24 @@ def links(fps: DataFrame, radius: int = RADIUS) -> DataFrame:
     return near.select("mask", "bits", "fp", "low").mapInArrow(run, "a long, b long")
 
 
-def _to_roots(up: DataFrame) -> DataFrame:
+def _tasks(n: int) -> int:
+    """Tasks for n narrow rows. A round over few rows would else take as many tasks as the largest shuffle of the job, and the driver
+    would plan, watch and remember them all."""
+    return max(2, -(-n // TASK_ROWS))
+
+
+def _counted(df: DataFrame) -> tuple[DataFrame, int]:
+    """df kept, to be read in as many tasks as its rows are worth, and the number of these."""
+    df = cut(df)
+    n = df.count()
+    return df.coalesce(_tasks(n)), n
+
+
+def _to_roots(up: DataFrame, tasks: int) -> DataFrame:
     """(node, up) with every up followed to its end: pointers double each round, so a chain takes as many rounds as its logarithm."""
     while True:
         far = up.select(F.col("node").alias("up"), F.col("up").alias("far"))
-        two = cut(up.join(far, "up").select("node", F.col("far").alias("up"), (F.col("far") != F.col("up")).alias("moved")))
+        two = cut(up.join(far, "up").select("node", F.col("far").alias("up"), (F.col("far") != F.col("up")).alias("moved")).coalesce(tasks))
         up = two.select("node", "up")
         if not two.filter("moved").count():  # one job; isEmpty would take several to see that nothing is there
             return up
@@ -220,19 +235,20 @@ def _to_roots(up: DataFrame) -> DataFrame:
 def components(edges: DataFrame) -> DataFrame:
     """(node, root): for each node of edges the least node it reaches. A round takes every node to the end of its chain of least
     neighbours; what is left at least halves."""
-    e = cut(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
+    e, n = _counted(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
     layers: list[DataFrame] = []
-    while e.count():
+    while n:
+        tasks = _tasks(2 * n)  # an edge has two nodes
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        up = cut(both.groupBy("a").agg(F.min("b").alias("p")).select(F.col("a").alias("node"), F.least("a", "p").alias("up")))
-        up = _to_roots(up)
+        up = cut(both.groupBy("a").agg(F.min("b").alias("p")).select(F.col("a").alias("node"), F.least("a", "p").alias("up")).coalesce(tasks))
+        up = _to_roots(up, tasks)
         layers.append(up)
-        e = (
+        left = (
             e.join(up.select(F.col("node").alias("a"), F.col("up").alias("x")), "a")
             .join(up.select(F.col("node").alias("b"), F.col("up").alias("y")), "b")
             .filter("x <> y").select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct()
         )
-        e = cut(e)
+        e, n = _counted(left.coalesce(tasks))
     if not layers:
         return edges.select(F.col("a").alias("node"), F.col("b").alias("root")).limit(0)
     out = layers[-1].select("node", F.col("up").alias("root"))
@@ -443,12 +459,12 @@ def _asked(rows: DataFrame, ids: DataFrame, n: int) -> DataFrame:
     return few.join(ids, few["doc_id"] == ids["id"]).select("id", "text")
 
 
-def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -> DataFrame:
-    """(a, b), a > b: those of pairs (doc, leader; distinct, and read several times) whose sets of shingles have the similarity. Texts travel, as they are smaller than
+def compared(rows: DataFrame, pairs: DataFrame, n: int, words: int, similarity: float) -> DataFrame:
+    """(a, b), a > b: those of the n pairs (doc, leader; distinct, and read several times) whose sets of shingles have the similarity. Texts travel, as they are smaller than
     their sets; a leader's members are dealt to several tasks, each with its own copy of the leader."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
     ids = pairs.select(F.col("doc").alias("id")).distinct().unionByName(pairs.select(F.col("leader").alias("id")).distinct()).distinct()
-    known = _asked(rows, ids, 2 * pairs.count())
+    known = _asked(rows, ids, 2 * n)
     parts = pairs.groupBy("leader").agg(F.ceil(F.count(F.lit(1)) / TOGETHER).alias("parts"))
     members = pairs.join(parts, "leader").select("leader", F.pmod(F.xxhash64("doc"), "parts").alias("part"), "doc")
     leaders = parts.select("leader", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"), F.lit(None).cast("long").alias("doc"))
@@ -474,17 +490,16 @@ def compared(rows: DataFrame, pairs: DataFrame, words: int, similarity: float) -
     return near.distinct()
 
 
-def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(a, b), a > b: documents whose sets of shingles have at least this Jaccard similarity, enough pairs for the components of all
-    such pairs. Every candidate is compared exactly; candidates come
+def _found(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame, DataFrame | None]:
+    """What similar() returns in two parts, of which the second may be missing, and between them the components of the first. Every
+    candidate is compared exactly; candidates come
 
     1. from SimHash: documents whose fingerprints (over distinct shingles) are linked by the BK-trees, with the least of their group;
     2. from bands: each document with the centre of a band's group (the document that shares most bands with others), of those the
        one that it shares most bands with;
     3. from bands again: every two documents of a group that are still in different components and look similar.
 
-    A pair at 0.8 shares no band with a probability of 2e-6 and looks too different with one of 2e-3; more similar ones are safer.
-    Rows with null ids take no part; of rows that repeat an id, which is one document here, any may be compared."""
+    A pair at 0.8 shares no band with a probability of 2e-6 and looks too different with one of 2e-3; more similar ones are safer."""
     rows = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).filter("doc_id IS NOT NULL")
     made = cut(signed_sets(rows, words))
     fps = cut(made.groupBy("fp").agg(F.min("doc").alias("low")))
@@ -497,19 +512,29 @@ def similar(docs: DataFrame, words: int = WORDS, similarity: float = SIMILARITY,
     centres = held.join(weights, "doc").groupBy("token").agg(F.max_by("doc", F.struct("weight", -F.col("doc"))).alias("leader"), F.max("weight").alias("weight"))
     shared = held.join(centres, "token").filter("doc <> leader").groupBy("doc", "leader").agg(F.count(F.lit(1)).alias("n"), F.max("weight").alias("weight"))
     by_band = shared.groupBy("doc").agg(F.max_by("leader", F.struct("n", "weight", -F.col("leader"))).alias("leader"))
-    pairs = cut(by_fp.unionByName(by_band).distinct())
-    first = cut(compared(rows, pairs, words, similarity))
+    pairs, n = _counted(by_fp.unionByName(by_band).distinct())
+    first = cut(compared(rows, pairs, n, words, similarity))
     roots = components(first)
     looks = made.select("doc", "looks").dropDuplicates(["doc"])
     near = held.join(roots, F.col("doc") == roots["node"], "left").select("token", "doc", "band", F.coalesce("root", "doc").alias("root"))
     tried = pairs.select(F.greatest("doc", "leader").alias("doc"), F.least("doc", "leader").alias("leader"))
-    rest = cut(across(near.join(looks, "doc"), similarity).join(tried, ["doc", "leader"], "left_anti"))
-    return first.unionByName(compared(rows, rest, words, similarity)) if rest.count() else first
+    rest, n = _counted(across(near.join(looks, "doc"), similarity).join(tried, ["doc", "leader"], "left_anti"))
+    return first, roots, compared(rows, rest, n, words, similarity) if n else None
+
+
+def similar(docs: DataFrame, **options) -> DataFrame:
+    """(a, b), a > b: documents whose sets of shingles have at least this Jaccard similarity, enough pairs for the components of all
+    such pairs. Rows with null ids take no part; of rows that repeat an id, which is one document here, any may be compared. Options:
+    words, similarity, id_col, text_col."""
+    first, _, second = _found(docs, **options)
+    return first if second is None else first.unionByName(second)
 
 
 def dedup_similar(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of docs that stay: of each group of similar documents the one with the smallest id. All columns."""
-    roots = components(similar(docs, id_col=id_col, text_col=text_col, **options))
+    _, roots, second = _found(docs, id_col=id_col, text_col=text_col, **options)
+    if second is not None:  # stars instead of the pairs they came from: one round takes them to their ends
+        roots = components(roots.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(second))
     gone = roots.filter("node <> root").select(F.col("node").alias("_gone"))
     return docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
 
