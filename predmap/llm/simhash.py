@@ -30,7 +30,7 @@ NAME = "op9_simhash"
 SQL = None  # XXH64 with a seed is no SQL function; tests compare with all pairs
 SHINGLE, RADIUS, SEED = 3, 2, 42
 LEAF, HOT = 2048, 50_000
-#: Rows of a few numbers that one task takes in the rounds of components().
+#: Rows of a few numbers that one task takes in the rounds of components(), and edges at which one task ends the rounds.
 TASK_ROWS = 1 << 17
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
@@ -232,12 +232,34 @@ def _to_roots(up: DataFrame, tasks: int) -> DataFrame:
             return up
 
 
+def _ended(edges: DataFrame) -> DataFrame:
+    """(node, up): components of TASK_ROWS edges (a, b) at most, found in one task by pointers to lesser nodes."""
+    schema = pa.schema([("node", pa.int64()), ("up", pa.int64())])
+
+    def run(batches):
+        both = [np.stack([b.column(0).to_numpy(), b.column(1).to_numpy()]) for b in batches if b.num_rows]
+        if not both:
+            return
+        nodes, at = np.unique(np.concatenate(both, 1), return_inverse=True)
+        a, b = at.reshape(2, -1)
+        up = np.arange(len(nodes))
+        while (up[a] != up[b]).any():
+            x, y = up[a], up[b]
+            np.minimum.at(up, np.maximum(x, y), np.minimum(x, y))
+            while (up[up] != up).any():
+                up = up[up]
+        yield batch_of(schema, nodes, nodes[up])
+
+    return edges.select("a", "b").coalesce(1).mapInArrow(run, "node long, up long")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, root): for each node of edges the least node it reaches. A round takes every node to the end of its chain of least
-    neighbours; what is left at least halves."""
+    neighbours; what is left at least halves. Once it fits one task, that task ends it: the result is the same, and the driver is
+    spared the many small stages of the last rounds."""
     e, n = _counted(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct())
     layers: list[DataFrame] = []
-    while n:
+    while n > TASK_ROWS:
         tasks = _tasks(2 * n)  # an edge has two nodes
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         up = cut(both.groupBy("a").agg(F.min("b").alias("p")).select(F.col("a").alias("node"), F.least("a", "p").alias("up")).coalesce(tasks))
@@ -249,6 +271,8 @@ def components(edges: DataFrame) -> DataFrame:
             .filter("x <> y").select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct()
         )
         e, n = _counted(left.coalesce(tasks))
+    if n:
+        layers.append(cut(_ended(e)))
     if not layers:
         return edges.select(F.col("a").alias("node"), F.col("b").alias("root")).limit(0)
     out = layers[-1].select("node", F.col("up").alias("root"))

@@ -86,12 +86,29 @@ def test_bk_tree():
             assert sorted(tree.within(x, radius)) == [i for i, y in enumerate(members) if (x ^ y).bit_count() <= radius]
 
 
-def test_chain_is_one_component(spark):
+@pytest.mark.parametrize("task_rows", [8, 1 << 17])
+def test_chain_is_one_component(spark, monkeypatch, task_rows):
+    """With 8 edges a task the rounds run over the table; else one task does it all."""
+    monkeypatch.setattr(simhash, "TASK_ROWS", task_rows)
     edges = spark.createDataFrame([(i + 1, i) for i in range(60)] + [(100, 90)], "a long, b long")
     got = {r["node"]: r["root"] for r in simhash.components(edges).collect()}
     assert got == {**dict.fromkeys(range(61), 0), 100: 90, 90: 90}
 
 
+@pytest.mark.parametrize("task_rows", [20, 1 << 17])
+def test_components_of_random_edges(spark, monkeypatch, task_rows):
+    """20 leaves rounds over the table first and one task for what they leave."""
+    monkeypatch.setattr(simhash, "TASK_ROWS", task_rows)
+    pairs = np.random.default_rng(5).integers(0, 150, (110, 2)).tolist()
+    least = {x: x for p in pairs if p[0] != p[1] for x in p}
+    for _ in least:
+        for a, b in pairs:
+            if a != b:
+                least[a] = least[b] = min(least[a], least[b])
+    got = simhash.components(spark.createDataFrame(pairs, "a long, b long")).collect()
+    assert len(got) == len(least) and {r["node"]: r["root"] for r in got} == least
+
+
 def brute_decontaminate(text, items, size=10):
     find = lambda t: re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower(t or ""))
     w, hit, names = find(text), set(), set()
