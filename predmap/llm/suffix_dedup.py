@@ -8,8 +8,7 @@ Four steps over chunks of documents (a hash of the id); the texts are shuffled o
 2. Shards of hashes answer with two bits each: does the gram occur in two documents, and is it hot? A false yes costs work and
    changes nothing.
 3. For anchors that are shared, chunks send the bytes of all windows with that anchor (its context) to the anchor's shard.
-   Equal contexts are merged. An anchor with one context is settled: all but the least document repeat it. The others, where
-   copies begin, end or differ, are indexed together: a run-compressed Burrows-Wheeler transform of the contexts, with the
+   Equal contexts are merged and then indexed, all contexts of an anchor together: a run-compressed Burrows-Wheeler transform with the
    mapping of each run's head, suffix samples at run ends and the borders between suffixes that share less than LENGTH bytes.
    Streaming each context backwards through the index, all contexts side by side, gives for every window its matching
    statistics cut at LENGTH: the interval of suffixes that start with it, and their least document.
@@ -171,7 +170,7 @@ class RunIndex:
         n = len(text)
         which = np.repeat(np.arange(m), size + 1)
         left = np.cumsum(size + 1)[which] - 1 - np.arange(n)  # bytes before the terminator
-        order, rank = self._sort(text, which, left, m)
+        order, alike = self._sort(text, which, left, m, length)
         before = np.where(np.arange(n) == np.concatenate([[0], np.cumsum(size + 1)[:-1]])[which], 256, np.concatenate([[0], text[:-1]]))
         bwt = before[order]
         new = np.ones(n, bool)
@@ -186,44 +185,60 @@ class RunIndex:
             r = np.flatnonzero(self.char == c)
             self.to[r] = firsts[c] + np.cumsum(count[r]) - count[r]
         self.samples = order[np.append(self.head[1:], n) - 1]  # suffixes at run ends
-        whole = left[order] >= length
-        lines = np.lib.stride_tricks.sliding_window_view(np.concatenate([text, np.zeros(length, np.uint8)]), length)
         border = np.ones(n, bool)
-        for at in range(1, n, 1 << 16):
-            z = min(n, at + (1 << 16))
-            border[at:z] = ~(whole[at:z] & whole[at - 1 : z - 1]) | (lines[order[at:z]] != lines[order[at - 1 : z - 1]]).any(1)
+        if alike is not None:  # two windows are equal where both of their ends are
+            rank, step = alike
+            a = np.where(left >= length, rank, -1 - np.arange(n))[order]
+            b = rank[np.minimum(order + (length - step), n - 1)]
+            border[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
         self.border = np.flatnonzero(border)
         self.interval_of = np.cumsum(border, dtype=np.int32) - 1
         self.least = np.minimum.reduceat(numbers[which[order]], self.border)
 
     @staticmethod
-    def _sort(text, which, left, m):
-        """Rows in suffix order and each suffix's row; terminators come first, in the order of their strings."""
-        n, step = len(text), 7
+    def _sort(text, which, left, m, length):
+        """Rows in suffix order; terminators come first, in the order of their strings. Besides, unless suffixes already differ before,
+        the rank of each by its first step bytes, and that step, which is at least half of length and at most length."""
+        n, step = len(text), min(7, length)
         padded = np.concatenate([text, np.zeros(step, np.uint8)]).astype(np.uint64)
         key = np.zeros(n, np.uint64)
         for k in range(step):
-            key = (key << np.uint64(8)) | np.where(left > k, padded[k : k + n] + np.uint64(0), np.uint64(0))
+            key = (key << np.uint64(8)) | np.where(left > k, padded[k : k + n], np.uint64(0))
         key = (key << np.uint64(3)) | np.minimum(left, step).astype(np.uint64)
-        # of suffixes that end within the key, equal ones go by their string; a zero byte in the text is told from the end by left
-        tie = np.where(left < step, which, 0)
+        order = np.argsort(key)
+        k = key[order]
+        new = np.ones(n, bool)
+        new[1:] = k[1:] != k[:-1]
+        at = np.flatnonzero(new)
         rank = np.empty(n, np.int64)
-
-        def ranked(key):
-            order = np.argsort(key)
-            k = key[order]
-            new = np.empty(n, np.int64)
-            new[0], new[1:] = 0, k[1:] != k[:-1]
-            rank[order] = np.cumsum(new)
-            return order
-
-        ranked(key)
-        order = ranked(rank * (m + 1) + tie)
-        while rank[order[-1]] < n - 1:
-            far = np.where(left >= step, rank[np.minimum(np.arange(n) + step, n - 1)] + 1, 0)
-            order = ranked(rank * (n + 1) + far)
+        rank[order] = np.repeat(at, np.diff(np.append(at, n)))  # of equal ones the first place
+        # of suffixes that end within the key, equal ones go by their string; a zero byte in the text is told from the end by left
+        short = np.flatnonzero(left < step)
+        by = short[np.argsort(rank[short] * m + which[short])]
+        rank[by] += np.arange(len(by)) - np.searchsorted(rank[by], rank[by])
+        alike = None
+        # then by twice as many bytes each time, those only that share their rank with others
+        open_ = np.flatnonzero(np.bincount(rank, minlength=n)[rank] > 1)
+        while len(open_):
+            if step <= length <= 2 * step:
+                alike = rank.copy(), step
+            mine = rank[open_]
+            key = mine * (n + 1) + rank[np.minimum(open_ + step, n - 1)]  # open ones are longer than step, ended ones have ranks of their own
+            to = np.argsort(key)
+            key, mine = key[to], mine[to]
+            place = np.arange(len(key))
+            new = np.ones(len(key), bool)
+            new[1:] = key[1:] != key[:-1]
+            first = np.ones(len(key), bool)
+            first[1:] = mine[1:] != mine[:-1]
+            start, group = np.maximum.accumulate(np.where(new, place, 0)), np.maximum.accumulate(np.where(first, place, 0))
+            open_ = open_[to]
+            rank[open_] = mine + start - group
+            last = np.append(new[1:], True)
+            open_ = open_[~(new & last)]
             step *= 2
-        return order, rank
+        order[rank] = np.arange(n)
+        return order, alike
 
     def back(self, row: np.ndarray) -> np.ndarray:
         """Rows of the suffixes one byte longer."""
@@ -255,16 +270,10 @@ def settle(contexts: list[bytes], gram_at: list[int], docs: np.ndarray, index_by
         if not seen[w]:
             seen[w] = True
             group[w] = anchor.setdefault(c[g : g + GRAM], len(anchor))
-    mixed = np.bincount(group, minlength=len(anchor))[group] > 1
     out = np.zeros(len(contexts), np.uint64)
-    full = np.array([(1 << (len(c) - LENGTH + 1)) - 1 for c in number], np.uint64)
-    later = docs > least[which]
-    out[later] = full[which[later]]
-    names = np.flatnonzero(mixed)
-    names = names[np.argsort(group[names], kind="stable")]  # an index takes whole groups, as equal windows are in one group
+    names = np.argsort(group, kind="stable")  # an index takes whole groups, as equal windows are in one group
     strings, rows = list(number), np.argsort(which)
     first = np.searchsorted(which[rows], np.arange(len(number) + 1))
-    out[np.flatnonzero(mixed[which])] = 0
     at = 0
     while at < len(names):
         size, z = 0, at
