@@ -38,7 +38,7 @@ from predmap.llm.common import table
 NAME = "op6_suffix_dedup"
 SQL = None  # tests compare with a dictionary of all windows
 LENGTH, GRAM = 50, 16
-SLICE, CHUNK_BYTES, SHARD_ANCHORS, INDEX_BYTES, HOT = 1 << 18, 6 << 20, 1 << 19, 1 << 19, 2000
+SLICE, CHUNK_BYTES, SHARD_ANCHORS, INDEX_BYTES, HOT = 1 << 18, 6 << 20, 1 << 17, 1 << 19, 2000
 #: Odd multipliers of the gram hash.
 M1, M2, M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 LOW = np.uint64(0xFFFFFFFF)
