@@ -152,3 +152,13 @@ def test_terms_that_disclose(spark):
     assert gone[0] == "Zum Fall rot schreibt  an [EMAIL] bitte rot lesen"
     assert pii.sanitise(df).columns == df.columns
     assert pii.scan(empty(spark)).count() == 0
+
+
+def test_terms_are_added_up_before_the_join(spark):
+    """The join gets each term once, in however many tasks it was counted."""
+    docs = spark.createDataFrame([(f"alpha beta word{'abcdefgh'[i % 8]}",) for i in range(64)], "text string").repartition(8)
+    wanted = spark.createDataFrame([("alpha",), ("beta",), ("absent",)], "term string")
+    got = pii.term_frequencies(docs, wanted)
+    assert {r["term"]: r["n_term"] for r in got.collect()} == {"alpha": 64, "beta": 64}
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join") == 1 and plan.index("Join") < plan.index("sum(") < plan.index("MapInArrow")
