@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from predmap import workloads
 from predmap.functions import codes
-from predmap.operators import baselines
+from predmap.operators import baselines, maps
 
 
 def test_huffman_bits():
@@ -55,3 +55,23 @@ def test_a_large_table_is_not_broadcast(spark, monkeypatch):
     monkeypatch.setattr(baselines, "BROADCAST_ROWS", 999)
     assert "SortMergeJoin" in plan()._jdf.queryExecution().sparkPlan().toString()
     assert plan().filter("value = id % 3").count() == 1000
+
+
+@pytest.mark.parametrize("build", [maps.build_entropy, maps.build_fixed, maps.build_sparse])
+def test_maps_of_many_values(spark, build):
+    df = spark.range(20_000).select("id", F.concat(F.lit("v"), F.pmod(F.xxhash64("id"), F.lit(6_000))).alias("v"))
+    built = build(df, "id", "v")
+    assert len(built.values) > maps.MOST_VALUES and maps.mismatches(df, built, "v").isEmpty()
+
+
+@pytest.mark.parametrize("coder", ["shannon", "huffman", "fixed"])
+@pytest.mark.parametrize("weights", [[5], [1, 1], [900, 50, 30, 20], list(range(1, 60))])
+def test_one_row_of_weights_for_all_keys(coder, weights):
+    """The paths are those of the same row for each key."""
+    from predmap.config import MapConfig
+
+    w, vid = np.array([weights], np.int64), np.arange(400) % len(weights)
+    for filter in ("all", "root", "none"):
+        cfg = MapConfig(coder=coder, filter=filter)
+        one, each = codes.decisions(w, vid, cfg), codes.decisions(np.repeat(w, 400, 0), vid, cfg)
+        assert (one[0] == each[0]).all() and (one[1] == each[1]).all()
