@@ -75,3 +75,19 @@ def test_one_row_of_weights_for_all_keys(coder, weights):
         cfg = MapConfig(coder=coder, filter=filter)
         one, each = codes.decisions(w, vid, cfg), codes.decisions(np.repeat(w, 400, 0), vid, cfg)
         assert (one[0] == each[0]).all() and (one[1] == each[1]).all()
+
+
+def test_regular_systems():
+    from predmap.functions.ribbon import regular, solve_dense
+
+    rows = np.random.default_rng(2).integers(0, 1 << 6, (200, 6)).astype(np.uint64)
+    for row, full in zip(rows, regular(rows | np.uint64(1 << 40)), strict=True):
+        a = (row[:, None] >> np.arange(6).astype(np.uint64) & np.uint64(1)).astype(int)
+        assert full == all(solve_dense(a, b) is not None for b in np.eye(6, dtype=int))
+
+
+@pytest.mark.parametrize("name", ["filter_length_curve", "overhead_curve", "tree_excess_cases", "filter_order_bound", "ribbon_overhead_bound", "solvable_share"])
+def test_queries_read_a_table(spark, tmp_path, name):
+    """Without the tables there is nothing to work on."""
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        workloads.queries()[name](spark, str(tmp_path)).collect()
