@@ -112,3 +112,15 @@ def test_time(monkeypatch):
     for k in range(15):
         one_by_one(SparseStore.columns(keys(768, k), 802, 0), b[:768], 802)
     assert took < 0.8 * 10 * (time.perf_counter() - a)
+
+
+def test_mapping_is_spread_and_kept(spark):
+    """A file that one task reads is dealt over all cores, and worked out once."""
+    from predmap import workloads
+    from predmap.sources.mappings import Mapping
+
+    df = spark.range(0, 1000, 1, 1).selectExpr("id", "id % 3 AS v")
+    with workloads.spread_out(Mapping(df, ["id"], "v", [])) as m:
+        assert m.df.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism and m.df.is_cached
+        assert sorted(m.df.collect()) == sorted(df.collect())
+    assert not m.df.is_cached
