@@ -9,8 +9,10 @@ from pyspark.sql import functions as F
 
 from predmap import workloads
 from predmap.config import MapConfig
+from predmap.functions import codes
 from predmap.models import GaussianNB
 from predmap.operators import maps
+from predmap.plans import select
 from predmap.sources import mappings as src
 
 SMALL = MapConfig(shard_keys=300)
@@ -79,3 +81,21 @@ def test_untimed_structures_take_the_same_space(spark):
     m = src.gauss(spark, 3_000, 8, 0.5)
     a, b = (workloads._compare(spark, None, m, "gauss", GaussianNB(), timed=t) for t in (True, False))
     assert [r[:9] for r in a] == [r[:9] for r in b] and len(a) == 7
+
+
+def test_code_lengths():
+    rng = np.random.default_rng(5)
+    w = np.concatenate([rng.integers(1, 1 << k, (200, 6)) for k in (1, 2, 8, 24, 40)] + [np.array([[1, 1, 1, 1, 1, 3], [1, 2, 4, 8, 16, 33], [1, 1, 1, 1, 1, (1 << 52) - 5]])])
+    least = [[next(n for n in range(64) if int(x) << n >= int(row.sum())) for x in row] for row in w]
+    assert codes.shannon_lengths(w).tolist() == least
+    low, high = w.min(1), w.max(1)
+    assert codes.filter_bits(low, high, 24).tolist() == [min(24, next(n for n in range(64) if int(x) << (n + 1) >= int(y))) for x, y in zip(low, high, strict=True)]
+
+
+def test_one_split_for_all_hardnesses(spark):
+    """The split of the keys is that of the mapping."""
+    keys = select.held_out(src.normal_keys(spark, 2_000, 8), "class", "id")
+    names = ["id", "class", "x", select.SPLIT]
+    for sigma in (0.3, 4.0):
+        own = select.held_out(src.gauss(spark, 2_000, 8, sigma).df, "class", "id")
+        assert sorted(map(tuple, src.gauss(spark, 2_000, 8, sigma, keys).df.select(*names).collect())) == sorted(map(tuple, own.select(*names).collect()))
