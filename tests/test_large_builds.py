@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from predmap import workloads
 from predmap.config import MapConfig
-from predmap.functions import codes
+from predmap.functions import codes, metrics
 from predmap.models import GaussianNB
 from predmap.operators import maps
 from predmap.plans import select
@@ -99,3 +99,21 @@ def test_one_split_for_all_hardnesses(spark):
     for sigma in (0.3, 4.0):
         own = select.held_out(src.gauss(spark, 2_000, 8, sigma).df, "class", "id")
         assert sorted(map(tuple, src.gauss(spark, 2_000, 8, sigma, keys).df.select(*names).collect())) == sorted(map(tuple, own.select(*names).collect()))
+
+
+def test_split_sorts_no_table(spark, monkeypatch):
+    """The stratified split is that of ranks by md5, though only rows near a share's end are ranked."""
+    import hashlib
+
+    monkeypatch.setattr(type(spark.range(1)), "repartitionByRange", lambda *_: pytest.fail("all rows are sorted"))
+    rows = [(i, None if i % 50 == 0 else "a" if i % 3 else "b" if i > 3 else "c") for i in range(6_000)]
+    got = metrics.stratified(spark.createDataFrame(rows, "id long, v string"), "v", "id").collect()
+    groups = {}
+    for i, v in rows:
+        groups.setdefault(v, []).append((hashlib.md5(f"split{i}".encode()).hexdigest(), i))
+    want = {}
+    for v, held in groups.items():
+        for k, (_, i) in enumerate(sorted(held)):
+            rank = k / max(1, len(held) - 1)
+            want[i] = (v, "test" if rank < 0.2 else "validation" if rank < 0.28 else "train")
+    assert len(got) == len(rows) and {r["id"]: (r["v"], r["part"]) for r in got} == want
