@@ -124,3 +124,24 @@ def test_mapping_is_spread_and_kept(spark):
         assert m.df.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism and m.df.is_cached
         assert sorted(m.df.collect()) == sorted(df.collect())
     assert not m.df.is_cached
+
+
+def test_external_values_are_looked_up_together():
+    """Code words are compared as arrays: calls do not grow with the keys."""
+    import sys
+
+    from predmap.functions import codes
+    from predmap.operators import shards
+
+    rng = np.random.default_rng(21)
+    vid, h = rng.integers(0, 82, 4000), rng.integers(-(1 << 63), (1 << 63) - 1, 4000)
+    lengths = np.array(codes.huffman_row(np.bincount(vid, minlength=82).tolist()), np.int64)
+    words = shards.canonical_words(lengths)
+    store = shards.SparseStore.from_bytes(shards.solve_sparse(h, vid, lengths, words, None)[0]["sparse"])
+    calls = []
+    sys.setprofile(lambda frame, event, arg: calls.append(event) if event == "c_call" else None)
+    try:
+        got = shards.read_sparse(store, h, lengths, words)
+    finally:
+        sys.setprofile(None)
+    assert (got == vid).all() and len(calls) < len(vid)
